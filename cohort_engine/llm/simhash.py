@@ -83,14 +83,10 @@ def _asked(fps: DataFrame, k: int) -> DataFrame:
     return fps.select(F.lit(k).alias("half"), F.explode(F.array_compact(near)).alias("key"), F.col("fp").alias("here"))
 
 
-def _ball(value: Column, radius: int, bits: int = 32) -> list[Column]:
-    """Values within ``radius`` bits of the low ``bits``."""
-    masks = [0]
-    if radius >= 1:
-        masks += [1 << i for i in range(bits)]
-    if radius >= 2:
-        masks += [(1 << i) | (1 << j) for i in range(bits) for j in range(i)]
-    return [value.bitwiseXOR(F.lit(m)) for m in masks]
+def _ball(radius: int, bits: int = 32) -> Column:
+    """The masks of all values within ``radius`` bits, nearest first, as strings: a constant of the plan."""
+    masks = [0, *(1 << i for i in range(bits))] + [(1 << i) | (1 << j) for i in range(bits) for j in range(i)] * (radius > 1)
+    return F.split(F.lit(",".join(map(str, masks))), ",")
 
 
 def _dense_links(filed: DataFrame, radius: int) -> DataFrame:
@@ -103,8 +99,8 @@ def _dense_links(filed: DataFrame, radius: int) -> DataFrame:
     bit (if there is one). Every link made is true, and true links that are left out are between
     two members that such links connect. Rows grow with members, not with their square."""
     other = F.when(F.col("half") == 0, _half(F.col("there"), 1)).otherwise(_half(F.col("there"), 0))
-    near = [F.struct(v.alias("at"), F.lit(i < 33).alias("close")) for i, v in enumerate(_ball(other, radius - 1))]
-    stands = filed.select("half", "key", "there", F.explode(F.array(*near)).alias("v")).select("half", "key", "v.at", "v.close", "there")
+    masked = filed.select("half", "key", "there", other.alias("other"), F.posexplode(_ball(radius - 1)).alias("i", "mask"))
+    stands = masked.select("half", "key", F.col("other").bitwiseXOR(F.col("mask").cast("bigint")).alias("at"), (F.col("i") <= 32).alias("close"), "there")
     hubs = stands.where("close").groupBy("half", "key", "at").agg(F.min("there").alias("a"))
     return stands.join(hubs, ["half", "key", "at"]).where("there != a").select("a", F.col("there").alias("b"))
 
