@@ -60,11 +60,15 @@ def map_columns(df: DataFrame, fn: Callable[[dict[str, list]], dict[str, list]],
         for batch in batches:
             if batch.num_rows:
                 got = fn({n: c.to_pylist() for n, c in zip(batch.schema.names, batch.columns, strict=True)})
-                yield pa.RecordBatch.from_arrays([pa.array(got[f.name], f.type) for f in kinds], schema=kinds)
+                yield pa.RecordBatch.from_arrays([as_arrow(got[f.name], f.type) for f in kinds], schema=kinds)
 
     return df.mapInArrow(run, schema)
 
 
+def as_arrow(values: list | pa.Array, kind: pa.DataType) -> pa.Array:
+    return values if isinstance(values, pa.Array) else pa.array(values, kind)
+
+
 def arrow_schema(schema: str) -> pa.Schema:
     from pyspark.sql.pandas.types import to_arrow_schema
 
@@ -88,7 +92,7 @@ def add_columns(df: DataFrame, inputs: list[str], fn: Callable[[dict[str, list]]
             if not batch.num_rows:
                 continue
             got = fn({n: batch.column(batch.schema.get_field_index(n)).to_pylist() for n in inputs})
-            new = {f.name: pa.array(got[f.name], f.type) for f in kinds}
+            new = {f.name: as_arrow(got[f.name], f.type) for f in kinds}
             columns = [new[n] if n in new else batch.column(batch.schema.get_field_index(n)) for n in out.names]
             made = pa.RecordBatch.from_arrays(columns, names=out.names)
             yield made.filter(new[keep]) if keep else made
