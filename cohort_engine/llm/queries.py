@@ -47,6 +47,12 @@ def op10_pu_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pu_quality.classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
-QUERIES = {f.__name__: f for f in (op1_string_tiling, op3_simhash, op4_markov_ratio, op5_line_rules, op6_virtual_slots, op7_streaming_viterbi, op8_license_templates, op9_weak_supervision, op10_pu_quality)}
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
+QUERIES = {f.__name__: f for f in (op1_string_tiling, op3_simhash, op4_markov_ratio, op5_line_rules, op6_virtual_slots, op7_streaming_viterbi, op8_license_templates, op9_weak_supervision, op10_pu_quality, pipeline)}
 
 ORACLE: dict[str, str] = {}

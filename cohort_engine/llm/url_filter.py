@@ -2,7 +2,8 @@
 
 Two variable-order Markov models over the characters of host and path, one for accepted and one for
 rejected URLs, are trained on all URLs that have a weak label: a URL is taken as rejected if a
-word of its host is in a list of unwanted words, and as accepted if a rule allows it and no such word occurs.
+word of its host is in a list of unwanted words, and as accepted if there is no such word and no rule blocks it
+(rules that block whole sections say nothing about the look of a URL, so these URLs train neither model).
 The score of a URL is the difference of its two log-likelihoods divided by its length; the threshold is the one
 with the least balanced error over all weakly labelled URLs. URLs that a rule judges keep the rule's verdict.
 
@@ -31,7 +32,7 @@ from .common import arrow_schema, cut, map_columns, small_batches
 RULES = {"org/": "allow", "example.org/es/": "block", "example.org/en/1": "block", "com/fr/": "allow", "com/de/": "block"}
 UNWANTED = (
     "adult", "porn", "xxx", "sex", "escort", "casino", "poker", "bet", "betting", "slots", "jackpot", "gambling", "lottery",
-    "pills", "viagra", "cialis", "pharmacy", "replica", "warez", "torrent", "crack", "keygen", "payday", "loans", "dating", "hookup", "malware", "phishing",
+    "bets", "spam", "ads", "adserver", "popunder", "tracker", "track", "pills", "viagra", "cialis", "pharmacy", "replica", "warez", "torrent", "crack", "keygen", "payday", "loans", "dating", "hookup", "malware", "phishing",
 )
 WELCOME = ("news", "blog", "wiki", "docs", "library", "museum", "school", "university", "journal", "weather", "garden", "history", "science", "music", "travel", "archive", "recipes", "research", "forum", "books")
 ORDER = 5
@@ -66,7 +67,7 @@ def judged_by_rules(pages: DataFrame, id_col: str, url_col: str, rules: dict[str
     for rule, verdict in rules.items():
         verdicts = F.when(F.col("rule") == rule, verdict).otherwise(verdicts)
     unwanted = F.regexp_like("host", F.lit(rf"(^|[^a-z])({'|'.join(UNWANTED)})([^a-z]|$)"))
-    label = F.when(unwanted, 0).when(verdicts == "allow", 1)
+    label = F.when(F.length("host") == 0, None).when(unwanted, 0).when(F.coalesce(verdicts != "block", F.lit(True)), 1)
     return out.withColumns({"ruled": verdicts, "label": label})
 
 
