@@ -237,6 +237,8 @@ def on_arrays(p: Pred | None, n: int, attr: Callable[[str], np.ndarray], birth:
         for x in xs:
             if x.dtype == object:
                 ok &= np.array([v is not None for v in x], bool)
+            elif x.dtype.kind == "f":
+                ok &= ~np.isnan(x)
         return ok
 
     compare = {"=": np.equal, "!=": np.not_equal, "<": np.less, "<=": np.less_equal, ">": np.greater, ">=": np.greater_equal}
@@ -256,7 +258,7 @@ def on_arrays(p: Pred | None, n: int, attr: Callable[[str], np.ndarray], birth:
             x = one(q.left)
             return np.isin(x, list(q.values)) if x.dtype != object else np.array([v in q.values for v in x], bool), known(x)
         if isinstance(q, Days):
-            x = one(q.left).astype("datetime64[us]").astype("datetime64[D]")
+            x = one(q.left).astype(np.int64).astype("datetime64[us]").astype("datetime64[D]")
             return (x >= np.datetime64(q.first)) & (x <= np.datetime64(q.last)), np.ones(n, bool)
         a, pairs = one(q.left), [("=", None)]
         pairs = [(">=", one(term(q.low))), ("<=", one(term(q.high)))] if isinstance(q, Between) else [(q.op, one(q.right))]
