@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontam, license_scan, pii, pu_quality, quality_rules, sharding, simhash, sp_codec, url_filter
+from . import decontam, html_extract, license_scan, pii, pu_quality, quality_rules, sharding, simhash, sp_codec, url_filter
 from .common import table
 
 
@@ -13,6 +13,10 @@ def op1_string_tiling(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontam.leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def op2_block_labeller(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_extract.extract(table(spark, sf_dir, "pages"))
+
+
 def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(table(spark, sf_dir, "documents"))
 
@@ -53,6 +57,6 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     return corpus_pipeline.run(spark, sf_dir)
 
 
-QUERIES = {f.__name__: f for f in (op1_string_tiling, op3_simhash, op4_markov_ratio, op5_line_rules, op6_virtual_slots, op7_streaming_viterbi, op8_license_templates, op9_weak_supervision, op10_pu_quality, pipeline)}
+QUERIES = {f.__name__: f for f in (op1_string_tiling, op2_block_labeller, op3_simhash, op4_markov_ratio, op5_line_rules, op6_virtual_slots, op7_streaming_viterbi, op8_license_templates, op9_weak_supervision, op10_pu_quality, pipeline)}
 
 ORACLE: dict[str, str] = {}
