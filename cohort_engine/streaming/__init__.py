@@ -1 +1 @@
-
+"""Cohorts over streams of activities."""
