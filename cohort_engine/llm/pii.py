@@ -140,10 +140,14 @@ def observe(text: str, start: int, end: int) -> tuple[str, str]:
         1 if turns >= 4 else -1 if turns <= 1 else 0,  # context: mixture of letters and digits
         1 if variety >= 0.5 and 0 < digits < n else -1 if variety < 0.3 else 0,  # context: variety of characters
     )
-    features = (_bucket(n, (12, 16, 20, 32)), _bucket(digits / n, (0.1, 0.3, 0.6, 1.0)), _bucket(upper / n, (0.05, 0.4)), _bucket(turns, (2, 4, 8)), int(named), int(assigned), int(number))
+    features = (_bucket(n, (12, 16, 20, 32)), _bucket(digits / n, (0.1, 0.3, 0.6, 1.0)), _bucket(upper / n, (0.05, 0.4)), _bucket(turns, (2, 4, 8)), int(named), int(assigned), int(shape or number))
     return "".join("0+-"[v] for v in votes), "".join(map(str, features))
 
 
+#: No labeler is taken to be surer than this, and no more candidates to be true before any vote: so one vote alone never
+#: makes a span, whatever the corpus.
+MOST_RIGHT, MOST_TRUE = 0.94, 0.05
+
 _LEVELS = (5, 5, 3, 4, 2, 2, 2)
 
 
@@ -153,7 +157,7 @@ def _one_hot(features: list[str]) -> np.ndarray:
 
 @dataclass(frozen=True)
 class SpanModel:
-    """``reliability``: for each labeler the chance of each vote given a true and a false candidate; ``prior``; classifier weights."""
+    """``reliability``: how often each labeler's votes are right; ``prior``; classifier weights."""
 
     prior: float
     reliability: tuple
@@ -166,18 +170,18 @@ class SpanModel:
         keys = sorted(counts)
         weight = np.array([counts[k] for k in keys], float)
         votes = np.array([["0+-".index(c) for c in v] for v, _ in keys])
-        signs = np.array([0, 1, -1])[votes].sum(1)
-        true = 1 / (1 + np.exp(-1.5 * signs))
-        # what labelers are taken to be worth before any data: right votes oftener than wrong ones
-        belief = {1: np.array([2.0, 6.0, 1.0]), 0: np.array([6.0, 1.0, 4.0])}
+        signs = np.array([0, 1, -1])[votes]
+        true = 1 / (1 + np.exp(-1.5 * signs.sum(1)))
+        right = np.full(votes.shape[1], 0.8)
+        prior = MOST_TRUE
         for _ in range(rounds):
-            prior = (1 + (weight * true).sum()) / (2 + weight.sum())
-            chance = {}
-            for y, share in ((1, true), (0, 1 - true)):
-                table = np.stack([np.bincount(votes[:, j], weight * share, minlength=3) + belief[y] for j in range(votes.shape[1])])
-                chance[y] = table / table.sum(1, keepdims=True)
-            log = {y: np.log(chance[y])[np.arange(votes.shape[1]), votes].sum(1) for y in (0, 1)}
-            true = 1 / (1 + np.exp(np.clip(np.log(1 - prior) - np.log(prior) + log[0] - log[1], -500, 500)))
+            # a labeler that doesn't vote says nothing; its votes are right with one chance, whichever way they go
+            agree = np.where(signs > 0, true[:, None], np.where(signs < 0, 1 - true[:, None], 0))
+            cast = (weight[:, None] * (signs != 0)).sum(0)
+            right = np.clip(((weight[:, None] * agree).sum(0) + 8) / (cast + 10), 0.55, MOST_RIGHT)
+            prior = min((weight * true).sum() / weight.sum(), MOST_TRUE)
+            odds = np.log(prior / (1 - prior)) + signs @ np.log(right / (1 - right))
+            true = 1 / (1 + np.exp(-np.clip(odds, -500, 500)))
         x, w = _one_hot([f for _, f in keys]), np.zeros(1 + sum(_LEVELS))
         share = weight / weight.sum()
         for _ in range(steps):
@@ -188,7 +192,7 @@ class SpanModel:
             w -= step
             if np.abs(step).max() < 1e-8:
                 break
-        return SpanModel(float(prior), tuple(map(tuple, np.stack([chance[0], chance[1]]).reshape(2, -1))), tuple(w.tolist()))
+        return SpanModel(float(prior), tuple(right.tolist()), tuple(w.tolist()))
 
     def accepts(self, features: list[str]) -> list[bool]:
         if self.weights is None or not features:
