@@ -1,4 +1,4 @@
-"""A table function over blocks of users, for SQL: ``SELECT * FROM cohort_blocks(TABLE(t) PARTITION BY user ORDER BY time, 'x')``."""
+"""A table function over blocks of users, for SQL: ``SELECT * FROM cohort_blocks(TABLE(t) PARTITION BY user ORDER BY (time), 'x')``."""
 
 from __future__ import annotations
 
