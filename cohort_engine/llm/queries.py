@@ -59,4 +59,29 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {f.__name__: f for f in (op1_string_tiling, op2_block_labeller, op3_simhash, op4_markov_ratio, op5_line_rules, op6_virtual_slots, op7_streaming_viterbi, op8_license_templates, op9_weak_supervision, op10_pu_quality, pipeline)}
 
-ORACLE: dict[str, str] = {}
+_OP5_RULES = quality_rules.LineRules()
+#: Line rules and counts of op5 for DuckDB. A line fails by marks, by lack of punctuation, or as short navigation or boilerplate.
+_OP5 = rf"""
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, coalesce(text, '') AS t FROM documents),
+w AS (SELECT r, doc_id, t, regexp_extract_all(t, '[^\x20\x09-\x0D]+') AS ws, string_split(t, chr(10)) AS ls FROM d),
+lines AS (SELECT r, unnest(ls) AS l FROM w),
+judged AS (SELECT r, l, regexp_matches(l, '[^\x20\x09-\x0D]') AS word,
+  100 * length(regexp_replace(l, '[^#*$%&|<>!?~^_=+{{}}\[\]\\]+', '', 'g')) > {_OP5_RULES.mark_percent} * length(l) AS marked,
+  NOT regexp_matches(l, '[.,;:!?…。，]') AND len(regexp_extract_all(l, '[^\x20\x09-\x0D]+')) >= {_OP5_RULES.bare_words} AS bare,
+  length(l) <= {_OP5_RULES.short_line} AND (
+    regexp_matches(l, '^(?i:[\x20\x09-\x0D]*(?:{quality_rules.NAVIGATION})(?:[\x20\x09-\x0D|»›>/·-]+|$))+$')
+    OR regexp_matches(l, '\b(?i:{quality_rules.BOILERPLATE})\b')) AS chrome FROM lines),
+lost AS (SELECT r, sum(CASE WHEN word AND (marked OR bare OR chrome) THEN length(regexp_replace(l, '[\x20\x09-\x0D]+', '', 'g')) ELSE 0 END) AS lost,
+  count(*) FILTER (word) - count(DISTINCT l) FILTER (word) AS n_dup_lines FROM judged GROUP BY r),
+win AS (SELECT r, unnest(range(1, len(ws) - 3)) AS i, ws FROM w WHERE len(ws) >= 5),
+many AS (SELECT r, i, count(*) OVER (PARTITION BY r, array_to_string(ws[i:i + 4], ' ')) AS n FROM win),
+twice AS (SELECT r, i, lead(i) OVER (PARTITION BY r ORDER BY i) AS nxt FROM many WHERE n > 1),
+rep AS (SELECT r, CAST(sum(least(5, coalesce(nxt - i, 5))) AS BIGINT) AS n FROM twice GROUP BY r),
+m AS (SELECT w.doc_id, CAST(len(ws) AS BIGINT) AS n_words, CAST(length(array_to_string(ws, '')) AS BIGINT) AS word_chars,
+  CAST(length(regexp_replace(t, '[^#*$%&|<>]+', '', 'g')) AS BIGINT) AS n_symbols, n_dup_lines, coalesce(rep.n, 0) AS n_repeat_words, lost
+  FROM w JOIN lost USING (r) LEFT JOIN rep USING (r))
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words,
+  n_words < {_OP5_RULES.min_words} OR 100 * n_repeat_words > {_OP5_RULES.repeat_percent} * n_words AS base_failed,
+  NOT (n_words < {_OP5_RULES.min_words} OR 100 * n_repeat_words > {_OP5_RULES.repeat_percent} * n_words) AND 100 * lost <= {_OP5_RULES.loss_percent} * word_chars AS kept FROM m"""
+
+ORACLE: dict[str, str] = {"op5_line_rules": _OP5}
