@@ -107,7 +107,9 @@ def judge(docs: DataFrame, text_col: str = "text", rules: LineRules = LineRules(
         ))))
 
     names = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_removed_lines", "clean_text"]
-    out = docs.withColumn("_measures", let(text, measures)).withColumns({n: F.col(f"_measures.{n}") for n in names}).drop("_measures")
+    # a generator of one row keeps later filters and projections from computing the measures anew
+    held = docs.select("*", F.explode(F.array(let(text, measures))).alias("_measures"))
+    out = held.withColumns({n: F.col(f"_measures.{n}") for n in names}).drop("_measures")
     left = F.length(F.regexp_replace("clean_text", BLANK + "+", "")).cast("bigint")
     out = out.withColumn("lost_chars", F.when(F.col("n_removed_lines") == 0, F.lit(0).cast("bigint")).otherwise(F.col("word_chars") - left))
     failed = (F.col("n_words") < rules.min_words) | (100 * F.col("n_repeat_words") > rules.repeat_percent * F.col("n_words"))
