@@ -7,8 +7,8 @@ fingerprint is filed under both halves, and asks for each half as it is and with
 clear bits set (of two halves one bit apart, one has that bit clear, so each pair is asked for once).
 Matches are verified over all 64 bits.
 
-Buckets with more than ``dense`` fingerprints (a group of near copies) take another exact way that
-makes no pairs: see :func:`_dense_links`.
+Buckets with more than ``dense`` fingerprints (a group of near copies), and neighbours that would make as many
+pairs as such a bucket, take another exact way that makes no pairs: see :func:`_dense_links`.
 
 Links join distinct fingerprints only, so exact copies cost nothing, and components are found
 by rounds of distributed label exchange, cut by checkpoints; nothing but counts reaches the driver.
@@ -34,6 +34,8 @@ SEED = 42
 #: For each value of a byte, its bits, lowest first.
 _BITS = ((np.arange(256)[:, None] >> np.arange(8)) & 1).astype(np.int64)
 _HALF = 0xFFFFFFFF
+#: Beside the masks of a half's bits, the mark of the half as it is.
+_ITSELF = 1 << 32
 
 
 def fingerprint(text: str | None, width: int = 3) -> int:
@@ -76,11 +78,13 @@ def _filed(fps: DataFrame, k: int) -> DataFrame:
     return fps.select(F.lit(k).alias("half"), _half(F.col("fp"), k).alias("key"), F.col("fp").alias("there"))
 
 
-def _asked(fps: DataFrame, k: int) -> DataFrame:
-    """Keys within one bit of a half: itself, and itself with each clear bit set."""
-    own = _half(F.col("fp"), k)
-    near = F.array(own, *(F.when(own.bitwiseAND(F.lit(1 << b)) == 0, own.bitwiseOR(F.lit(1 << b))) for b in range(32)))
-    return fps.select(F.lit(k).alias("half"), F.explode(F.array_compact(near)).alias("key"), F.col("fp").alias("here"))
+def _asked(starts: DataFrame) -> DataFrame:
+    """Keys within one bit of a half: itself, and itself with each clear bit set. ``skip`` marks bits that are
+    left out, and with ``_ITSELF`` the key itself."""
+    clear = lambda mask: F.col("skip").bitwiseAND(F.lit(mask)) == 0
+    ups = (F.when((F.col("key").bitwiseAND(F.lit(1 << b)) == 0) & clear(1 << b), F.col("key").bitwiseOR(F.lit(1 << b))) for b in range(32))
+    near = F.array(F.when(clear(_ITSELF), F.col("key")), *ups)
+    return starts.select("half", F.explode(F.array_compact(near)).alias("key"), F.col("there").alias("here"))
 
 
 def _ball(radius: int, bits: int = 32) -> Column:
@@ -89,41 +93,57 @@ def _ball(radius: int, bits: int = 32) -> Column:
     return F.split(F.lit(",".join(map(str, masks))), ",")
 
 
-def _dense_links(filed: DataFrame, radius: int) -> DataFrame:
-    """Links within buckets of many fingerprints, without pairs.
+def _dense_links(members: DataFrame, apart: int) -> DataFrame:
+    """Links within groups of many fingerprints (``half, key, bit, there``), without pairs.
 
-    Inside a bucket one half is shared, so two members are linked if their other halves are at
-    most three bits apart; and they are just then if some value lies within one bit of the one
-    and two bits of the other. Each member stands at all values of its balls of one and two bits; at
-    each value, all members that come within two bits are linked to one that comes within one
-    bit (if there is one). Every link made is true, and true links that are left out are between
+    Inside a group two members are linked if their other halves are at most ``apart`` bits
+    apart; and they are just then if some value lies within one part of these bits of the one
+    and the rest of the other. Each member stands at all values of its balls of both sizes; at
+    each value, all members that come within the larger are linked to one that comes within the
+    smaller (if there is one). Every link made is true, and true links that are left out are between
     two members that such links connect. Rows grow with members, not with their square."""
+    near = apart // 2
     other = F.when(F.col("half") == 0, _half(F.col("there"), 1)).otherwise(_half(F.col("there"), 0))
-    masked = filed.select("half", "key", "there", other.alias("other"), F.posexplode(_ball(radius - 1)).alias("i", "mask"))
-    stands = masked.select("half", "key", F.col("other").bitwiseXOR(F.col("mask").cast("bigint")).alias("at"), (F.col("i") <= 32).alias("close"), "there")
-    hubs = stands.where("close").groupBy("half", "key", "at").agg(F.min("there").alias("a"))
-    return stands.join(hubs, ["half", "key", "at"]).where("there != a").select("a", F.col("there").alias("b"))
+    masked = members.select("half", "key", "bit", "there", other.alias("other"), F.posexplode(_ball(apart - near)).alias("i", "mask"))
+    stands = masked.select("half", "key", "bit", F.col("other").bitwiseXOR(F.col("mask").cast("bigint")).alias("at"), (F.col("i") <= 32 * near).alias("close"), "there")
+    hubs = stands.where("close").groupBy("half", "key", "bit", "at").agg(F.min("there").alias("a"))
+    return stands.join(hubs, ["half", "key", "bit", "at"]).where("there != a").select("a", F.col("there").alias("b"))
+
+
+def _wide_edges(heavy: DataFrame, sizes: DataFrame, dense: int) -> DataFrame:
+    """``half, key, bit`` of buckets one bit apart that would make more than ``dense`` squared pairs: the key where
+    the bit is clear, and the bit's mask. One of two such buckets is heavy itself."""
+    flips = F.explode(F.array(*(F.lit(1 << b) for b in range(32))))
+    near = heavy.select("half", F.col("key").alias("own"), F.col("n").alias("m"), flips.alias("bit"))
+    near = near.withColumn("key", F.col("own").bitwiseXOR(F.col("bit")))
+    return near.join(sizes, ["half", "key"]).where(F.col("n") * F.col("m") > dense * dense).select("half", F.least("own", "key").alias("key"), "bit").distinct()
 
 
 def links(fps: DataFrame, radius: int = 3, dense: int = 256) -> DataFrame:
     """``a, b``: pairs of distinct fingerprints, enough of the pairs within ``radius`` bits to connect
-    all that they connect; in buckets up to ``dense`` members, each such pair once."""
+    all that they connect; in buckets up to ``dense`` members, and between two neighbours up to
+    ``dense`` squared pairs, each such pair once."""
     assert 2 <= radius <= 3, "two halves and one bit hold up to a distance of three"
     filed = cut(reduce(DataFrame.unionByName, (_filed(fps, k) for k in (0, 1))))
-    sizes = filed.groupBy("half", "key").agg(F.count("*").alias("n")).where(F.col("n") > dense)
-    asked = reduce(DataFrame.unionByName, (_asked(fps, k) for k in (0, 1)))
-    heavy = cut(sizes.select("half", "key"))
+    sizes = filed.groupBy("half", "key").agg(F.count("*").alias("n"))
+    heavy = cut(sizes.where(F.col("n") > dense))
     many = not heavy.isEmpty()
-    if many:  # within such a bucket; between it and its neighbours one bit off the plain way goes on
-        mine = (F.col("half") == 0) & (F.col("key") == _half(F.col("here"), 0)) | (F.col("half") == 1) & (F.col("key") == _half(F.col("here"), 1))
-        own, off = asked.where(mine), asked.where(~mine)
-        asked = off.unionByName(own.join(heavy, ["half", "key"], "left_anti"))
+    if many:
+        wide = cut(_wide_edges(heavy, sizes, dense))
+        whole = heavy.select("half", "key", F.lit(_ITSELF).alias("bit"))
+        marks = whole.unionByName(wide).groupBy("half", "key").agg(F.bit_or("bit").alias("skip"))
+        starts = filed.join(marks, ["half", "key"], "left").withColumn("skip", F.coalesce("skip", F.lit(0).cast("bigint")))
+    else:
+        starts = filed.withColumn("skip", F.lit(0).cast("bigint"))
     apart = F.bit_count(F.col("here").bitwiseXOR(F.col("there")))
     itself = F.col("here") == F.col("there")
-    pairs = asked.join(filed, ["half", "key"]).where(~itself & (apart <= radius))
+    pairs = _asked(starts).join(filed, ["half", "key"]).where(~itself & (apart <= radius))
     found = pairs.select(F.least("here", "there").alias("a"), F.greatest("here", "there").alias("b"))
     if many:
-        found = found.unionByName(_dense_links(filed.join(heavy, ["half", "key"], "left_semi"), radius))
+        found = found.unionByName(_dense_links(filed.join(whole, ["half", "key"]), radius))
+        ends = wide.select("half", F.col("key").alias("low"), "bit", F.explode(F.array("key", F.col("key").bitwiseOR(F.col("bit")))).alias("key"))
+        both = filed.join(ends, ["half", "key"]).select("half", F.col("low").alias("key"), "bit", "there")
+        found = found.unionByName(_dense_links(both, radius - 1))
     return found.distinct()
 
 

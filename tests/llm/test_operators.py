@@ -82,6 +82,27 @@ def test_fingerprints():
     assert simhash.fingerprint("A B C") == simhash.fingerprint("a\tb\nc") and simhash.fingerprint("É") != simhash.fingerprint("é")
 
 
+def _roots(prints):
+    """Of every fingerprint with a partner within three bits, the smallest of its component, by comparing all pairs."""
+    root = {p: p for p in prints}
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for a in prints:
+        for b in prints:
+            if a < b and ((a ^ b) & (1 << 64) - 1).bit_count() <= 3:
+                x, y = find(a), find(b)
+                root[max(x, y)] = min(x, y)
+    return {p: find(p) for p in prints if any(q != p and find(q) == find(p) for q in prints)}
+
+
+def _signed(prints):
+    return [p - (1 << 64) if p >> 63 else p for p in prints]
+
+
 @pytest.mark.parametrize("dense", [1, 4, 256])
 def test_links_by_brute_force(spark, dense):
     r = random.Random(5)
@@ -93,22 +114,29 @@ def test_links_by_brute_force(spark, dense):
             for b in r.sample(range(64), r.randint(1, 3)):
                 x ^= 1 << b
             prints.add(x)
-    signed = [p - (1 << 64) if p >> 63 else p for p in prints]
+    signed = _signed(prints)
     got = simhash.components(simhash.links(spark.createDataFrame([(p,) for p in signed], "fp bigint"), dense=dense)).collect()
-    root = {p: p for p in signed}
+    want = _roots(signed)
+    assert {r["node"]: r["root"] for r in got} == want and len(got) == len(want)
 
-    def find(x):
-        while root[x] != x:
-            x = root[x]
-        return x
 
-    for a in signed:
-        for b in signed:
-            if a < b and ((a ^ b) & (1 << 64) - 1).bit_count() <= 3:
-                x, y = find(a), find(b)
-                root[max(x, y)] = min(x, y)
-    want = {p: find(p) for p in signed if any(q != p and find(q) == find(p) for q in signed)}
-    assert {r["node"]: r["root"] for r in got} == want and len(got) == len(want)
+@pytest.mark.parametrize("turned", [False, True])
+def test_dense_neighbours(spark, turned):
+    """Crowded buckets one bit apart, and a crowded one beside one of few members."""
+    r = random.Random(8)
+    crowd = [r.getrandbits(32) for _ in range(4)]
+    prints = set()
+    for key, n in ((0x5A5A5A5A, 60), (0x5A5A5A5B, 60), (0xDA5A5A5A, 3), (0x5A5A5A59, 20)):
+        for _ in range(n):
+            x = r.choice(crowd)
+            for b in r.sample(range(32), r.randint(0, 3)):
+                x ^= 1 << b
+            prints.add(x << 32 | key if turned else key << 32 | x)
+    signed = _signed(prints)
+    made = simhash.links(spark.createDataFrame([(p,) for p in signed], "fp bigint"), dense=8).collect()
+    assert all(m["a"] != m["b"] and ((m["a"] ^ m["b"]) & (1 << 64) - 1).bit_count() <= 3 for m in made)
+    got = simhash.components(spark.createDataFrame([(m["a"], m["b"]) for m in made], "a bigint, b bigint")).collect()
+    assert {r["node"]: r["root"] for r in got} == _roots(signed)
 
 
 def test_chain_of_components(spark):
