@@ -27,6 +27,11 @@ def total(values: Column, kind: str = "bigint") -> Column:
     return F.aggregate(values, F.lit(0).cast(kind), lambda a, x: a + x.cast(kind))
 
 
+def numbered(df: DataFrame) -> DataFrame:
+    """``df`` with its columns called ``_0, _1, ...``, so that no name of a caller's column meets one of an operator's own."""
+    return df.toDF(*(f"_{k}" for k in range(len(df.columns))))
+
+
 def words_of(text: Column) -> Column:
     """Runs of characters other than blank, tab, line feed, vertical tab, form feed and carriage return."""
     return F.array_remove(F.split(text, r"[\x20\x09-\x0D]+"), "")

@@ -26,7 +26,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import add_columns, map_columns
+from .common import add_columns, map_columns, numbered
 
 _WORD = re.compile(r"[^\W_]+")
 _BASE = 0x9E3779B97F4A7C15  # odd, so its powers can be divided out modulo 2**64
@@ -211,12 +211,12 @@ def leaks(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_co
 
 def drop_leaks(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", seed: int = 5, coverage: float = 0.5) -> DataFrame:
     """Documents without a leak, all columns as they are; no shuffle."""
-    out = docs
+    out, text = numbered(docs), f"_{docs.columns.index(text_col)}"
     for index in _blocks(benchmark, item_col, item_text_col, seed):
 
         def run(c: dict[str, list], index=index) -> dict[str, list]:
             x = index.value
-            return {"_clean": [not any(n >= coverage * len(x.items[k]) for k, n, _, _ in found) for found in x.seen(c[text_col])]}
+            return {"_clean": [not any(n >= coverage * len(x.items[k]) for k, n, _, _ in found) for found in x.seen(c[text])]}
 
-        out = add_columns(out, [text_col], run, "_clean boolean", keep="_clean")
-    return out
+        out = add_columns(out, [text], run, "_clean boolean", keep="_clean")
+    return out.toDF(*docs.columns)

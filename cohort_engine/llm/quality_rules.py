@@ -7,7 +7,7 @@ document that loses too much of its text goes as a whole. A few counts over the
 Defined results: a null text counts as empty (no words: base test failed, not kept, cleaned
 text empty); blank lines are neither judged nor counted as loss and stay in the cleaned text;
 rows are judged one by one, so repeated rows and ties get equal answers; an empty table gives
-an empty one; columns of the input that have a name of an output column are replaced.
+an empty one; columns of the input that have a name of an output column are replaced by :func:`judge` and pass through :func:`keep_clean`.
 """
 
 from __future__ import annotations
@@ -18,7 +18,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import let, total, words_of
+from .common import let, numbered, total, words_of
 
 # Characters and phrases that the rules look for.
 SYMBOLS = "#*$%&|<>"
@@ -117,8 +117,10 @@ def judge(docs: DataFrame, text_col: str = "text", rules: LineRules = LineRules(
 
 
 def keep_clean(docs: DataFrame, text_col: str = "text", rules: LineRules = LineRules()) -> DataFrame:
-    """Documents that pass, in their own columns, without the lines that failed."""
-    judged = judge(docs, text_col, rules).where("kept").withColumn(text_col, F.col("clean_text"))
+    """Documents that pass, in their own columns, without the lines that failed; other columns stay as they are, whatever
+    their names."""
+    held, text = numbered(docs), f"_{docs.columns.index(text_col)}"
+    judged = judge(held, text, rules).where("kept").withColumn(text, F.col("clean_text"))
     if "n_chars" in docs.columns:
-        judged = judged.withColumn("n_chars", F.length(text_col).cast(docs.schema["n_chars"].dataType))
-    return judged.select(*docs.columns)
+        judged = judged.withColumn(f"_{docs.columns.index('n_chars')}", F.length(text).cast(docs.schema["n_chars"].dataType))
+    return judged.select(*held.columns).toDF(*docs.columns)

@@ -51,6 +51,15 @@ def test_stages_on_odd_rows(spark, data, stage):
     assert stage(spark, odd.where("doc_id > 5"), data).count() == 0
 
 
+@pytest.mark.parametrize("stage", [s for n, s in corpus_pipeline.STAGES if n != "encoding"])
+def test_stages_leave_columns_with_clashing_names(spark, data, stage):
+    names = ["kept", "base_failed", "clean_text", "lost_chars", "n_words", "fp", "id", "_id", "_fp", "_print", "_rank", "root", "_clean", "_row", "_measures", "votes", "spans", "_0"]
+    text = "One clean document, with words enough to be kept. It has a second sentence, too."
+    docs = spark.createDataFrame([(4, text, "en", "s", len(text), *(f"own {n}" for n in names))], ", ".join(["doc_id bigint, text string, lang string, source string, n_chars bigint", *(f"{n} string" for n in names)]))
+    out = stage(spark, docs, data)
+    assert out.columns == docs.columns and out.collect() == docs.collect()
+
+
 def test_oracle_names():
     assert set(queries.ORACLE) <= set(queries.QUERIES) and corpus_pipeline.ORACLE_SQL is None
     assert sp_codec.default_model().endswith(".model")
