@@ -8,8 +8,8 @@ The score of a URL is the difference of its two log-likelihoods divided by its l
 with the least balanced error over all weakly labelled URLs. URLs that a rule judges keep the rule's verdict.
 
 A model mixes orders 0 to 5: each order's estimate is smoothed towards that of the order below (an
-order counts for as much as it has seen of the context). Counts are kept in hashed tables of fixed size, so a
-model's size is bounded, however many URLs are counted.
+order counts for as much as it has seen of the context). Counts are kept in hashed tables whose size grows with
+the characters counted, up to ``MOST_BUCKETS``, so what is broadcast is bounded, however many URLs are counted.
 
 Defined results: a null URL or one without ``://`` has an empty host and path, fits no rule, and gets the verdict
 of the models' threshold at score 0; repeated rows get equal answers; with no labelled URLs the built-in
@@ -36,7 +36,8 @@ UNWANTED = (
 )
 WELCOME = ("news", "blog", "wiki", "docs", "library", "museum", "school", "university", "journal", "weather", "garden", "history", "science", "music", "travel", "archive", "recipes", "research", "forum", "books")
 ORDER = 5
-BUCKETS = 1 << 17
+#: Buckets of a table: one for so many characters, rounded up to a power of two, between these bounds. A model has four tables of 8 bytes a bucket: 64 MB at most.
+CHARS_PER_BUCKET, LEAST_BUCKETS, MOST_BUCKETS = 4, 1 << 17, 1 << 21
 WEIGHT = 0.5
 _BINS, _SPAN = 4000, 8.0
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
@@ -77,8 +78,12 @@ def _seeds() -> tuple[list[str], list[str]]:
     return pairs(WELCOME), pairs(UNWANTED)
 
 
-def _buckets(texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """For every character of every text and every order, the buckets of its context and of the context with it; and each text's length."""
+def bucket_count(chars: int) -> int:
+    return min(max(LEAST_BUCKETS, 1 << (max(chars, 1) // CHARS_PER_BUCKET).bit_length()), MOST_BUCKETS)
+
+
+def _buckets(texts: list[str], n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """For every character of every text and every order, the buckets (of ``n``) of its context and of the context with it; and each text's length."""
     raw = [t.encode() for t in texts]
     lengths = np.array([len(r) for r in raw], np.int64)
     flat = np.frombuffer(b"".join(raw), np.uint8).astype(np.uint64) + np.uint64(1)
@@ -91,8 +96,8 @@ def _buckets(texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
             before = np.where(place >= order, flat[np.maximum(np.arange(len(flat)) - order, 0)], 0).astype(np.uint64)
             h = (h + before + np.uint64(1)) * np.uint64(0x9E3779B97F4A7C15)
         salted = (h ^ np.uint64(order * 0x51ED27)) * np.uint64(0xC2B2AE3D27D4EB4F)
-        contexts.append((salted >> np.uint64(40)) % np.uint64(BUCKETS))
-        events.append((((salted ^ flat) * np.uint64(0x165667B19E3779F9)) >> np.uint64(40)) % np.uint64(BUCKETS))
+        contexts.append((salted >> np.uint64(40)) % np.uint64(n))
+        events.append((((salted ^ flat) * np.uint64(0x165667B19E3779F9)) >> np.uint64(40)) % np.uint64(n))
     return np.array(contexts, np.int64), np.array(events, np.int64), lengths
 
 
@@ -104,7 +109,7 @@ class UrlModel:
     threshold: float = 0.0
 
     def scores(self, texts: list[str]) -> np.ndarray:
-        contexts, events, lengths = _buckets(texts)
+        contexts, events, lengths = _buckets(texts, self.counts.shape[2])
         gain = np.zeros(contexts.shape[1])
         for label, sign in ((1, 1.0), (0, -1.0)):
             p = np.full(contexts.shape[1], 1 / 256)
@@ -118,19 +123,19 @@ class UrlModel:
 
 
 def _tally(counts: np.ndarray, label: int, texts: list[str]) -> None:
-    contexts, events, _ = _buckets(texts)
-    counts[label, 0] += np.bincount(contexts.ravel(), minlength=BUCKETS)
-    counts[label, 1] += np.bincount(events.ravel(), minlength=BUCKETS)
+    for part, places in enumerate(_buckets(texts, counts.shape[2])[:2]):
+        np.add.at(counts[label, part], places.ravel(), 1)
 
 
 def train(judged: DataFrame) -> UrlModel:
     """Counts over all weakly labelled URLs, then the threshold over all of them."""
     labelled = judged.where("label is not null").select(F.concat("host", "path").alias("url"), "label")
+    size = bucket_count(labelled.agg(F.sum(F.octet_length("url")).alias("n")).first()["n"] or 0)
     small_batches(judged.sparkSession)
     kinds = arrow_schema("label int, part int, bucket int, n bigint")
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts = np.zeros((2, 2, BUCKETS), np.int64)
+        counts = np.zeros((2, 2, size), np.int64)
         for batch in batches:
             texts, labels = batch.column(0).to_pylist(), batch.column(1).to_pylist()
             for label in (0, 1):
@@ -139,8 +144,8 @@ def train(judged: DataFrame) -> UrlModel:
         label, part, bucket = np.nonzero(counts)
         yield pa.RecordBatch.from_arrays([pa.array(label, pa.int32()), pa.array(part, pa.int32()), pa.array(bucket, pa.int32()), pa.array(counts[label, part, bucket], pa.int64())], schema=kinds)
 
-    total = labelled.mapInArrow(count, "label int, part int, bucket int, n bigint").groupBy("label", "part", "bucket").agg(F.sum("n").alias("n")).toArrow()  # at most 4 * BUCKETS rows
-    counts = np.zeros((2, 2, BUCKETS), np.int64)
+    total = labelled.mapInArrow(count, "label int, part int, bucket int, n bigint").groupBy("label", "part", "bucket").agg(F.sum("n").alias("n")).toArrow()  # at most 4 * MOST_BUCKETS rows
+    counts = np.zeros((2, 2, size), np.int64)
     for label, seeds in zip((1, 0), _seeds(), strict=True):
         _tally(counts, label, seeds)
     at = [total.column(k).to_numpy() for k in ("label", "part", "bucket")]

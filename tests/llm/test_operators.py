@@ -349,6 +349,18 @@ def test_urls(spark):
     assert url_filter.judge(pages.where(F.lit(False))).count() == 0
 
 
+def test_url_tables_grow():
+    sizes = [url_filter.bucket_count(n) for n in (0, 10**5, 10**6, 4 * 10**6, 10**12)]
+    assert sizes == sorted(sizes) and sizes[0] == url_filter.LEAST_BUCKETS < sizes[3] < sizes[4] == url_filter.MOST_BUCKETS
+    good, bad = ["aabbaabb", "abab"], ["xyxyxy", "yyxx"]
+    for n in (1 << 12, 1 << 20):
+        counts = np.zeros((2, 2, n), np.int64)
+        url_filter._tally(counts, 1, good)
+        url_filter._tally(counts, 0, bad)
+        assert counts[1].sum(1).tolist() == [12 * (url_filter.ORDER + 1)] * 2
+        assert (url_filter.UrlModel(counts).scores([*good, *bad]) > 0).tolist() == [True, True, False, False]
+
+
 def test_quality_of_held_out_texts(spark, none):
     d = "/root/testdata/sf0.01"
     docs, labels = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet")
