@@ -3,7 +3,7 @@
 Texts labelled good are trusted positives; a sample of all texts stands for unlabelled web text. A small network is
 trained on the non-negative unbiased risk: the positive part counts with the class prior, the negative part is estimated
 from unlabelled texts less what positives among them add, and is kept from falling below zero. The prior is the
-share of good ones among labelled texts (or, where nothing is labelled bad, an estimate from the scores themselves);
+share of good ones among all labelled texts that are not held out, whatever is sampled of them (or, where nothing is labelled bad, an estimate from the scores themselves);
 labels of both kinds calibrate the score at the end.
 
 Features come from the text alone: frequencies of pairs of character classes, and a few measures of length
@@ -90,9 +90,9 @@ class PuModel:
         return 1 / (1 + np.exp(-np.clip(self.slope * self.margin(x) + self.shift, -30, 30)))
 
 
-def estimate_prior(positive: np.ndarray, negative: np.ndarray) -> float | None:
-    """The share of good ones among labelled texts; None if nothing is labelled bad."""
-    return len(positive) / (len(positive) + len(negative)) if len(negative) else None
+def estimate_prior(positive: int, negative: int) -> float | None:
+    """The share of good ones among labelled texts, from how many there are of both; None if nothing is labelled bad."""
+    return positive / (positive + negative) if negative else None
 
 
 def prior_from_scores(positive: np.ndarray, unlabelled: np.ndarray) -> float:
@@ -102,14 +102,17 @@ def prior_from_scores(positive: np.ndarray, unlabelled: np.ndarray) -> float:
     return float(np.clip(np.min(share) * 10, 0.05, 0.95))
 
 
-def fit(positive: np.ndarray, unlabelled: np.ndarray, negative: np.ndarray, hidden: int = 16, epochs: int = 30, batch: int = 500, rate: float = 0.005, seed: int = 7) -> PuModel:
+def fit(positive: np.ndarray, unlabelled: np.ndarray, negative: np.ndarray, hidden: int = 16, epochs: int = 30, batch: int = 500, rate: float = 0.005, seed: int = 7, known: float | None = None) -> PuModel:
+    """``known``: the share of good ones among all labelled texts, if it is not that of the samples."""
     if not len(positive) or not len(unlabelled):
         return PuModel(0.5, None)
-    known = estimate_prior(positive, negative)
+    known = estimate_prior(len(positive), len(negative)) if known is None else known
     model = _fit_risk(positive, unlabelled, 0.5 if known is None else min(known, 0.98), hidden, epochs, batch, rate, seed)
     if known is None:
         prior = prior_from_scores(model.margin(positive), model.margin(unlabelled))
         return _fit_risk(positive, unlabelled, prior, hidden, epochs, batch, rate, seed)
+    if not len(negative):
+        return model
     x = np.concatenate([model.margin(positive), model.margin(negative)])
     y = np.concatenate([np.ones(len(positive)), np.zeros(len(negative))])
     w = np.where(y == 1, 0.5 / len(positive), 0.5 / len(negative))
@@ -159,6 +162,8 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     """A model from texts that are not held out."""
     known = labels.select(F.col(id_col).cast("bigint").alias("id"), F.col(label_col).cast("int").alias("label"))
     known = known.where(F.col("label").isin(0, 1) & F.col("id").isNotNull() & (remainder(F.col("id")) != 1)).groupBy("id").agg(F.max("label").alias("label"))
+    docs_ids = docs.select(F.col(id_col).cast("bigint").alias("id"))
+    many = {r["label"]: r["count"] for r in known.join(docs_ids, "id", "left_semi").groupBy("label").count().collect()}  # all labelled texts, before any limit
     order = F.xxhash64("id")
     ids = docs.select(F.col(id_col).cast("bigint").alias("id")).where(F.col("id").isNotNull() & (remainder(F.col("id")) != 1))
     picked = known.where("label = 1").orderBy(order, "id").limit(sizes.positive).select("id", F.lit("p").alias("kind"))
@@ -173,7 +178,7 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     rows = found.orderBy("kind", "id").toArrow()
     x = np.asarray(pc.list_flatten(rows.column("x")).to_numpy(), np.float64).reshape(-1, WIDTH) if rows.num_rows else np.zeros((0, WIDTH))
     kind = np.array(rows.column("kind").to_pylist(), dtype="U1")
-    return fit(x[kind == "p"], x[kind == "u"], x[kind == "n"])
+    return fit(x[kind == "p"], x[kind == "u"], x[kind == "n"], known=estimate_prior(many.get(1, 0), many.get(0, 0)))
 
 
 def classify(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", sizes: Sizes = Sizes()) -> DataFrame:

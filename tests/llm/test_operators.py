@@ -436,3 +436,12 @@ def test_given_pages():
         want = [" ".join(html.unescape(re.sub("<[^>]*>", "", b)).split()) for b in re.split("</?(?:p|h1)>", inner)]
         right += text == "\n".join(b for b in want if b)
     assert right >= 0.98 * len(rows)
+
+
+@pytest.mark.parametrize("most", [5, 400])
+def test_prior_is_that_of_all_labels(spark, most):
+    docs = spark.createDataFrame([(k, f"text {k} of some words, ending well.") for k in range(300)], "doc_id bigint, text string")
+    labels = spark.createDataFrame([(k, int(k % 10 > 0)) for k in range(300)], "doc_id bigint, quality int")
+    rest = [k for k in range(300) if zlib.crc32(str(k).encode()) % 3 != 1]
+    model = pu_quality.train(docs, labels, sizes=pu_quality.Sizes(most, most, 100))
+    assert model.prior == sum(k % 10 > 0 for k in rest) / len(rest)
