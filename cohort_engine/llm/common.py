@@ -37,20 +37,40 @@ def words_of(text: Column) -> Column:
     return F.array_remove(F.split(text, r"[\x20\x09-\x0D]+"), "")
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """The same rows with their lineage cut: a checkpoint in the folder that the cluster shares.
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that the cluster shares: that of ``spark.checkpoint.dir``.
 
-    ``spark.checkpoint.dir`` names it; a folder of this machine is made only where the session
-    has none, as in local tests."""
-    context = df.sparkSession.sparkContext
+    Without that setting a folder of this machine is made, but only for a local master, as in tests: on a
+    cluster each executor would write to its own disk, so there the setting is asked for."""
+    context = spark.sparkContext
     if context.getCheckpointDir() is None:
-        context.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoints-"))
+        folder = spark.conf.get("spark.checkpoint.dir", None)
+        if folder is None:
+            if not context.master.split("[")[0] == "local":
+                raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
+            folder = tempfile.mkdtemp(prefix="checkpoints-")
+        context.setCheckpointDir(folder)
+    return context.getCheckpointDir()
+
+
+def cut(df: DataFrame) -> DataFrame:
+    """The same rows with their lineage cut: a checkpoint in the shared folder."""
+    shared_folder(df.sparkSession)
     return df.checkpoint()
 
 
-def small_batches(spark: SparkSession, rows: int = BATCH_ROWS) -> None:
-    if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch", "10000")) > rows:
-        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(rows))
+def drop_folder(spark: SparkSession, path: str) -> None:
+    """Deletes a folder that was written by Spark, wherever it is."""
+    jvm = spark.sparkContext._jvm
+    at = jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+
+
+def slices(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The batches in pieces of up to ``BATCH_ROWS`` rows, so that few texts at a time are Python objects."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, BATCH_ROWS):
+            yield batch.slice(at, BATCH_ROWS)
 
 
 def map_columns(df: DataFrame, fn: Callable[[dict[str, list]], dict[str, list]], schema: str) -> DataFrame:
@@ -58,14 +78,12 @@ def map_columns(df: DataFrame, fn: Callable[[dict[str, list]], dict[str, list]],
 
     The result may have any number of rows; batches are small, so memory is bounded by the
     longest texts, not by the partition."""
-    small_batches(df.sparkSession)
     kinds = arrow_schema(schema)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            if batch.num_rows:
-                got = fn({n: c.to_pylist() for n, c in zip(batch.schema.names, batch.columns, strict=True)})
-                yield pa.RecordBatch.from_arrays([as_arrow(got[f.name], f.type) for f in kinds], schema=kinds)
+        for batch in slices(batches):
+            got = fn({n: c.to_pylist() for n, c in zip(batch.schema.names, batch.columns, strict=True)})
+            yield pa.RecordBatch.from_arrays([as_arrow(got[f.name], f.type) for f in kinds], schema=kinds)
 
     return df.mapInArrow(run, schema)
 
@@ -80,27 +98,39 @@ def arrow_schema(schema: str) -> pa.Schema:
     return to_arrow_schema(T._parse_datatype_string(schema))
 
 
+def place_of(df: DataFrame, name: str) -> int:
+    """Where a column stands; names are compared as the session does."""
+    if name in df.columns or df.sparkSession.conf.get("spark.sql.caseSensitive") == "true":
+        return df.columns.index(name)
+    return [c.lower() for c in df.columns].index(name.lower())
+
+
 def add_columns(df: DataFrame, inputs: list[str], fn: Callable[[dict[str, list]], dict[str, list]], schema: str, keep: str | None = None) -> DataFrame:
     """``df`` with the columns of ``schema``, computed from ``inputs`` batch by batch; no shuffle.
 
     Columns of ``df`` that are not among the inputs stay in Arrow form. A new column takes the
-    place of an old one of the same name. ``keep``: a boolean column of the result; rows where
+    place of old ones of the same name, compared as the session does. ``keep``: a boolean column of the result; rows where
     it is false go, and it goes too."""
-    small_batches(df.sparkSession)
     kinds = arrow_schema(schema)
-    added = {f.name: f for f in T._parse_datatype_string(schema).fields}
-    old = [f for f in df.schema.fields if f.name not in added]
-    out = T.StructType([*(added.get(f.name, f) for f in df.schema.fields if f.name != keep), *(f for n, f in added.items() if n not in df.columns and n != keep)])
+    same = str if df.sparkSession.conf.get("spark.sql.caseSensitive") == "true" else str.lower
+    added = {same(f.name): f for f in T._parse_datatype_string(schema).fields if f.name != keep}
+    sources = {n: place_of(df, n) for n in inputs}
+    plan: list[tuple[T.StructField, int | None]] = []
+    for k, f in enumerate(df.schema.fields):
+        new = added.get(same(f.name))
+        if new is None:
+            plan.append((f, k))
+        elif (new, None) not in plan:
+            plan.append((new, None))
+    plan += [(f, None) for f in added.values() if (f, None) not in plan]
+    # numbered on the way, so that no two names meet
+    out = T.StructType([T.StructField(f"_{k}", f.dataType, True) for k, (f, _) in enumerate(plan)])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            got = fn({n: batch.column(batch.schema.get_field_index(n)).to_pylist() for n in inputs})
+        for batch in slices(batches):
+            got = fn({n: batch.column(k).to_pylist() for n, k in sources.items()})
             new = {f.name: as_arrow(got[f.name], f.type) for f in kinds}
-            columns = [new[n] if n in new else batch.column(batch.schema.get_field_index(n)) for n in out.names]
-            made = pa.RecordBatch.from_arrays(columns, names=out.names)
+            made = pa.RecordBatch.from_arrays([new[f.name] if k is None else batch.column(k) for f, k in plan], names=out.names)
             yield made.filter(new[keep]) if keep else made
 
-    assert len(old) + len({n for n in added if n in df.columns}) == len(df.columns)
-    return df.mapInArrow(run, out)
+    return df.mapInArrow(run, out).toDF(*(f.name for f, _ in plan))

@@ -3,13 +3,16 @@
 A page is read into a sequence of blocks: runs of text between tags that start or end a block, each with the path
 of open elements above it. A block becomes a vector of hashed path steps (tags, classes, ids, roles), hashed
 words and a few measures; a bidirectional LSTM, in numpy, reads the whole sequence both ways and labels
-every block in the light of all others. Blocks labelled content, joined by line feeds, are the text.
+every block in the light of all others. Blocks labelled content, joined by line feeds, are the text. All words of a block
+and all open elements above it count, however long and deep a page is.
 
 The weights are trained on generated pages of many layouts (:mod:`html_train`) and kept beside this module.
 
-Defined results: a null or empty page, or one without content blocks, has an empty text; broken markup (unclosed
-or stray tags) is read as far as it goes; scripts, styles, forms' fields, comments and markup are never text;
-repeated rows get equal texts; an empty table gives an empty one; other columns are not read.
+Defined results: a null or empty page, or one without content blocks, has an empty text; scripts, styles, fields of
+forms, comments and markup are never text; unclosed or stray tags are read as far as they go: an element whose
+text is left out and that has no end tag of its own ends with the element around it, at the next block or the next of its
+kind, and a head at the first tag that can't stand in it, so no text after it is lost; repeated rows get equal
+texts; an empty table gives an empty one; other columns are not read.
 """
 
 from __future__ import annotations
@@ -17,6 +20,7 @@ from __future__ import annotations
 import html
 import re
 import zlib
+from collections import defaultdict
 from functools import lru_cache
 from pathlib import Path
 
@@ -26,101 +30,204 @@ from pyspark.sql import functions as F
 
 from .common import map_columns
 
-_TAG = re.compile(r"<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^<>\"']++|\"[^\"<]*+\"|'[^'<]*+'|[\"'])*+)>|<[!?/][^>]*>", re.S)
+_TAG = re.compile(
+    r"<!--(?:-?>|.*?(?:--!?>|\Z))|<(/?)([a-zA-Z][^\s/<>]*)((?:[^<>\"']++|\"[^\"<]*+\"|'[^'<]*+'|(?<==)\"[^\"]{0,4000}\"(?=[\s/>])|(?<==)'[^']{0,4000}'(?=[\s/>])|[\"'])*+)>|<[!?/][^>]*>",
+    re.S,
+)
 _ATTRIBUTE = re.compile(r"(?:^|\s)(class|id|role|hidden|style)\s*(?:=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?", re.I)
 _NAME = re.compile(r"[a-z]+")
 _WORD = re.compile(r"\w+")
 # HTML elements by how they take part.
 INLINE = frozenset("a abbr acronym b bdi bdo big br cite code data del dfn em font i img ins kbd mark q rp rt ruby s samp small span strike strong sub sup time tt u var wbr".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-SKIPPED = frozenset("script style noscript template svg math title textarea select option button object iframe canvas audio video head".split())
+#: Elements whose text is left out; of the raw ones the inside is not markup.
+SKIPPED = frozenset("script style noscript template svg math title textarea select option optgroup button datalist object iframe canvas audio video head".split())
+RAW = frozenset("script style title textarea iframe".split())
+_IN_HEAD = frozenset("base basefont bgsound link meta noscript script style template title head html".split())
 _CLOSED_BY = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "p": {"p"}}
 _LIMITS = {"li": {"ul", "ol"}, "dt": {"dl"}, "dd": {"dl"}, "tr": {"table"}, "td": {"table"}, "th": {"table"}, "p": frozenset("div article section td th li body blockquote main aside header footer nav form".split())}
 _ENDS_P = frozenset("address article aside blockquote div dl fieldset footer form h1 h2 h3 h4 h5 h6 header hr main nav ol p pre section table ul".split())
+_OPTIONS = frozenset(("option", "optgroup"))
 
 #: Elements that have a place of their own in a block's vector; inline ones other than links count by their names alone.
 _PLACES = {t: k for k, t in enumerate("html body div section article main header footer nav aside p h1 h2 h3 h4 h5 h6 ul ol li dl dt dd table tbody tr td th form label fieldset legend blockquote pre figure figcaption address details summary center hgroup a".split())}
 TAGS, STEPS, WORDS, MEASURES, HIDDEN = 48, 240, 96, 12, 24  # STEPS counts tags and hashed names
 WIDTH = STEPS + WORDS + MEASURES
 
-Block = tuple[tuple[tuple[str, str], ...], str, int]
+#: Places of the path's steps, its depth without inline elements, the nearest element that isn't inline, the text, and how much of it is in links.
+Block = tuple[tuple[int, ...], int, str, str, int]
+
+
+class _Path:
+    """The open elements. Every operation takes time by what it opens and closes, and a path's steps are kept as
+    a set of bounded size, so deep nesting costs no more than wide pages."""
+
+    def __init__(self) -> None:
+        self.open: list[tuple[str, tuple[int, ...]]] = []
+        self.at: dict[str, list[int]] = defaultdict(list)
+        self.blocks: list[str] = []
+        self.counts: dict[int, int] = {}
+        self.known: tuple[int, ...] | None = ()
+
+    def push(self, tag: str, names: str) -> None:
+        places = _step(tag, names)
+        self.at[tag].append(len(self.open))
+        self.open.append((tag, places))
+        if tag not in INLINE:
+            self.blocks.append(tag)
+        for place in places:
+            n = self.counts.get(place, 0)
+            self.counts[place] = n + 1
+            if not n:
+                self.known = None
+
+    def cut(self, length: int) -> None:
+        while len(self.open) > length:
+            tag, places = self.open.pop()
+            self.at[tag].pop()
+            if tag not in INLINE:
+                self.blocks.pop()
+            for place in places:
+                self.counts[place] -= 1
+                if not self.counts[place]:
+                    del self.counts[place]
+                    self.known = None
+
+    def shut(self, names: frozenset[str] | set[str], limits: frozenset[str] | set[str] = frozenset()) -> None:
+        """Closes up to the nearest open element of these names, unless a limit is nearer."""
+        nearest = max((self.at[n][-1] for n in names if self.at.get(n)), default=-1)
+        if nearest >= 0 and nearest > max((self.at[n][-1] for n in limits if self.at.get(n)), default=-1):
+            self.cut(nearest)
+
+    def steps(self) -> tuple[int, ...]:
+        if self.known is None:
+            self.known = tuple(sorted(self.counts))
+        return self.known
+
+
+#: A tag: its first and last-plus-one character, its name, whether it ends an element, its attributes, and whether it closes itself.
+Tag = tuple[int, int, str, bool, str, bool]
+
+
+def _tags(page: str) -> tuple[list[Tag], dict[int, int]]:
+    """The tags of a page, and for start tags of left-out elements (by place) the place of their end tag, if they have one."""
+    tags: list[Tag] = []
+    ends: dict[int, int] = {}
+    waiting: dict[str, list[int]] = defaultdict(list)
+    no_end: set[str] = set()
+    m = _TAG.search(page)
+    while m:
+        at = m.end()
+        if m[2] is None:
+            tags.append((m.start(), at, "", True, "", False))
+        else:
+            tag, shut = m[2].lower(), m[3].rstrip().endswith("/")
+            if tag in SKIPPED:
+                if m[1]:
+                    if waiting[tag]:
+                        ends[waiting[tag].pop()] = len(tags)
+                elif not shut or tag == "head":
+                    waiting[tag].append(len(tags))
+            tags.append((m.start(), at, tag, bool(m[1]), m[3], shut))
+            if tag in RAW and not m[1] and not shut and tag not in no_end:
+                end = re.compile(rf"</{tag}(?=[\s/>])[^>]*>", re.I).search(page, at)
+                if end:
+                    waiting[tag].pop()
+                    ends[len(tags) - 1] = len(tags)
+                    tags.append((end.start(), end.end(), tag, True, "", False))
+                    at = end.end()
+                else:
+                    no_end.add(tag)
+        m = _TAG.search(page, at)
+    return tags, ends
 
 
 def blocks(page: str | None) -> list[Block]:
-    """``(path of (tag, names), text, characters in links)`` for every block with text, in page order."""
+    """The blocks with text, in page order."""
     out: list[Block] = []
     if not page:
         return out
-    stack: list[tuple[str, str]] = []
+    tags, ends = _tags(page)
+    path = _Path()
     pieces: list[str] = []
-    linked, path, links, skip = 0, (), 0, ""
+    linked, where, skip_to, loose, in_head = 0, ((), 0, ""), -1, "", False
 
     def close() -> None:
         nonlocal linked
         if pieces:
             text = " ".join(html.unescape("".join(pieces)).split())
             if text:
-                out.append((path, text, linked))
+                out.append((*where, text, min(linked, len(text))))
             pieces.clear()
         linked = 0
 
     def add(text: str) -> None:
-        nonlocal linked, path
-        if text:
+        nonlocal linked, where
+        if text and (pieces or not text.isspace()):
             if not pieces:
-                if text.isspace():
-                    return
-                path = tuple(stack)
+                where = (path.steps(), len(path.blocks), path.blocks[-1] if path.blocks else "")
             pieces.append(text)
-            if links:
+            if path.at["a"]:
                 linked += len(text)
 
-    def shut(names: set[str] | frozenset[str], limits: set[str] | frozenset[str] = frozenset()) -> None:
-        """Closes up to the nearest open element of these names, unless a limit is nearer."""
-        nonlocal links
-        for k in range(len(stack) - 1, -1, -1):
-            if stack[k][0] in names:
-                links = max(0, links - sum(t == "a" for t, _ in stack[k:]))
-                del stack[k:]
-                return
-            if stack[k][0] in limits:
-                return
-
     at = 0
-    for m in _TAG.finditer(page):
-        if not skip:
-            add(page[at : m.start()])
-        at = m.end()
-        if m[2] is None:
+    for k, (start, end, tag, closes, attributes, shut) in enumerate(tags):
+        if skip_to < 0 and not loose:
+            text = page[at:start]
+            if in_head and text and not text.isspace():
+                in_head = False
+            if not in_head:
+                add(text)
+        at = end
+        if skip_to >= 0:
+            if k == skip_to:
+                skip_to = -1
+            continue
+        if not tag:
             continue
-        tag = m[2].lower()
-        if skip:
-            if m[1] and tag == skip or skip == "head" and tag == "body" and not m[1]:
-                skip = ""
-            if skip or tag != "body":
+        if in_head:
+            if closes:
+                in_head = in_head and tag != "head"
                 continue
-        if m[1]:
+            if tag in _IN_HEAD:
+                skip_to = ends.get(k, -1) if tag in SKIPPED and tag != "head" else -1
+                loose = tag if tag in SKIPPED and tag != "head" and skip_to < 0 and not shut else ""
+                in_head = not loose
+                continue
+            in_head = False
+        if loose:  # an element without an end tag: it ends here, or goes on
+            options = loose in _OPTIONS
+            if tag in INLINE or (tag in VOID and tag != "hr") or (closes and tag in SKIPPED and not (options and tag in ("select", "datalist"))):
+                continue
+            if not closes and tag in SKIPPED and tag != loose and not (options and tag in _OPTIONS):
+                skip_to = ends.get(k, -1)
+                continue
+            loose = ""
+        if tag in SKIPPED and tag != "head":
+            if not closes and not shut:
+                if k in ends:
+                    skip_to = ends[k]
+                else:
+                    loose = tag
+            continue
+        if closes:
             if tag not in INLINE:
                 close()
-            elif tag == "a" and links and not any(t == "a" for t, _ in stack):
-                links = 0
-            shut({tag})
+            path.shut({tag})
             continue
         if tag not in INLINE:
             close()
             if tag in _ENDS_P:
-                shut(_CLOSED_BY["p"], _LIMITS["p"])
+                path.shut(_CLOSED_BY["p"], _LIMITS["p"])
             if tag in _CLOSED_BY and tag != "p":
-                shut(_CLOSED_BY[tag], _LIMITS[tag])
+                path.shut(_CLOSED_BY[tag], _LIMITS[tag])
         if tag == "br":
             add(" ")
-        if tag in SKIPPED and not m[3].rstrip().endswith("/"):
-            skip = tag
-        elif tag not in VOID and not m[3].rstrip().endswith("/"):
-            names = " ".join(f"{a[0].lower()} {a[1] or a[2] or a[3]}" for a in _ATTRIBUTE.findall(m[3])) if m[3] else ""
-            stack.append((tag, names))
-            links += tag == "a"
-    if not skip:
+        if tag == "head":
+            in_head = True
+        elif tag not in VOID and not (shut and tag not in ("body", "html")):
+            path.push(tag, " ".join(f"{a[0].lower()} {a[1] or a[2] or a[3]}" for a in _ATTRIBUTE.findall(attributes)) if attributes else "")
+    if skip_to < 0 and not loose and not (in_head and page[at:].isspace()):
         add(page[at:])
     close()
     return out
@@ -139,19 +246,19 @@ def _word(word: str) -> int:
     return STEPS + zlib.crc32(word.encode()) % WORDS
 
 
+_PROSE, _TITLES = frozenset(("p", "blockquote", "pre")), frozenset(("h1", "h2", "h3", "h4"))
+
+
 def vectors(page: list[Block]) -> np.ndarray:
     out = np.zeros((len(page), WIDTH), np.float32)
     n = max(1, len(page))
-    for k, (path, text, linked) in enumerate(page):
+    for k, (steps, depth, own, text, linked) in enumerate(page):
         row = out[k]
-        for tag, names in path[-8:]:
-            for place in _step(tag, names):
-                row[place] = 1
-        words = _WORD.findall(text[:400].lower())[:40]
-        for w in words:
-            row[_word(w)] += 1 / (2 + len(words) / 4)
+        row[list(steps)] = 1
+        words = _WORD.findall(text.lower())
+        if words:
+            row[STEPS : STEPS + WORDS] = np.bincount([_word(w) for w in words], minlength=STEPS + WORDS)[STEPS:] / (2 + len(words) / 4)
         size = len(text)
-        own = next((t for t, _ in reversed(path) if t not in INLINE), "")
         row[STEPS + WORDS :] = (
             min(np.log1p(size) / 7, 1.5),
             min(linked / size, 1),
@@ -160,9 +267,9 @@ def vectors(page: list[Block]) -> np.ndarray:
             min(np.log1p(n) / 5, 1.5),
             text[-1] in ".!?:\"”»…",
             size < 30,
-            min(sum(t not in INLINE for t, _ in path) / 10, 1.5),
-            own in ("p", "blockquote", "pre"),
-            own in ("h1", "h2", "h3", "h4"),
+            min(depth / 10, 1.5),
+            own in _PROSE,
+            own in _TITLES,
             "©" in text,
             k == n - 1,
         )
@@ -224,7 +331,7 @@ def main_texts(pages: list[str | None]) -> list[str]:
     read = [blocks(p) for p in pages]
     out = []
     for page, p in zip(read, _loaded[0].label([vectors(b) for b in read]), strict=True):
-        out.append("\n".join(text for (_, text, _), q in zip(page, p.tolist(), strict=True) if q >= 0.5))
+        out.append("\n".join(b[3] for b, q in zip(page, p.tolist(), strict=True) if q >= 0.5))
     return out
 
 

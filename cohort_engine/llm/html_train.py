@@ -45,10 +45,22 @@ class Pages:
             return f"<{tag}>{inner}</{tag}>"
         name = r.choice(names)
         if r.random() < 0.3:
-            name += r.choice(("-1", "_box", "-wrap", " wide", " clearfix", "-inner"))
+            name += r.choice(("-1", "-area", "_box", "-wrap", " wide", " clearfix", "-inner"))
         if r.random() < 0.2:
             name = r.choice(("x-", "site-", "page-", "c-", "widget ")) + name
-        return f'<{tag} {r.choice(("class", "class", "id"))}="{name}">{inner}</{tag}>'
+        own = f'id="{r.choice(names)}" class="{name}"' if r.random() < 0.2 else f'{r.choice(("class", "class", "id"))}="{name}"'
+        return f"<{tag} {own}>{inner}</{tag}>"
+
+    def wrapped(self, inner: str) -> str:
+        """Inside several elements whose names say nothing."""
+        for _ in range(self.r.choice((1, 2, 3, 6, 12))):
+            inner = f"<div{self.r.choice(('', '', ' class=row', ' class=col-md-8', ' class=inner', ' id=wrap', ' class=container'))}>{inner}</div>"
+        return inner
+
+    def odd(self) -> str:
+        """Markup whose text is left out, not always closed."""
+        w = self.word
+        return self.r.choice((f"<select><option>{w()}<option selected>{w()}</select>", f"<datalist id=d><option>{w()}<option>{w()}</datalist>", f"<button>{w()}", f"<object data=x><object>{w()}</object>{w()}</object>", f"<noscript>{w()}</noscript>", f"<svg><text>{w()}</text></svg>"))
 
     def links(self, content: bool, least: int = 2, most: int = 9) -> str:
         r = self.r
@@ -78,7 +90,12 @@ class Pages:
             return f'<form action="/s">{r.choice(("", f"<p>{m(short())}</p>", f"<legend>{m(self.word())}</legend>"))}{fields}<button>{self.word()}</button></form>'
         if kind == "comments":
             each = lambda: r.choice((f'<div class="comment"><p>{m(long())}</p></div>', f"<li><b>{m(self.word())}</b><p>{m(long())}</p></li>", f'<div class="reply">{m(long())}</div>', f'<article class="comment"><h4>{m(self.word())}</h4><p>{m(long())}</p></article>'))
-            inner = (f"<h3>{m(r.choice(('Comments', 'Kommentare', 'Responses', '3 comments', 'Leave a reply')))}</h3>" if r.random() < 0.6 else "") + "".join(each() for _ in range(r.randint(1, 5)))
+            n, head = r.randint(1, 40), r.choice(("h2", "h3", "h3", "h4"))
+            title = r.choice(("Comments", "Kommentare", "Responses", f"{n} comments", "Leave a reply", f"{n} replies", f"{n} {self.sentence(1, 4)}", self.sentence(1, 4)))
+            inner = (f"<{head}{r.choice(('', ' class=comments-title', ' class=reply-title'))}>{m(title)}</{head}>" if r.random() < 0.7 else "") + "".join(each() for _ in range(r.randint(1, 5)))
+            if r.random() < 0.25:  # a thread, answers inside answers
+                for _ in range(r.randint(2, 9)):
+                    inner = f'<ol{r.choice(("", " class=children", " class=replies"))}><li{r.choice(("", " class=comment", " id=c7"))}>{each()}{inner}</li></ol>'
             return self.named(r.choice(("div", "section", "ol")), ["comments", "comment-list", "commentlist", "discussion", "respond", "disqus", "replies", "reviews", "user-comments"], inner)
         inner = r.choice((m("&copy; 2024 " + short()), para(short()), self.links(False), f"<p>{m('© ' + self.sentence(1, 6))}</p>" + self.links(False), m(f"&copy; {self.word()}.example.net &middot; {long()}")))
         return f"<footer>{inner}</footer>" if r.random() < 0.6 else self.named("div", ["footer", "site-footer", "copyright", "bottom", "legal", "colophon"], inner)
@@ -87,6 +104,11 @@ class Pages:
         r, m = self.r, lambda t: self.mark(t, True)
         title = self.sentence(1, 10)
         parts = [f"<{h}>{m(title)}</{h}>" for h in (["h1"] if r.random() < 0.85 else ["h2"] if r.random() < 0.5 else [])]
+        if parts and r.random() < 0.3:
+            own = r.choice(("", ' class="entry-title"', ' class="post-title"', ' class="title"', ' class="headline"', ' id="title"'))
+            parts = [parts[0].replace(">", own + ">", 1)]
+            if r.random() < 0.5:
+                parts = [f"<header{r.choice(('', ' class=entry-header', ' class=article-header'))}>{parts[0]}</header>"]
         bare = r.random() < 0.12
         for k in range(r.choice((1, 1, 2, 3, 4, 5, 6, 8, 12, 20, 40))):
             t = self.prose(r.choice((1, 1, 1, 2, 3, 5, 8)))
@@ -121,24 +143,32 @@ class Pages:
             return f"<main><article>{inner}</article></main>"
         return self.named(r.choice(("div", "div", "section", "td", "article")), ["content", "main", "article", "post", "entry", "entry-content", "story", "text", "post-body", "article-body", "main-content", "body-text"], inner)
 
+    def shared(self, article: str) -> str:
+        """An article and, in the element around it, comments, forms or links that follow."""
+        around = "".join([article, *(self.noise(k) for k in ("comments", "form", "sidebar", "menu") if self.r.random() < 0.4)])
+        return f"<main>{around}</main>" if self.r.random() < 0.5 else self.named("div", ["main", "content", "container", "site-content", "primary", "column"], around)
+
     def page(self) -> str:
         r = self.r
         before = [self.noise(k) for k in ("menu", "header", "advert", "notice", "form") if r.random() < 0.45]
         after = [self.noise(k) for k in ("comments", "sidebar", "advert", "form", "menu", "notice", "sidebar") if r.random() < 0.3] + ([self.noise("footer")] if r.random() < 0.8 else [])
         r.shuffle(before)
         middle = "" if r.random() < 0.03 else self.article()
-        parts = [*before, middle, *after]
+        if r.random() < 0.15:
+            before.append(self.odd())
+        parts = [self.wrapped(x) if r.random() < 0.12 else x for x in (*before, middle, *after)]
         if r.random() < 0.3:
             parts = [f'<div class="{r.choice(("wrapper", "container", "page", "row", "site"))}">', *parts, "</div>"]
         ends = "</body></html>" if r.random() < 0.9 else ""
-        return f"<!DOCTYPE html><html><head><title>{self.sentence(1, 8)}</title><style>p{{margin:0}}</style></head><body>{''.join(parts)}{ends}"
+        start = "</head><body>" if r.random() < 0.9 else ""
+        return f"<!DOCTYPE html><html><head><title>{self.sentence(1, 8)}</title><style>p{{margin:0}}</style>{start}{''.join(parts)}{ends}"
 
 
 def labelled(page: str) -> tuple[np.ndarray, np.ndarray]:
     """Vectors and labels of a generated page; the marks are taken out before anything is measured."""
     read = blocks(page)
-    y = np.array([float("\ue001" in text) for _, text, _ in read], np.float32)
-    clean = [(path, text.replace("\ue001", "").replace("\ue000", "") or ".", linked) for path, text, linked in read]
+    y = np.array([float("\ue001" in b[3]) for b in read], np.float32)
+    clean = [(*b[:3], b[3].replace("\ue001", "").replace("\ue000", "") or ".", b[4]) for b in read]
     return vectors(clean), y
 
 
@@ -190,7 +220,7 @@ def slopes(w: dict[str, np.ndarray], x: np.ndarray, alive: np.ndarray, y: np.nda
     return grad, float(loss)
 
 
-def train(pages: int = 5000, epochs: int = 4, batch: int = 32, rate: float = 0.006, seed: int = 11) -> dict[str, np.ndarray]:
+def train(pages: int = 14000, epochs: int = 4, batch: int = 32, rate: float = 0.006, seed: int = 11) -> dict[str, np.ndarray]:
     maker, rng = Pages(seed), np.random.default_rng(seed)
     data = [d for d in (labelled(maker.page()) for _ in range(pages)) if len(d[0])]
     w = _sides(rng)
