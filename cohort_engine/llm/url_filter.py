@@ -1,32 +1,31 @@
 """URL filters: host rules, and beyond them a ratio of character language models.
 
 Two variable-order Markov models over the characters of host and path, one for accepted and one for
-rejected URLs, are trained on all URLs that have a weak label: a URL is taken as rejected if a
+rejected URLs, are trained on URLs that have a weak label: a URL is taken as rejected if a
 word of its host is in a list of unwanted words, and as accepted if there is no such word and no rule blocks it
 (rules that block whole sections say nothing about the look of a URL, so these URLs train neither model).
-The score of a URL is the difference of its two log-likelihoods divided by its length; the threshold is the one
-with the least balanced error over all weakly labelled URLs. URLs that a rule judges keep the rule's verdict.
+Hosts are split by a hash: those of one part are counted, and the labelled URLs of the other part
+calibrate the threshold, which is the one of least balanced error on hosts that the models haven't seen.
+The score of a URL is the difference of its two log-likelihoods divided by its length. URLs that a rule judges keep the rule's verdict.
 
 A model mixes orders 0 to 5: each order's estimate is smoothed towards that of the order below (an
-order counts for as much as it has seen of the context). Counts are kept in hashed tables whose size grows with
-the characters counted, up to ``MOST_BUCKETS``, so what is broadcast is bounded, however many URLs are counted.
+order counts for as much as it has seen of the context). Counts are exact and stay distributed: a table of the distinct
+windows of six characters, which grows with the input as texts of more kinds are seen. Every lower order is a sum over it, and what a
+window adds to a score is worked out once for each distinct window and joined with the windows of the distinct URLs. All of it is DataFrame functions.
 
 Defined results: a null URL or one without ``://`` has an empty host and path, fits no rule, and gets the verdict
 of the models' threshold at score 0; repeated rows get equal answers; with no labelled URLs the built-in
-seeds alone train the models; an empty table gives an empty one; other columns are not read.
+seeds alone train the models, and where one of the labels is missing from the calibrating part the threshold is 0; an empty table
+gives an empty one; other columns are not read.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-from dataclasses import dataclass
-
 import numpy as np
-import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import arrow_schema, cut, map_columns, small_batches
+from .common import cut, let
 
 # Rules as host and start of path, and words that mark a host as unwanted.
 RULES = {"org/": "allow", "example.org/es/": "block", "example.org/en/1": "block", "com/fr/": "allow", "com/de/": "block"}
@@ -36,9 +35,13 @@ UNWANTED = (
 )
 WELCOME = ("news", "blog", "wiki", "docs", "library", "museum", "school", "university", "journal", "weather", "garden", "history", "science", "music", "travel", "archive", "recipes", "research", "forum", "books")
 ORDER = 5
-#: Buckets of a table: one for so many characters, rounded up to a power of two, between these bounds. A model has four tables of 8 bytes a bucket: 64 MB at most.
-CHARS_PER_BUCKET, LEAST_BUCKETS, MOST_BUCKETS = 4, 1 << 17, 1 << 21
-WEIGHT = 0.5
+#: How much the estimate of the order below counts for, in characters seen.
+WEIGHT = 4.0
+#: One host in so many calibrates.
+PARTS = 4
+#: Scores are summed as whole numbers of this part, so that no sum depends on the order of rows.
+UNIT = 1 << 30
+_START = "\u0002"
 _BINS, _SPAN = 4000, 8.0
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
@@ -78,106 +81,89 @@ def _seeds() -> tuple[list[str], list[str]]:
     return pairs(WELCOME), pairs(UNWANTED)
 
 
-def bucket_count(chars: int) -> int:
-    return min(max(LEAST_BUCKETS, 1 << (max(chars, 1) // CHARS_PER_BUCKET).bit_length()), MOST_BUCKETS)
-
-
-def _buckets(texts: list[str], n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """For every character of every text and every order, the buckets (of ``n``) of its context and of the context with it; and each text's length."""
-    raw = [t.encode() for t in texts]
-    lengths = np.array([len(r) for r in raw], np.int64)
-    flat = np.frombuffer(b"".join(raw), np.uint8).astype(np.uint64) + np.uint64(1)
-    first = np.repeat(np.cumsum(lengths) - lengths, lengths)
-    place = np.arange(len(flat)) - first
-    contexts, events = [], []
-    h = np.zeros(len(flat), np.uint64)
-    for order in range(ORDER + 1):
-        if order:  # the character ``order`` places before; 0 before the start
-            before = np.where(place >= order, flat[np.maximum(np.arange(len(flat)) - order, 0)], 0).astype(np.uint64)
-            h = (h + before + np.uint64(1)) * np.uint64(0x9E3779B97F4A7C15)
-        salted = (h ^ np.uint64(order * 0x51ED27)) * np.uint64(0xC2B2AE3D27D4EB4F)
-        contexts.append((salted >> np.uint64(40)) % np.uint64(n))
-        events.append((((salted ^ flat) * np.uint64(0x165667B19E3779F9)) >> np.uint64(40)) % np.uint64(n))
-    return np.array(contexts, np.int64), np.array(events, np.int64), lengths
-
-
-@dataclass
-class UrlModel:
-    """``counts[label, 0 or 1]``: what was seen of contexts, and of contexts with the next character."""
-
-    counts: np.ndarray
-    threshold: float = 0.0
-
-    def scores(self, texts: list[str]) -> np.ndarray:
-        contexts, events, lengths = _buckets(texts, self.counts.shape[2])
-        gain = np.zeros(contexts.shape[1])
-        for label, sign in ((1, 1.0), (0, -1.0)):
-            p = np.full(contexts.shape[1], 1 / 256)
-            for c, e in zip(contexts, events, strict=True):
-                seen, with_char = self.counts[label, 0][c], self.counts[label, 1][e]
-                p = (np.minimum(with_char, seen) + WEIGHT * 8 * p) / (seen + WEIGHT * 8)
-            gain += sign * np.log(p)
-        ends = np.cumsum(lengths)
-        sums = np.concatenate([[0.0], np.cumsum(gain)])
-        return np.where(lengths > 0, (sums[ends] - sums[ends - lengths]) / np.maximum(lengths, 1), 0.0)
-
-
-def _tally(counts: np.ndarray, label: int, texts: list[str]) -> None:
-    for part, places in enumerate(_buckets(texts, counts.shape[2])[:2]):
-        np.add.at(counts[label, part], places.ravel(), 1)
-
-
-def train(judged: DataFrame) -> UrlModel:
-    """Counts over all weakly labelled URLs, then the threshold over all of them."""
-    labelled = judged.where("label is not null").select(F.concat("host", "path").alias("url"), "label")
-    size = bucket_count(labelled.agg(F.sum(F.octet_length("url")).alias("n")).first()["n"] or 0)
-    small_batches(judged.sparkSession)
-    kinds = arrow_schema("label int, part int, bucket int, n bigint")
-
-    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts = np.zeros((2, 2, size), np.int64)
-        for batch in batches:
-            texts, labels = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-            for label in (0, 1):
-                if own := [t for t, x in zip(texts, labels, strict=True) if x == label]:
-                    _tally(counts, label, own)
-        label, part, bucket = np.nonzero(counts)
-        yield pa.RecordBatch.from_arrays([pa.array(label, pa.int32()), pa.array(part, pa.int32()), pa.array(bucket, pa.int32()), pa.array(counts[label, part, bucket], pa.int64())], schema=kinds)
-
-    total = labelled.mapInArrow(count, "label int, part int, bucket int, n bigint").groupBy("label", "part", "bucket").agg(F.sum("n").alias("n")).toArrow()  # at most 4 * MOST_BUCKETS rows
-    counts = np.zeros((2, 2, size), np.int64)
-    for label, seeds in zip((1, 0), _seeds(), strict=True):
-        _tally(counts, label, seeds)
-    at = [total.column(k).to_numpy() for k in ("label", "part", "bucket")]
-    counts[at[0], at[1], at[2]] += total.column("n").to_numpy()
-    model = UrlModel(counts)
-
-    shared = judged.sparkSession.sparkContext.broadcast(model)
-
-    def bins(c: dict[str, list]) -> dict[str, list]:
-        place = np.clip(((shared.value.scores(c["url"]) + _SPAN / 2) / _SPAN * _BINS).astype(int), 0, _BINS - 1)
-        return {"label": c["label"], "bin": place.tolist()}
-
-    seen = map_columns(labelled, bins, "label int, bin int").groupBy("label", "bin").count().collect()  # at most 2 * _BINS rows
+def windows(text: Column) -> Column:
+    """For each character of a text the window that ends with it: ``ORDER`` characters before it, and itself."""
+    chars = F.split(F.concat(F.lit(_START * ORDER), text), "")
+    made = let(chars, lambda c: F.transform(F.sequence(F.lit(0), F.size(c) - ORDER - 1), lambda i: F.concat(*(F.get(c, i + k) for k in range(ORDER + 1)))))
+    return F.when(F.length(text) > 0, made).otherwise(F.array().cast("array<string>"))
+
+
+def _estimates(table: DataFrame) -> DataFrame:
+    """``w, gain`` from ``w, n1, n0`` with a row for each distinct window.
+
+    A window's last two characters of context decide the partition, so all orders from two on are summed without another shuffle."""
+    table = cut(table)
+    total = table.agg(F.sum("n1").alias("t1"), F.sum("n0").alias("t0")).first()
+    last = lambda n: F.substring("w", ORDER + 2 - n, n)
+    context = lambda k: F.substring("w", ORDER + 1 - k, k)
+
+    def summed(key: Column, name: str) -> DataFrame:
+        return table.groupBy(key.alias(name)).agg(*(F.sum(f"n{x}").alias(f"{name}_{x}") for x in (1, 0)))
+
+    held = table.withColumn("pair", context(2)).repartition("pair")
+    for k in range(ORDER, 1, -1):
+        for name, key in ((f"c{k}", context(k)), (f"e{k}", last(k + 1))):
+            over = Window.partitionBy("pair", key)
+            held = held.withColumns({f"{name}_{x}": F.sum(f"n{x}").over(over) for x in (1, 0)}) if name != f"e{ORDER}" else held.withColumns({f"{name}_{x}": F.col(f"n{x}") for x in (1, 0)})
+    # the two lowest orders: a row for each character, and for each pair of characters
+    held = held.withColumns({"e0": last(1), "e1": last(2), "c1": context(1)})
+    for name, key in (("e0", last(1)), ("e1", last(2)), ("c1", context(1))):
+        held = held.join(summed(key, name), name)
+    held = held.withColumns({f"c0_{x}": F.lit(total[f"t{x}"] or 0) for x in (1, 0)})
+
+    def likelihood(x: int) -> Column:
+        p = F.lit(1 / 256)
+        for k in range(ORDER + 1):
+            p = (F.col(f"e{k}_{x}") + WEIGHT * p) / (F.col(f"c{k}_{x}") + WEIGHT)
+        return p
+
+    return held.select("w", F.round((F.ln(likelihood(1)) - F.ln(likelihood(0))) * UNIT).cast("bigint").alias("gain"))
+
+
+def _seed_rows(spark: SparkSession) -> DataFrame:
+    return spark.createDataFrame([(u, x, False) for x, urls in zip((1, 0), _seeds(), strict=True) for u in urls], "url string, label int, held boolean")
+
+
+def gains(urls: DataFrame) -> DataFrame:
+    """``w, gain`` for every window of ``urls`` (``url, label, held``): what it adds to the log-likelihood ratio, in parts of
+    ``UNIT``. Labelled URLs that aren't held back are counted, and so are the seeds."""
+    every = urls.unionByName(_seed_rows(urls.sparkSession))
+    counted = lambda x: F.when((F.col("label") == x) & ~F.col("held"), 1).otherwise(0)
+    flat = every.select(F.explode(windows(F.col("url"))).alias("w"), counted(1).alias("n1"), counted(0).alias("n0"))
+    return _estimates(flat.groupBy("w").agg(F.sum("n1").alias("n1"), F.sum("n0").alias("n0")))
+
+
+def scored(judged: DataFrame) -> DataFrame:
+    """``judged`` (``host, path, label`` and more) with ``held`` and ``score``.
+
+    Scores are worked out once for each distinct URL, known by 128 bits of hash, so a URL that many rows share costs no more than another."""
+    held = F.pmod(F.xxhash64("host"), F.lit(PARTS)) == 0
+    rows = judged.withColumns({"url": F.concat("host", "path"), "held": held})
+    rows = rows.withColumns({"_a": F.xxhash64("url"), "_b": F.xxhash64(F.lit(1), "url")})
+    model = gains(rows.select("url", "label", "held"))
+    distinct = rows.groupBy("_a", "_b").agg(F.min("url").alias("url"))
+    places = distinct.select("_a", "_b", F.explode(windows(F.col("url"))).alias("w")).groupBy("_a", "_b", "w").agg(F.count("*").alias("n"))
+    sums = places.join(model, "w").groupBy("_a", "_b").agg((F.sum(F.col("gain") * F.col("n")) / UNIT / F.sum("n")).alias("score"))
+    return rows.join(sums, ["_a", "_b"], "left").withColumn("score", F.round(F.coalesce("score", F.lit(0.0)), 9)).drop("_a", "_b", "url")
+
+
+def threshold(rows: DataFrame) -> float:
+    """The score of least balanced error over the labelled URLs that weren't counted."""
+    place = F.least(F.greatest(F.floor((F.col("score") + _SPAN / 2) / _SPAN * _BINS), F.lit(0)), F.lit(_BINS - 1)).cast("int")
+    seen = rows.where("label is not null and held").groupBy("label", place.alias("bin")).count().collect()  # at most 2 * _BINS rows
     held = np.zeros((2, _BINS))
     for r in seen:
         held[r["label"], r["bin"]] = r["count"]
-    if held.sum(1).all():
-        below = np.concatenate([np.zeros((2, 1)), np.cumsum(held, 1)], 1) / held.sum(1, keepdims=True)
-        error = below[1] + 1 - below[0]  # accepted below the threshold, and rejected at or above it
-        best = np.flatnonzero(error <= error.min() + 1e-12)
-        model.threshold = (best[0] + best[-1]) / 2 / _BINS * _SPAN - _SPAN / 2
-    return model
+    if not held.sum(1).all():
+        return 0.0
+    below = np.concatenate([np.zeros((2, 1)), np.cumsum(held, 1)], 1) / held.sum(1, keepdims=True)
+    error = below[1] + 1 - below[0]  # accepted below the threshold, and rejected at or above it
+    best = np.flatnonzero(error <= error.min() + 1e-12)
+    return float((best[0] + best[-1]) / 2 / _BINS * _SPAN - _SPAN / 2)
 
 
 def judge(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", rules: dict[str, str] = RULES) -> DataFrame:
     """A row for each URL: ``id_col, host, path, rule, verdict, score``."""
-    judged = cut(judged_by_rules(pages, id_col, url_col, rules))
-    shared = pages.sparkSession.sparkContext.broadcast(train(judged))
-
-    def run(c: dict[str, list]) -> dict[str, list]:
-        scores = shared.value.scores([h + p for h, p in zip(c["host"], c["path"], strict=True)])
-        verdict = [r or ("allow" if s >= shared.value.threshold else "block") for r, s in zip(c["ruled"], scores.tolist(), strict=True)]
-        return {k: c[k] for k in ("id", "host", "path", "rule")} | {"verdict": verdict, "score": scores.tolist()}
-
-    return map_columns(judged, run, "id bigint, host string, path string, rule string, verdict string, score double").withColumnRenamed("id", id_col)
+    rows = cut(scored(cut(judged_by_rules(pages, id_col, url_col, rules))))
+    verdict = F.coalesce("ruled", F.when(F.col("score") >= threshold(rows), "allow").otherwise("block"))
+    return rows.select(F.col("id").alias(id_col), "host", "path", "rule", verdict.alias("verdict"), "score")

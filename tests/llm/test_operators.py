@@ -9,6 +9,7 @@ import zlib
 import numpy as np
 import pytest
 import xxhash
+from pyspark.sql import functions as F
 
 from cohort_engine.llm import decontam, html_extract, html_train, license_scan, pii, pu_quality, quality_rules, sharding, simhash, sp_codec, url_filter
 
@@ -327,8 +328,6 @@ def test_licenses(spark, docs, none):
 
 
 def test_urls(spark):
-    from pyspark.sql import functions as F
-
     urls = [
         "https://WWW.News.ORG/a?b=://x", "http://example.org/es/1", "http://m.example.org/en/17", "http://notexample.org/es/1", "ftp://x.com/fr/#q", "https://a.b.com/de/2?u", "https://x.net",
         "https://casino-win.net/en/1", "no scheme", None, "", "http://x.org", "http://x.org?y/", "x\ny://h.com/de/3",
@@ -349,16 +348,55 @@ def test_urls(spark):
     assert url_filter.judge(pages.where(F.lit(False))).count() == 0
 
 
-def test_url_tables_grow():
-    sizes = [url_filter.bucket_count(n) for n in (0, 10**5, 10**6, 4 * 10**6, 10**12)]
-    assert sizes == sorted(sizes) and sizes[0] == url_filter.LEAST_BUCKETS < sizes[3] < sizes[4] == url_filter.MOST_BUCKETS
-    good, bad = ["aabbaabb", "abab"], ["xyxyxy", "yyxx"]
-    for n in (1 << 12, 1 << 20):
-        counts = np.zeros((2, 2, n), np.int64)
-        url_filter._tally(counts, 1, good)
-        url_filter._tally(counts, 0, bad)
-        assert counts[1].sum(1).tolist() == [12 * (url_filter.ORDER + 1)] * 2
-        assert (url_filter.UrlModel(counts).scores([*good, *bad]) > 0).tolist() == [True, True, False, False]
+def _url_scores(urls):
+    """Scores by plain dictionaries, from the definition: ``urls`` has text, label and whether it is held back."""
+    n = url_filter.ORDER
+    events, contexts = {}, {}
+    seeds = [(u, x, False) for x, us in zip((1, 0), url_filter._seeds(), strict=True) for u in us]
+    pad = lambda t: url_filter._START * n + t
+    for t, x, held in [*urls, *seeds]:
+        if x is not None and not held:
+            for i in range(len(t)):
+                for k in range(n + 1):
+                    ctx = pad(t)[i + n - k : i + n]
+                    events[x, ctx, t[i]] = events.get((x, ctx, t[i]), 0) + 1
+                    contexts[x, ctx, k] = contexts.get((x, ctx, k), 0) + 1
+    out = []
+    for t, *_ in urls:
+        total = 0.0
+        for i in range(len(t)):
+            for x, sign in ((1, 1), (0, -1)):
+                p = 1 / 256
+                for k in range(n + 1):
+                    ctx = pad(t)[i + n - k : i + n]
+                    p = (events.get((x, ctx, t[i]), 0) + url_filter.WEIGHT * p) / (contexts.get((x, ctx, k), 0) + url_filter.WEIGHT)
+                total += sign * np.log(p)
+        out.append(total / len(t) if t else 0.0)
+    return out
+
+
+def test_url_scores_by_plain_dictionaries(spark):
+    r = random.Random(6)
+    hosts = ["news.example.com", "my-casino.net", "a.b.org", "bücher.de", "𝄞.com", "poker.win.io", "docs.example.org"]
+    urls = [(r.choice(hosts) + "/" + "".join(r.choices("abc/-1", k=r.randint(0, 9))), r.choice((1, 0, None)), r.random() < 0.3) for _ in range(60)] + [("", None, False), ("x" * 3000, 1, False)]
+    df = spark.createDataFrame([(k, u[:1], u[1:], x, h) for k, (u, x, h) in enumerate(urls)], "k int, host string, path string, label int, was boolean")
+    text = df.select("k", F.concat("host", "path").alias("url"), "label", F.col("was").alias("held"))
+    gain = {g["w"]: g["gain"] / url_filter.UNIT for g in url_filter.gains(text.select("url", "label", "held")).collect()}
+    want = _url_scores(urls)
+    for (t, *_), score in zip(urls, want, strict=True):
+        p = url_filter._START * url_filter.ORDER + t
+        assert abs(sum(gain[p[i : i + url_filter.ORDER + 1]] for i in range(len(t))) / max(1, len(t)) - score) < 1e-7, t
+    judged = df.withColumn("id", F.col("k"))
+    got = {x["k"]: x for x in url_filter.scored(judged).collect()}
+    held = {k: x["held"] for k, x in got.items()}
+    again = _url_scores([(t, x, held[k]) for k, (t, x, _) in enumerate(urls)])
+    assert all(abs(got[k]["score"] - s) < 1e-6 for k, s in enumerate(again))
+
+
+def test_threshold_of_urls(spark):
+    rows = [(1, True, 0.5), (1, True, 0.25), (0, True, -0.5), (0, True, 0.125), (0, False, 3.0), (None, True, -3.0)]
+    df = spark.createDataFrame(rows, "label int, held boolean, score double")
+    assert 0.125 < url_filter.threshold(df) <= 0.25 and url_filter.threshold(df.where("label = 1")) == 0.0
 
 
 def test_quality_of_held_out_texts(spark, none):
