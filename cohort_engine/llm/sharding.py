@@ -3,23 +3,28 @@
 Records are hashed into a fixed number of virtual slots, far more than shards. A small versioned
 map says which shard holds which slot. Version 0 deals slots out in turn; bytes are summed by
 slot, and an edit moves slots from shards above the mean to shards below it until no move helps.
+Every version is written to a table of maps in the shared folder, and records are placed by the version read from there.
 Only the map (a few thousand rows, whatever the data) passes through the driver.
 
-Defined results: a null text has no bytes (size 16, checksum 0); a null id hashes like any value;
-records that are equal in id and text share a virtual slot, all others are spread, so hot ids,
-sources and groups of copies do not meet; an empty table gives an empty one and map version 0 or 1
+Records that are equal in id and text are numbered, and the number is part of what is hashed, so even a third of all rows being
+one repeated record spreads over all slots. They are numbered within the partitions that they lie in and
+moved by the counts of the partitions before, so no task holds all of them.
+
+Defined results: a null text has no bytes (size 16, checksum 0); a null id hashes like any value; hot ids,
+sources, groups of copies and repeated rows do not meet in a slot; an empty table gives an empty one and a map
 with the slots dealt in turn; other columns are not read.
 """
 
 from __future__ import annotations
 
 import json
+import uuid
 from dataclasses import dataclass, field
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, shared_folder
 
 VIRTUAL_SLOTS = 4096
 OVERHEAD_BYTES = 16
@@ -108,40 +113,64 @@ class SlotMap:
         m = json.loads(row["map"])
         return SlotMap(m["shards"], tuple(m["shard_of"]), m["version"], tuple(map(tuple, m["moves"])))
 
-
-def virtual_slot(id_col: str, text_col: str, slots: int = VIRTUAL_SLOTS) -> Column:
-    return F.pmod(F.xxhash64(F.col(id_col), F.col(text_col)), F.lit(slots)).cast("int")
+    @staticmethod
+    def last(spark: SparkSession, path: str) -> SlotMap | None:
+        """The last version at ``path``, if there is a table."""
+        at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+        there = at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(at)
+        return SlotMap.read(spark, path) if there else None
 
 
-def sized(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", slots: int = VIRTUAL_SLOTS) -> DataFrame:
-    """``id_col, size, text_crc32, virtual_slot``."""
+def sized(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``id_col, size, text_crc32`` and ``text_hash``, which tells a null text from an empty one."""
     text = F.coalesce(F.col(text_col), F.lit(""))
     return docs.select(
         F.col(id_col),
         (F.octet_length(text) + OVERHEAD_BYTES).cast("bigint").alias("size"),
         F.crc32(text).cast("bigint").alias("text_crc32"),
-        virtual_slot(id_col, text_col, slots).alias("virtual_slot"),
+        F.xxhash64(F.col(text_col), F.col(text_col).isNull()).alias("text_hash"),
     )
 
 
+def slotted(records: DataFrame, id_col: str = "doc_id", slots: int = VIRTUAL_SLOTS) -> DataFrame:
+    """``records`` with ``virtual_slot``: a hash of id, text and the record's number among its equals.
+
+    ``records`` must have fixed partitions, as a checkpoint has."""
+    parts = records.withColumn("_part", F.spark_partition_id())
+    key = [id_col, "text_hash"]
+    inside = Window.partitionBy(*key, "_part").orderBy("text_crc32")
+    before = Window.partitionBy(*key).orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
+    counts = parts.groupBy(*key, "_part").agg(F.count("*").alias("n"))
+    moved = counts.select(*(F.col(c).alias(f"_{c}") for c in key), F.col("_part").alias("_p"), F.coalesce(F.sum("n").over(before), F.lit(0)).alias("_before"))
+    moved = moved.where("_before > 0")  # only what is repeated in several partitions
+    same = (F.col("_part") == F.col("_p")) & (F.col("text_hash") == F.col("_text_hash")) & F.col(id_col).eqNullSafe(F.col(f"_{id_col}"))
+    numbered = parts.withColumn("_nth", F.row_number().over(inside) - 1).join(moved, same, "left")
+    nth = F.col("_nth") + F.coalesce("_before", F.lit(0))
+    return numbered.select(*records.columns, F.pmod(F.xxhash64(id_col, "text_hash", nth.cast("bigint")), F.lit(slots)).cast("int").alias("virtual_slot"))
+
+
 def plan_map(records: DataFrame, shards: int, slots: int = VIRTUAL_SLOTS, before: SlotMap | None = None) -> SlotMap:
     """The map for these records: bytes by slot, then an edit of the map before (version 0 by default)."""
     weights = {r["virtual_slot"]: r["bytes"] for r in records.groupBy("virtual_slot").agg(F.sum("size").alias("bytes")).collect()}  # a row for each slot at most
     return (before or SlotMap.dealt(shards, slots)).rebalanced(weights, shards)
 
 
-def assign(docs: DataFrame, shards: int = 40, id_col: str = "doc_id", text_col: str = "text", slots: int = VIRTUAL_SLOTS, keep_map: str | None = None) -> DataFrame:
+def assign(docs: DataFrame, shards: int = 40, id_col: str = "doc_id", text_col: str = "text", slots: int = VIRTUAL_SLOTS, maps: str | None = None) -> DataFrame:
     """A row for each record: ``id_col, size, text_crc32, virtual_slot, map_version, shard, slot``.
 
     ``slot``: the record's place in its shard, gapless from 0, by virtual slot and then by id and checksum.
     Places are numbered within virtual slots and moved by the counts of the virtual slots before them, so no task
-    ever holds a shard. ``keep_map``: a path where the map's versions are kept."""
-    records = cut(sized(docs, id_col, text_col, slots))
-    start = SlotMap.dealt(shards, slots)
-    plan = plan_map(records, shards, slots, start)
-    if keep_map:
-        for m in (start, plan):
-            m.write(docs.sparkSession, keep_map)
+    ever holds a shard. ``maps``: the table of map versions. If it has a map of as many slots, the last version is edited, else version 0 is
+    dealt and written first. Without a path a new table in the shared folder is used."""
+    spark = docs.sparkSession
+    records = cut(slotted(cut(sized(docs, id_col, text_col)), id_col, slots))
+    maps = maps or f"{shared_folder(spark)}/slot-maps-{uuid.uuid4().hex}"
+    start = SlotMap.last(spark, maps)
+    if start is None or len(start.shard_of) != slots:
+        start = SlotMap.dealt(shards, slots)
+        start.write(spark, maps)
+    plan_map(records, shards, slots, start).write(spark, maps)
+    plan = SlotMap.read(spark, maps)
     counts = records.groupBy("virtual_slot").agg(F.count("*").alias("n")).withColumn("shard", plan.shard(F.col("virtual_slot")))
     before = Window.partitionBy("shard").orderBy("virtual_slot").rowsBetween(Window.unboundedPreceding, -1)
     offsets = counts.select("virtual_slot", "shard", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("offset"))  # a row for each slot at most
