@@ -559,10 +559,48 @@ def test_quality_edges(docs, spark):
     assert pu_quality.classify(docs, few).count() == len(TEXTS)
 
 
-def test_prior_from_scores():
-    r = np.random.default_rng(0)
-    good, bad = r.normal(2, 1, 4000), r.normal(-3, 1, 4000)
-    assert abs(pu_quality.prior_from_scores(good, np.concatenate([good[:2800], bad[:1200]])) - 0.7) < 0.12
+@pytest.mark.parametrize("share", [0.1, 0.3, 0.5, 0.7, 0.9])
+def test_prior_without_negatives(share):
+    r = np.random.default_rng(int(10 * share))
+    for apart, n in ((5, 20_000), (4, 5000)):
+        good, more = r.normal(2, 1, n // 4), r.normal(2, 1, int(n * share))
+        every = np.concatenate([more, r.normal(2 - apart, 1, n - len(more))])
+        count = lambda x: np.bincount(pu_quality.bin_of(x), minlength=pu_quality.BINS).astype(float)
+        found = pu_quality.prior_from_bins(count(good), count(every))
+        assert abs(found - share) < 0.1
+        slope, shift = pu_quality.calibration(count(good), count(every), found)
+        scores = 1 / (1 + np.exp(-(slope * every + shift)))
+        assert abs(scores.mean() - share) < 0.1 and ((scores >= 0.5) == (np.arange(n) < len(more))).mean() > 0.9
+
+
+@pytest.mark.parametrize("prior", [0.2, 1.5])
+def test_gradient_of_the_risk(prior):
+    r = np.random.default_rng(1)
+    layers = [r.normal(0, 1, (6, 3)), r.normal(0, 1, 3), r.normal(0, 1, 3), np.array(0.1)]
+    p, u = r.normal(1, 1, (20, 6)), r.normal(0, 1, (40, 6))
+
+    def value(ws):
+        up, down, _ = pu_quality.risk(ws, p, u, prior)
+        return up + down if pu_quality.risk(layers, p, u, prior)[1] >= 0 else -down
+
+    grad = pu_quality.risk(layers, p, u, prior)[2]
+    for k, w in enumerate(layers):
+        for at in list(np.ndindex(w.shape))[:6]:
+            ends = []
+            for d in (1e-5, -1e-5):
+                moved = [x.copy() for x in layers]
+                moved[k][at] += d
+                ends.append(value(moved))
+            assert abs((ends[0] - ends[1]) / 2e-5 - np.asarray(grad[k])[at]) < 1e-6, (k, at)
+
+
+def test_both_signs_of_the_negative_part():
+    """The two priors of the test above lead to both branches."""
+    r = np.random.default_rng(1)
+    layers = [r.normal(0, 1, (6, 3)), r.normal(0, 1, 3), r.normal(0, 1, 3), np.array(0.1)]
+    p, u = r.normal(1, 1, (20, 6)), r.normal(0, 1, (40, 6))
+    signs = [pu_quality.risk(layers, p, u, prior)[1] >= 0 for prior in (0.2, 1.5)]
+    assert signs == [True, False]
 
 
 def test_gradient_of_the_labeller():
@@ -618,10 +656,10 @@ def test_given_pages():
     assert right >= 0.98 * len(rows)
 
 
-@pytest.mark.parametrize("most", [5, 400])
-def test_prior_is_that_of_all_labels(spark, most):
-    docs = spark.createDataFrame([(k, f"text {k} of some words, ending well.") for k in range(300)], "doc_id bigint, text string")
-    labels = spark.createDataFrame([(k, int(k % 10 > 0)) for k in range(300)], "doc_id bigint, quality int")
-    rest = [k for k in range(300) if zlib.crc32(str(k).encode()) % 3 != 1]
-    model = pu_quality.train(docs, labels, sizes=pu_quality.Sizes(most, most, 100))
-    assert model.prior == sum(k % 10 > 0 for k in rest) / len(rest)
+def test_bad_labels_are_never_read(spark):
+    d = "/root/testdata/sf0.001"
+    docs, labels = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet")
+    held = F.crc32(F.col("doc_id").cast("string")) % 3 == 1
+    other = labels.withColumn("quality", F.when(held, 1 - F.col("quality")).otherwise(F.when(F.col("quality") == 1, 1)))
+    one, two = (sorted((r["doc_id"], r["score"]) for r in pu_quality.classify(docs, x).collect()) for x in (labels, other))
+    assert one == two
