@@ -451,22 +451,66 @@ def test_reliabilities_from_simulated_votes(share, right):
         assert abs((truth[(votes == p).all(1)] > 0).mean() - q) < 0.1
 
 
+LICENSES = {
+    "Licensed under the Apache License, Version 2.0.": ["apache", "spdx:apache-2.0"],
+    "This work is licensed under the GNU General Public License, version 3.": ["gpl", "spdx:gpl-3.0"],
+    "licensed under CC BY-NC 4.0.": ["cc-by", "spdx:cc-by-nc-4.0"],
+    "Released under the MIT License.": ["mit", "spdx:mit"],
+    "This software here is released under the terms of the MIT licence": ["spdx:mit"],
+    "Licensed under the new Apache License, Version 2.0": ["apache"],  # a word between
+    "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0.": ["spdx:mpl-2.0"],
+    "you can redistribute it under the GNU General Public License": ["gpl"],
+}
+
+
+def _filled(markup, optional=True, own="some words of our own"):
+    """A text that a template stands for."""
+    while "<<beginOptional>>" in markup:
+        markup = re.sub(r"<<beginOptional>>((?:(?!<<beginOptional>>|<<endOptional>>).)*)<<endOptional>>", r" \1 " if optional else " ", markup)
+    return re.sub("<<var[^<>]*>>", f" {own} ", markup)
+
+
 def test_licenses(spark, docs, none):
     s = license_scan.Scanner()
-    assert s.scan("Licensed under the Apache License, Version 2.0.")[1:] == ([3], ["apache"], ["apache", "spdx:apache-2.0"])
-    assert s.scan("This work is licensed under the GNU General Public License, version 3.")[3] == ["gpl", "spdx:gpl-3.0"]
-    assert s.scan("licensed under CC BY-NC 4.0.")[3] == ["cc-by", "spdx:cc-by-nc-4.0"]
-    assert s.scan("Released under the MIT License.")[3] == ["mit", "spdx:mit"]
-    assert s.scan("This software here is released under the terms of the MIT license")[3] == ["mit", "spdx:mit"]
-    assert s.scan("Licensed under the new Apache License, Version 2.0")[3] == ["apache"]  # a word between
+    for text, want in LICENSES.items():
+        assert s.scan(text)[3] == want, text
     assert sorted(s.scan("the mit-license; MIT LICENSE mitlicense mit licensee cc-by")[1]) == [1, 3, 8]
-    a = license_scan.Automaton.compile("x", "start [maybe this] then {2} end")
+    for label, markup in license_scan.TEMPLATES:
+        for optional in (True, False):
+            text = "before it " + _filled(markup, optional) + " after it"
+            assert label in s.scan(text)[3], text
+            a = license_scan.Automaton.compile(label, markup)
+            words = [license_scan.EQUAL.get(w, w) for w in license_scan.words_of(text)]
+            first, last = a.first(words)
+            assert first >= 2 and last < len(words) and a.first(words[:first] + words[first + 1 :]) is None or len(a.mandatory) < 6 or not optional
+    a = license_scan.Automaton.compile("x", "start <<beginOptional>>maybe this<<endOptional>> then <<var;name=x;match=\".{0,4}\">> end")
     ok = lambda t: a.accepts(license_scan.words_of(t), 0)
-    assert ok("start then end") and ok("start maybe this then a b end") and not ok("start maybe then end") and not ok("start then a b c end")
+    assert ok("start then end") and ok("start maybe this then a b end") and not ok("start maybe then end") and not ok("start then a b c end") and not ok("x start then end")
+    assert a.first(license_scan.words_of("start start then end")) == (1, 3)
     out = license_scan.scan(docs)
     assert out.count() == len(TEXTS) and license_scan.scan(none).count() == 0
-    for r in out.collect():
-        assert r["n_words"] in {len(re.findall("[^\x00-\x2f\x3a-\x60\x7b-\x7f]+", (t or "").translate({c: c + 32 for c in range(65, 91)}))) for i, t, _ in TEXTS if i == r["doc_id"]}
+
+
+def test_scores_of_licenses():
+    s = license_scan.Scanner()
+    mit = _filled(dict(license_scan.TEMPLATES[::-1])["spdx:isc"])
+    full, part, notice, phrase, plain = (s.scan(t)[5] for t in (mit, " ".join(mit.split()[:-2]), "Released under the MIT License.", "the mit license", "no license"))
+    assert 1 >= full > notice > phrase == 0.5 > part > plain == 0
+    start = time.process_time()
+    s.scan("permission is hereby granted copyright merchantability noninfringement " * 20_000)
+    assert time.process_time() - start < 20
+
+
+def test_base_of_licenses_by_brute_force(spark):
+    r = random.Random(11)
+    pieces = ["GNU", "general", "public", "License", "apache", "cc", "BY", "mit", "-", ". ", "é", "x", "\n", "0"]
+    rows = [(k, r.choice((" ", "-", "")).join(r.choices(pieces, k=r.randint(0, 40)))) for k in range(300)] + [(300, None)]
+    for x in license_scan.scan(spark.createDataFrame(rows, "doc_id bigint, text string")).collect():
+        words = re.findall("[^\x00-\x2f\x3a-\x60\x7b-\x7f]+", (rows[x["doc_id"]][1] or "").translate({c: c + 32 for c in range(65, 91)}))
+        at = [(i, label) for p, label in license_scan.PHRASES.items() for i in range(len(words)) if words[i : i + len(p.split())] == p.split()]
+        places = [i for i, _ in at]
+        assert (x["n_words"], x["n_base"], x["first_word"], x["last_word"], x["base_labels"]) == (len(words), len(at), min(places, default=None), max(places, default=None), ",".join(sorted({b for _, b in at})))
+        assert set(x["base_labels"].split(",")) <= set(x["labels"].split(",")) and 0 <= x["score"] <= 1
 
 
 def test_urls(spark):
