@@ -6,7 +6,8 @@ the back-pointers of text that isn't committed. Whenever all surviving paths mee
 the ids before it are final and leave the window.
 
 Where the vocabulary shows that paths always meet (no piece goes on across a blank that follows
-another character, or across a line feed), texts are cut there and the ids of the parts are kept in a bounded memory.
+another character, or across a line feed), the search starts afresh, so what it gives for a run of text between two such boundaries
+depends on the run alone. Ids of runs are kept in a bounded memory; a run that isn't there is searched. With ``memory=0`` all are.
 
 Costs are the negative piece scores of a unigram model. A model of byte-pair merges has ranks as scores;
 they are taken as frequency ranks, with the costs that a Zipf law gives, so ids may differ from those of
@@ -22,7 +23,7 @@ from __future__ import annotations
 
 import math
 import re
-from collections import defaultdict
+from array import array
 from itertools import chain
 from pathlib import Path
 
@@ -46,7 +47,7 @@ def default_model() -> str:
 
 
 class PieceCodec:
-    def __init__(self, model: bytes) -> None:
+    def __init__(self, model: bytes, memory: int = MEMORY) -> None:
         import sentencepiece
 
         sp = sentencepiece.SentencePieceProcessor(model_proto=model)
@@ -62,13 +63,13 @@ class PieceCodec:
         self.byte_id = {b[0]: i for i, b in enumerate(self.bytes_of) if sp.is_byte(i)}
         self.unknown = sp.unk_id()
         self.longest = max(map(len, self.pieces))
-        self.window = 8 * self.longest
         self.worst = max(cost.values()) + 10 * UNIT
         blank_inside = any(BLANK in p.lstrip(BLANK) for p in self.pieces)
         feed_inside = any("\n" in p and len(p) > 1 for p in self.pieces)
         self.parts = None if blank_inside else re.compile(" *[^ ]+| +" if feed_inside else " *[^ \n]+|\n| +").findall
-        self.recent: dict[str, tuple[int, ...]] = {}
-        self.older: dict[str, tuple[int, ...]] = {}
+        self.memory = memory
+        self.recent: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
 
     def spelled(self, char: str) -> tuple[int, tuple[int, ...]]:
         raw = char.encode()
@@ -76,112 +77,104 @@ class PieceCodec:
             return self.worst * len(raw), tuple(self.byte_id[b] for b in raw)
         return self.worst, (self.unknown,)
 
-    def search(self, text: str, commit_every: int | None = None):
-        """Yields runs of ids as they become final. ``text`` has U+2581 for blanks."""
-        get, n = self.starts.get, len(text)
-        step = commit_every or self.window
-        cost: dict[int, int | None] = defaultdict(lambda: None, {0: 0})
-        back: dict[int, tuple[int, tuple[int, ...]]] = {}
-        start = 0
+    def search(self, text: str):
+        """Yields runs of ids as they become final. ``text`` has U+2581 for blanks.
+
+        ``best`` holds, for each boundary of the window, its cost and where its last piece began. Where no piece reaches past a boundary,
+        all paths go through it, so it is committed at once; a window as long as the longest piece is searched for a boundary
+        that all surviving paths share further back. (Over one repeated letter there may be none; back-pointers then stay, costs don't.)"""
+        get, window = self.starts.get, self.longest
+        best: dict[int, tuple[int, int, tuple[int, ...]]] = {0: (0, 0, ())}
+        start, reach, n, look = 0, 0, len(text), window
         for i in range(n):
-            here = cost.pop(i)
-            if i - start >= step:
-                meet = self._meeting(back, [i, *(k for k, c in cost.items() if c is not None)], start)
+            here = best[i][0]
+            if reach == i:
+                if i > start:
+                    yield self._path(best, start, i)
+                    best, start, look = {i: (here, 0, ())}, i, i + window
+            elif i >= look:
+                meet = self._meeting(best, range(i, reach + 1), start)
                 if meet > start:
-                    yield self._path(back, start, meet)
+                    yield self._path(best, start, meet)
+                    for k in range(start, meet):
+                        best.pop(k, None)
                     start = meet
-            single = False
-            for j in range(i + 1, n + 1):
-                found = get(text[i:j], 0)
+                # paths that never meet, as over one repeated letter, are looked at ever more rarely
+                look = max(start + window, i + max(window // 4, (i - start) // 2))
+            j, single = i + 1, False
+            found = get(text[i:j], 0)
+            while found != 0:
                 if found:
-                    single |= j == i + 1
-                    c, old = here + found[0], cost[j]
-                    if old is None or c < old:
-                        cost[j] = c
-                        back[j] = (i, found[1:])
-                elif found == 0:
-                    break
-            if not single:
-                c, ids = self.spelled(text[i])
-                c += here
-                if cost[i + 1] is None or c < cost[i + 1]:
-                    cost[i + 1] = c
-                    back[i + 1] = (i, ids)
-        yield self._path(back, start, n)
-
-    def short(self, text: str) -> tuple[int, ...]:
-        """The ids of a text that fits the window: the same search without the commits."""
-        get, n, never = self.starts.get, len(text), 1 << 62
-        cost, back = [0, *[never] * n], [(0, ())] * (n + 1)
-        for i in range(n):
-            here = cost[i]
-            single = False
-            for j in range(i + 1, n + 1):
-                found = get(text[i:j], 0)
-                if found:
-                    c = here + found[0]
-                    if c < cost[j]:
-                        cost[j] = c
-                        back[j] = i, found[1:]
+                    c, old = here + found[0], best.get(j)
+                    if old is None or c < old[0]:
+                        best[j] = c, i, found[1:]
+                        if j > reach:
+                            reach = j
                     if j == i + 1:
                         single = True
-                elif found == 0:
+                j += 1
+                if j > n:
                     break
+                found = get(text[i:j], 0)
             if not single:
                 c, ids = self.spelled(text[i])
-                if here + c < cost[i + 1]:
-                    cost[i + 1], back[i + 1] = here + c, (i, ids)
-        out: tuple[int, ...] = ()
-        while n:
-            n, ids = back[n]
-            out = ids + out
-        return out
+                c += here
+                old = best.get(i + 1)
+                if old is None or c < old[0]:
+                    best[i + 1] = c, i, ids
+                    if reach == i:
+                        reach = i + 1
+        if n > start:
+            yield self._path(best, start, n)
 
     @staticmethod
-    def _meeting(back: dict, alive: list[int], start: int) -> int:
-        """The last boundary that all surviving paths go through."""
-        ends = set(alive)
+    def _meeting(best: dict, boundaries: range, start: int) -> int:
+        """The last boundary that the paths to all of these go through."""
+        ends = {k for k in boundaries if k in best}
         while len(ends) > 1:
             top = max(ends)
             ends.remove(top)
-            ends.add(back[top][0] if top > start else start)
+            ends.add(best[top][1] if top > start else start)
         return ends.pop()
 
     @staticmethod
-    def _path(back: dict, start: int, end: int) -> list[int]:
-        """Ids from ``start`` to ``end``; their back-pointers are dropped."""
+    def _path(best: dict, start: int, end: int) -> list[int]:
+        """Ids from ``start`` to ``end``."""
         runs, at = [], end
         while at > start:
-            at, ids = back[at]
+            _, at, ids = best[at]
             runs.append(ids)
-        for k in range(start + 1, end + 1):
-            back.pop(k, None)
-        return [i for ids in reversed(runs) for i in ids]
+        runs.reverse()
+        return [i for ids in runs for i in ids]
 
-    def part(self, raw: str) -> tuple[int, ...]:
+    def part(self, raw: str) -> bytes:
+        """The ids of a run between two boundaries, as 32-bit numbers."""
         found = self.older.get(raw)
         if found is None:
-            text = raw.replace(" ", BLANK)
-            found = self.short(text) if len(text) <= self.window else tuple(chain.from_iterable(self.search(text)))
-        if len(self.recent) >= MEMORY:
+            found = array("i", chain.from_iterable(self.search(raw.replace(" ", BLANK)))).tobytes()
+        if len(self.recent) >= self.memory:
             self.older, self.recent = self.recent, {}
-        if len(raw) <= 64:
+        if len(raw) <= 64 and self.memory:
             self.recent[raw] = found
         return found
 
-    def encode(self, text: str | None) -> list[int]:
+    def packed(self, text: str | None) -> bytes:
+        """The ids of a text, as 32-bit numbers."""
         if not text:
-            return []
-        out: list[int] = []
+            return b""
+        out: list[bytes] = []
         for k, piece in enumerate((" " + text).split(BLANK)):
             if k:
-                out += self.spelled(BLANK)[1]
+                out.append(array("i", self.spelled(BLANK)[1]).tobytes())
             if self.parts:
                 get, miss = self.recent.get, self.part
-                out += chain.from_iterable([get(p) or miss(p) for p in self.parts(piece)])
+                out += [get(p) or miss(p) for p in self.parts(piece)]
             elif piece:
-                out += chain.from_iterable(self.search(piece.replace(" ", BLANK)))
-        return out
+                out.append(self.part(piece))
+        return b"".join(out)
+
+    def encode(self, text: str | None) -> list[int]:
+        return np.frombuffer(self.packed(text), np.int32).tolist()
 
     def decode(self, ids: list[int] | None) -> str:
         return b"".join([self.bytes_of[i] for i in ids or ()]).decode("utf-8", "replace")[1:]
@@ -209,9 +202,9 @@ def encode(docs: DataFrame, text_col: str = "text", model_path: str | None = Non
         codec = _codec(model.value)
         runs, same = [], []
         for text in c[text_col]:
-            ids = codec.encode(text)
-            runs.append(np.array(ids, np.int32))
-            same.append(codec.decode(ids) == (text or ""))
+            ids = np.frombuffer(codec.packed(text), np.int32)
+            runs.append(ids)
+            same.append(codec.decode(ids.tolist()) == (text or ""))
         sizes = [len(r) for r in runs]
         offsets = np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)
         return {"ids": pa.ListArray.from_arrays(offsets, np.concatenate(runs)), "n_ids": sizes, "round_trip": same}

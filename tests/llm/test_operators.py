@@ -240,6 +240,8 @@ def test_viterbi_by_brute_force(codec):
 
     sp = sentencepiece.SentencePieceProcessor(model_file=sp_codec.default_model())
     cost = {i: c for c, i in codec.pieces.values()}
+    with open(sp_codec.default_model(), "rb") as f:
+        plain = sp_codec.PieceCodec(f.read(), memory=0)
     r = random.Random(1)
     texts = ["", "a", "  two  blanks ", "line\nfeed\n\n", "日本語 ab", "x" * 500, "".join(r.choices("abc de\n fé𝄞", k=300)), "nothing▁here ▁", "the end"]
     for t in texts:
@@ -250,15 +252,30 @@ def test_viterbi_by_brute_force(codec):
             line = (" " + t).replace(" ", "▁") if t else ""
             spent = sum(cost.get(i, codec.worst) for i in ids)
             assert spent == _cheapest(codec, line)
-            for every in (1, 17, 64):
-                assert [i for run in codec.search(line, every) for i in run] == ids
+            assert [i for run in codec.search(line) for i in run] == ids == plain.encode(t)
 
 
 def test_window_stays_small(codec):
-    """Text is committed long before it ends."""
-    text = "".join(random.Random(2).choices("etaoinshrdlu", k=20_000))
-    runs = list(codec.search(text))
-    assert len(runs) > 20 and max(map(len, runs)) < 2_000
+    """Text is committed long before it ends: no run spans much more than the longest piece."""
+    r = random.Random(2)
+    start = time.process_time()
+    assert len(codec.encode("a" * 200_000 + "b")) < 60_000 and time.process_time() - start < 10
+    for letters in ("etaoinshrdlu", "ab", "0123456789abcdef", "日本語の文"):
+        text = "".join(r.choices(letters, k=20_000))
+        sizes = [len(b"".join(codec.bytes_of[i] for i in run).decode()) for run in codec.search(text)]
+        assert len(sizes) > 100 and sum(sizes) == len(text) and max(sizes) <= 8 * codec.longest, letters
+
+
+def test_commits_are_final(codec):
+    """What is committed of a text is the beginning of the ids of every longer text."""
+    r = random.Random(4)
+    for _ in range(20):
+        text = "".join(r.choices("▁theandionrs\n", k=200))
+        runs = list(codec.search(text))
+        held = [i for run in runs[:-1] for i in run]
+        for more in ("x", "ing", "▁the", "\n", "s" * 30):
+            ids = [i for run in codec.search(text + more) for i in run]
+            assert ids[: len(held)] == held
 
 
 def test_codec_frames(docs, none, collected):
