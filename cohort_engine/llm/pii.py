@@ -99,7 +99,7 @@ _WAY = r"straße|strasse|str\.|weg|platz|gasse|allee"
 _VIA = r"Calle|Avenida|Plaza|Rue|Avenue|Boulevard|Place"
 
 _IBAN = re.compile(r"[A-Z]{2}[0-9]{2}[A-Z0-9]{11,30}")
-_GROUPED_IBAN = re.compile(r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?: [A-Z0-9]{4}){2,7}(?: [A-Z0-9]{1,3})?(?![A-Za-z0-9])")
+_GROUPED_IBAN = re.compile(r"[A-Z](?<![A-Za-z0-9][A-Z])[A-Z][0-9]{2}(?: [A-Z0-9]{4}){2,7}(?: [A-Z0-9]{1,3})?(?![A-Za-z0-9])")
 _GROUPED_DIGITS = re.compile(r"(?<![A-Za-z0-9+.,-])[0-9]{2,6}(?:[ -][0-9]{2,6}){1,6}(?![A-Za-z0-9.,-]*[0-9])")
 _SSN = re.compile(r"[0-9]{3}-[0-9]{2}-[0-9]{4}")
 _DATE = re.compile(r"[0-9]{4}-[0-9]{2}-[0-9]{2}|[0-9]{2}-[0-9]{2}-[0-9]{4}")
@@ -110,6 +110,11 @@ _PLACEHOLDER = re.compile(r"(?i)[*x.<\[{].*|none|null|required|reset|your.*|the|
 _CAP = r"[A-ZÀ-ÖØ-Þ][a-zß-öø-ÿ'’-]{1,30}"
 _NAME = re.compile(rf"(?<!\w)(?:(?:(?P<title>{_TITLE})\.?[ ])|(?P<intro>(?:[Mm]y name is|[Nn]ame ?:|[Ii]ch heiße|[Mm]e llamo|[Jj]e m.appelle|[Ss]igned(?: by)?:?|[Cc]ontact ?:|[Pp]atient ?:)[ ]))?(?P<name>(?P<first>{_CAP})(?: [A-Z]\.)?(?: {_CAP}){{0,2}})")
 _PLACE = re.compile(rf"(?<![\w.,-])[0-9]{{1,5}}[a-z]? (?:{_CAP} ){{1,3}}(?:{_STREET})(?!\w)\.?|(?<!\w)(?:{_CAP}(?:{_WAY})|{_CAP} (?:Straße|Strasse|Weg|Platz|Allee)|(?:{_VIA}) (?:d[eu]l? |des |la )?{_CAP}(?: {_CAP})?),? [0-9]{{1,4}}[a-z]?(?!\w)")
+#: A text without any of these has no phrase, place or announced name.
+_SECRET_HINTS = ("pass", "kennwort", "contraseña", "mot de", "pwd", "pin", "secret", "token", "key", "credential")
+_PLACE_HINTS = (*(f" {w}" for w in _STREET.split("|")), "stra", "str.", "weg ", "weg,", "platz", "gasse", "allee", " Weg", " Platz", " Allee", "Calle", "Avenida", "Plaza", "Rue ", "Avenue", "Boulevard", "Place")
+_NAME_HINTS = (*(w + end for w in _TITLE.split("|") for end in (" ", ". ")), "ame is ", "ame: ", "ame : ", "ch heiße ", "e llamo ", "appelle ", "igned ", "igned: ", "ontact: ", "ontact : ", "atient: ", "atient : ")
+_PAIRS = re.compile(r"([A-ZÀ-ÖØ-Þ][a-zß-öø-ÿ]+) [A-ZÀ-ÖØ-Þ]")
 _POSTCODE = re.compile(r",? (?:[0-9]{4,5}|[A-Z]{1,2}[0-9]{1,2}[A-Z]? [0-9][A-Z]{2}|[A-Z]{2} [0-9]{5})(?![0-9])")
 _AT_HOME = re.compile(r"(?i)(?:address|lives? (?:at|in)|living at|ship to|deliver(?:ed)? to|reside[sd]? (?:at|in)|wohnt|wohnhaft|anschrift|adresse|vive en|dirección|habite)[^.]{0,20}$")
 _NOT_NAMES = frozenset("monday tuesday wednesday thursday friday saturday sunday january february march april may june july august september october november december the this that there when what where der die das el la los les une".split())
@@ -169,7 +174,7 @@ def _phrases(text: str) -> list[tuple[int, int]]:
 
 def candidates(text: str, base: list[Span]) -> list[Candidate]:
     """Candidates of all types that don't overlap base spans or each other, in order; of two that overlap the first type by order stands."""
-    digits = bool(_DIGIT.search(text))
+    digits, low = bool(_DIGIT.search(text)), text.lower()
     found: list[Candidate] = []
     if digits:
         for m in _GROUPED_IBAN.finditer(text):
@@ -178,10 +183,14 @@ def candidates(text: str, base: list[Span]) -> list[Candidate]:
             good = next((e for e in sorted(ends, reverse=True) if _iban_ok(text[m.start() : e].replace(" ", ""))), m.end())
             found.append(("number", m.start(), good))
         found += [("token", a, b) for a, b in _tokens(text)]
-        found += [("number", m.start(), m.end()) for m in _GROUPED_DIGITS.finditer(text) if any(w in text[max(0, m.start() - 32) : m.start()].lower() for w in _NUMBER_WORDS)]
-        found += [("address", m.start(), m.end()) for m in _PLACE.finditer(text)]
-    found += [("phrase", a, b) for a, b in _phrases(text)]
-    for m in _NAME.finditer(text):
+        if any(w in low for w in _NUMBER_WORDS):
+            found += [("number", m.start(), m.end()) for m in _GROUPED_DIGITS.finditer(text) if any(w in text[max(0, m.start() - 32) : m.start()].lower() for w in _NUMBER_WORDS)]
+        if any(w in text for w in _PLACE_HINTS):
+            found += [("address", m.start(), m.end()) for m in _PLACE.finditer(text)]
+    if any(w in low for w in _SECRET_HINTS):
+        found += [("phrase", a, b) for a, b in _phrases(text)]
+    named = any(w in text for w in _NAME_HINTS) or any(w.lower() in FIRST_NAMES for w in set(_PAIRS.findall(text)))
+    for m in _NAME.finditer(text) if named else ():
         if m["title"] or m["intro"] or (m["first"].lower() in FIRST_NAMES and " " in m["name"]):
             found.append(("name", *m.span("name")))
     if not found:
