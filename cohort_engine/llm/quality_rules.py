@@ -18,7 +18,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import let, numbered, total, words_of
+from .common import let, numbered, place_of, total, words_of
 
 # Characters and phrases that the rules look for.
 SYMBOLS = "#*$%&|<>"
@@ -92,7 +92,6 @@ def repeated_words(words: Column, window: int = 5) -> Column:
 def judge(docs: DataFrame, text_col: str = "text", rules: LineRules = LineRules()) -> DataFrame:
     """``docs`` with ``n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, n_removed_lines,
     lost_chars, clean_text, base_failed, kept``. No shuffle; one pass over each text."""
-    text = F.coalesce(F.col(text_col), F.lit(""))
 
     def measures(t: Column) -> Column:
         lines = F.split(t, "\n")
@@ -106,20 +105,23 @@ def judge(docs: DataFrame, text_col: str = "text", rules: LineRules = LineRules(
             F.array_join(good, "\n").alias("clean_text"),
         ))))
 
-    names = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_removed_lines", "clean_text"]
+    # numbered columns on the way, so that no name of a caller's meets one from here
+    held, own = numbered(docs), F.coalesce(F.col(f"_{place_of(docs, text_col)}"), F.lit(""))
     # a generator of one row keeps later filters and projections from computing the measures anew
-    held = docs.select("*", F.explode(F.array(let(text, measures))).alias("_measures"))
-    out = held.withColumns({n: F.col(f"_measures.{n}") for n in names}).drop("_measures")
+    out = held.select("*", F.explode(F.array(let(own, measures))).alias("m")).select(*held.columns, "m.*")
     left = F.length(F.regexp_replace("clean_text", BLANK + "+", "")).cast("bigint")
     out = out.withColumn("lost_chars", F.when(F.col("n_removed_lines") == 0, F.lit(0).cast("bigint")).otherwise(F.col("word_chars") - left))
     failed = (F.col("n_words") < rules.min_words) | (100 * F.col("n_repeat_words") > rules.repeat_percent * F.col("n_words"))
-    return out.withColumns({"base_failed": failed, "kept": ~failed & (100 * F.col("lost_chars") <= rules.loss_percent * F.col("word_chars"))})
+    out = out.withColumns({"base_failed": failed, "kept": ~failed & (100 * F.col("lost_chars") <= rules.loss_percent * F.col("word_chars"))})
+    made = out.columns[len(docs.columns) :]
+    stay = [(f"_{k}", c) for k, c in enumerate(docs.columns) if c.lower() not in made]
+    return out.select(*(n for n, _ in stay), *made).toDF(*(c for _, c in stay), *made)
 
 
 def keep_clean(docs: DataFrame, text_col: str = "text", rules: LineRules = LineRules()) -> DataFrame:
     """Documents that pass, in their own columns, without the lines that failed; other columns stay as they are, whatever
     their names."""
-    held, text = numbered(docs), f"_{docs.columns.index(text_col)}"
+    held, text = numbered(docs), f"_{place_of(docs, text_col)}"
     judged = judge(held, text, rules).where("kept").withColumn(text, F.col("clean_text"))
     if "n_chars" in docs.columns:
         judged = judged.withColumn(f"_{docs.columns.index('n_chars')}", F.length(text).cast(docs.schema["n_chars"].dataType))
