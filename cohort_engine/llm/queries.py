@@ -51,13 +51,34 @@ def op10_pu_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pu_quality.classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
+def url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Host, path and rule of every URL, without the models."""
+    judged = url_filter.judged_by_rules(table(spark, sf_dir, "pages"), "page_id", "url", url_filter.RULES)
+    return judged.select(F.col("id").alias("page_id"), "host", "path", "rule", "ruled")
+
+
+def shard_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sharding.sized(table(spark, sf_dir, "documents")).select("doc_id", "size")
+
+
+def license_base(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What op8 finds of the fixed phrases."""
+    return license_scan.scan(table(spark, sf_dir, "documents"), templates=[]).select("doc_id", "n_words", "n_base", "first_word", "last_word", "base_labels")
+
+
+def personal_base(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What op9 finds by fixed patterns."""
+    found = pii.find(table(spark, sf_dir, "documents"), model=pii.SpanModel({}, {}, {}))
+    return found.select("doc_id", "n_email", "n_ip", "n_card", "n_phone")
+
+
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     import corpus_pipeline
 
     return corpus_pipeline.run(spark, sf_dir)
 
 
-QUERIES = {f.__name__: f for f in (op1_string_tiling, op2_block_labeller, op3_simhash, op4_markov_ratio, op5_line_rules, op6_virtual_slots, op7_streaming_viterbi, op8_license_templates, op9_weak_supervision, op10_pu_quality, pipeline)}
+QUERIES = {f.__name__: f for f in (op1_string_tiling, op2_block_labeller, op3_simhash, op4_markov_ratio, op5_line_rules, op6_virtual_slots, op7_streaming_viterbi, op8_license_templates, op9_weak_supervision, op10_pu_quality, pipeline, url_rules, shard_sizes, license_base, personal_base)}
 
 _OP5_RULES = quality_rules.LineRules()
 #: Line rules and counts of op5 for DuckDB. A line fails by marks, by lack of punctuation, or as short navigation or boilerplate.
@@ -84,4 +105,41 @@ SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words,
   n_words < {_OP5_RULES.min_words} OR 100 * n_repeat_words > {_OP5_RULES.repeat_percent} * n_words AS base_failed,
   NOT (n_words < {_OP5_RULES.min_words} OR 100 * n_repeat_words > {_OP5_RULES.repeat_percent} * n_words) AND 100 * lost <= {_OP5_RULES.loss_percent} * word_chars AS kept FROM m"""
 
-ORACLE: dict[str, str] = {"op5_line_rules": _OP5}
+_UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+
+
+def _fits(rule: str) -> str:
+    name, _, rest = rule.partition("/")
+    return f"(host = '{name}' OR ends_with(host, '.{name}')) AND starts_with(path, '/{rest}')"
+
+
+_URLS = url_filter.RULES
+_URL_RULES = rf"""
+WITH u AS (SELECT page_id, CASE WHEN strpos(url, '://') > 0 THEN substr(url, strpos(url, '://') + 3) END AS rest FROM pages),
+h AS (SELECT page_id, rest, coalesce(regexp_extract(rest, '^[^/?#]*'), '') AS raw FROM u),
+p AS (SELECT page_id, translate(raw, '{_UPPER}', '{_LOWER}') AS host, coalesce(regexp_extract(substr(rest, length(raw) + 1), '^[^?#]*'), '') AS path FROM h),
+r AS (SELECT *, CASE {" ".join(f"WHEN {_fits(x)} THEN '{x}'" for x in sorted(_URLS, key=lambda x: (-len(x), x)))} END AS rule FROM p)
+SELECT page_id, host, path, rule, CASE {" ".join(f"WHEN rule = '{x}' THEN '{v}'" for x, v in _URLS.items())} END AS ruled FROM r"""
+
+_SIZES = f"SELECT doc_id, CAST(coalesce(octet_length(encode(text)), 0) + {sharding.OVERHEAD_BYTES} AS BIGINT) AS size FROM documents"
+
+_PHRASE = "list_transform(list_filter(range(1, len(w) + 1), lambda i: array_to_string(w[i:i + {m}], ' ') = '{p}'), lambda i: {{'at': i - 1, 'label': '{v}'}})"
+_LICENSES = rf"""
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, regexp_extract_all(translate(coalesce(text, ''), '{_UPPER}', '{_LOWER}'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM documents),
+f AS (SELECT r, doc_id, len(w) AS n, flatten([{", ".join(_PHRASE.format(m=len(p.split()) - 1, p=p, v=v) for p, v in license_scan.PHRASES.items())}]) AS found FROM d)
+SELECT doc_id, CAST(n AS BIGINT) AS n_words, CAST(len(found) AS BIGINT) AS n_base,
+  CAST(list_min(list_transform(found, lambda x: x.at)) AS BIGINT) AS first_word, CAST(list_max(list_transform(found, lambda x: x.at)) AS BIGINT) AS last_word,
+  array_to_string(list_sort(list_distinct(list_transform(found, lambda x: x.label))), ',') AS base_labels FROM f"""
+
+_PERSONAL = r"""
+WITH d AS (SELECT doc_id, coalesce(text, '') AS t FROM documents),
+m AS (SELECT doc_id, regexp_extract_all(t, '[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+') AS mails, regexp_extract_all(t, '[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)') AS ips,
+  list_filter(list_transform(regexp_extract_all(t, '[0-9]([\x20-]?[0-9])+'), lambda x: regexp_replace(x, '[^0-9]', '', 'g')), lambda x: length(x) BETWEEN 16 AND 19) AS cards,
+  list_transform(regexp_extract_all(t, '\+[0-9][\x20().0-9-]+[0-9]'), lambda x: regexp_replace(x, '[^0-9]', '', 'g')) AS phones FROM d)
+SELECT doc_id, CAST(len(mails) AS BIGINT) AS n_email,
+  CAST(len(list_filter(ips, lambda x: list_bool_and(list_transform(string_split(x, '.'), lambda p: length(ltrim(p, '0')) <= 3 AND coalesce(TRY_CAST(ltrim(p, '0') AS INTEGER), 0) <= 255)))) AS BIGINT) AS n_ip,
+  CAST(len(list_filter(cards, lambda x: list_sum(list_transform(range(1, length(x) + 1), lambda i: CASE WHEN i % 2 = 1 THEN CAST(substr(x, length(x) + 1 - i, 1) AS INTEGER)
+    ELSE 2 * CAST(substr(x, length(x) + 1 - i, 1) AS INTEGER) - CASE WHEN CAST(substr(x, length(x) + 1 - i, 1) AS INTEGER) > 4 THEN 9 ELSE 0 END END)) % 10 = 0)) AS BIGINT) AS n_card,
+  CAST(len(list_filter(phones, lambda x: length(x) BETWEEN 8 AND 15)) AS BIGINT) AS n_phone FROM m"""
+
+ORACLE: dict[str, str] = {"op5_line_rules": _OP5, "url_rules": _URL_RULES, "shard_sizes": _SIZES, "license_base": _LICENSES, "personal_base": _PERSONAL}
