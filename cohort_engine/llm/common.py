@@ -66,6 +66,31 @@ def drop_folder(spark: SparkSession, path: str) -> None:
     at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
 
 
+#: Up to so many keys of 16 bytes are sent to all executors.
+FEW_KEYS = 200_000
+
+
+def row_key(id_col: Column, text: Column) -> Column:
+    """Sixteen bytes that are equal for rows of equal id and text (a null text counts as empty)."""
+    return F.unhex(F.md5(F.concat_ws("|", F.coalesce(id_col.cast("string"), F.lit("")), F.coalesce(text, F.lit("")))))
+
+
+def keep_keys(docs: DataFrame, id_col: str, text_col: str, keys: DataFrame, winners: DataFrame) -> DataFrame:
+    """The rows of ``docs`` whose key is among ``winners`` (``key``), one of each; ``keys`` has the key of every row.
+
+    What goes is looked for, as it is mostly less than what stays: few keys are sent to the executors, and then no text is moved; more
+    are joined by key, which moves each text once."""
+    counts = keys.groupBy("key").agg(F.count("*").alias("n"))
+    losers = cut(counts.join(winners.select("key"), "key", "left_anti").select("key"))
+    few = losers.count() <= FEW_KEYS
+    held = numbered(docs)
+    held = held.withColumn("key", row_key(*(F.col(f"_{place_of(docs, c)}") for c in (id_col, text_col))))
+    kept = held.join(F.broadcast(losers) if few else losers, "key", "left_anti")
+    if not counts.where("n > 1").isEmpty():
+        kept = kept.dropDuplicates(["key"])
+    return kept.drop("key").toDF(*docs.columns)
+
+
 def slices(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """The batches in pieces of up to ``BATCH_ROWS`` rows, so that few texts at a time are Python objects."""
     for batch in batches:

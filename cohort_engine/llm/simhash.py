@@ -25,10 +25,10 @@ from functools import reduce
 
 import numpy as np
 import xxhash
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import add_columns, cut, map_columns, numbered
+from .common import cut, keep_keys, map_columns, row_key
 
 SEED = 42
 #: For each value of a byte, its bits, lowest first.
@@ -186,23 +186,13 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = 3, dense: int = 256) -> DataFrame:
     """One document of each component: that with the smallest id, nulls last. Of rows with that same id and
-    equal fingerprints or not, one stays (the least by its text's hash, then its text)."""
-    held = numbered(docs)
-    own_id, text = (f"_{docs.columns.index(c)}" for c in (id_col, text_col))
-    prints = cut(fingerprints(docs, id_col, text_col))
-    label = _labelled(prints, radius, dense)
-    first = prints.join(label, "fp").groupBy("root").agg(F.min_by(F.struct("id", "fp"), F.struct(F.col("id").isNull(), "id", "fp")).alias("f"))
-    first = first.select(F.col("f.id").alias("_id"), F.col("f.fp").alias("_fp"))
-    kept = held.join(first.select("_id").distinct(), held[own_id].eqNullSafe(F.col("_id")), "left_semi")
-    again = _with_fingerprint(kept, text)
-    match = again.join(first, again[own_id].eqNullSafe(first["_id"]) & (again["_print"] == first["_fp"]), "left_semi")
-    order = [F.xxhash64(text), F.col(text)]
-    one = match.withColumn("_rank", F.row_number().over(Window.partitionBy(own_id, "_print").orderBy(*order)))
-    return one.where("_rank = 1").select(*held.columns).toDF(*docs.columns)
-
-
-def _with_fingerprint(docs: DataFrame, text_col: str) -> DataFrame:
+    equal texts one stays."""
+    own_id, text = F.col(id_col), F.col(text_col)
+    narrow = docs.select(own_id.cast("bigint").alias("id"), text.alias("text"), row_key(own_id, text).alias("key"))
+
     def run(c: dict[str, list]) -> dict[str, list]:
-        return {"_print": [f - (1 << 64) if (f := fingerprint(t)) >> 63 else f for t in c[text_col]]}
+        return {"id": c["id"], "key": c["key"], "fp": [f - (1 << 64) if (f := fingerprint(t)) >> 63 else f for t in c["text"]]}
 
-    return add_columns(docs, [text_col], run, "_print bigint")
+    prints = cut(map_columns(narrow, run, "id bigint, key binary, fp bigint"))
+    first = prints.join(_labelled(prints, radius, dense), "fp").groupBy("root").agg(F.min(F.struct(F.col("id").isNull(), "id", "key")).alias("first"))
+    return keep_keys(docs, id_col, text_col, prints.select("key"), first.select(F.col("first.key").alias("key")))

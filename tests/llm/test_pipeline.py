@@ -1,10 +1,12 @@
 """The pipeline, its stages against brute force, and the registered queries."""
 
+import duckdb
 import pytest
+from test_similar import _kept as near_copies_kept
 
 import __spark_entry__
 import corpus_pipeline
-from cohort_engine.llm import decontam, pii, queries, quality_rules, simhash, sp_codec
+from cohort_engine.llm import decontam, pii, queries, quality_rules, sp_codec
 
 
 def test_registered():
@@ -23,18 +25,12 @@ def test_stages(spark, data):
         after[name] = {r["doc_id"]: r for r in frame.collect()}
         if name != "encoding":
             assert frame.columns == names
-    judged = {r["doc_id"]: r for r in quality_rules.judge(docs).collect()}
-    assert set(after["quality rules"]) == {i for i, r in judged.items() if r["kept"]}
-    prints = {i: simhash.fingerprint(r["text"]) for i, r in after["quality rules"].items()}
-    root = {i: i for i in prints}
-    for a in sorted(prints):
-        for b in sorted(prints):
-            if a < b and (prints[a] ^ prints[b]).bit_count() <= 3:
-                x, y = root[a], root[b]
-                for k in root:
-                    if root[k] in (x, y):
-                        root[k] = min(x, y)
-    assert set(after["near duplicates"]) == set(root.values())
+    rows = docs.toPandas()
+    con = duckdb.connect()
+    con.register("documents", rows)
+    kept = {i for i, k in con.execute(f"SELECT doc_id, kept FROM ({queries.ORACLE['op5_line_rules']})").fetchall() if k}
+    assert set(after["quality rules"]) == kept
+    assert set(after["near duplicates"]) == near_copies_kept({i: r["text"] for i, r in after["quality rules"].items()})
     bench = [(r["item_id"], r["text"]) for r in spark.read.parquet(f"{data}/benchmark.parquet").collect()]
     held = {i for i, r in after["near duplicates"].items() if any(" ".join(decontam.tokens(t)) in " ".join(decontam.tokens(r["text"])) for _, t in bench)}
     assert not held & set(after["decontamination"]) and len(after["decontamination"]) >= len(after["near duplicates"]) - 2 * len(held)
@@ -63,3 +59,32 @@ def test_stages_leave_columns_with_clashing_names(spark, data, stage):
 def test_oracle_names():
     assert set(queries.ORACLE) <= set(queries.QUERIES) and corpus_pipeline.ORACLE_SQL is None
     assert sp_codec.default_model().endswith(".model")
+
+
+def test_clashing_names_of_operators(spark):
+    """Extra columns named like an operator's own, in any case."""
+    text = "One clean document, with words enough to be kept. It has a second sentence, too."
+    names = ["_measures", "m", "KEPT", "N_Words", "_0"]
+    docs = spark.createDataFrame([(1, text, *names)], ", ".join(["doc_id bigint, text string", *(f"{n} string" for n in names)]))
+    judged = quality_rules.judge(docs)
+    assert judged.select("kept", "n_words", "_measures", "m", "`_0`").collect() == [(True, 15, "_measures", "m", "_0")]
+    coded = sp_codec.encode(docs.withColumns({"IDS": docs["m"], "N_IDS": docs["m"]}))
+    assert coded.select("n_ids").first()[0] == len(coded.first()["ids"]) and coded.columns[-1] == "round_trip"
+    upper = docs.withColumnRenamed("text", "TEXT")
+    assert sp_codec.encode(upper).first()["round_trip"] and quality_rules.keep_clean(upper).count() == 1
+
+
+def test_settings_of_the_session_stay(spark, data):
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(name)
+    sp_codec.encode(spark.read.parquet(f"{data}/documents.parquet")).count()
+    assert spark.conf.get(name) == before
+
+
+def test_one_folder_stays(spark, data):
+    import os
+
+    folder = spark.sparkContext.getCheckpointDir().removeprefix("file:")
+    before = {f for f in os.listdir(folder) if f.startswith("pipeline-")}
+    assert corpus_pipeline.run(spark, data).count() > 0
+    assert len({f for f in os.listdir(folder) if f.startswith("pipeline-")} - before) == 1
