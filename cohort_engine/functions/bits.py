@@ -42,6 +42,16 @@ def read_at(bits: int, words: np.ndarray, place: int) -> int:
     return (int(words[place // per]) & 0xFFFFFFFFFFFFFFFF) >> (place % per * bits) & ((1 << bits) - 1)
 
 
+def read_many(bits: int, words: np.ndarray, places: np.ndarray) -> np.ndarray:
+    """The values at some places, as unsigned numbers, without unpacking the others."""
+    if bits == 0:
+        return np.zeros(len(places), np.uint64)
+    per = 64 // bits
+    place = np.asarray(places, np.int64)
+    shifts = ((place % per) * bits).astype(np.uint64)
+    return (np.asarray(words, np.int64).view(np.uint64)[place // per] >> shifts) & np.uint64((1 << bits) - 1)
+
+
 def read_column(bits: Column, words: Column, place: Column) -> Column:
     """The same read as an expression, for packed columns in a table."""
     per = F.lit(64).cast("int") / bits

@@ -1,6 +1,7 @@
 """Measures of a cohort report. Each has mergeable partial states, so chunks and streams can be combined.
 
-Sums and averages go over decimals with two places, so they don't depend on the order of rows."""
+Sums and averages go over decimals with ``PLACES`` places, whatever a column's own scale is, so they don't depend on the order of rows
+and all executors agree; only the finished measure is rounded, to ``places`` of its own."""
 
 from __future__ import annotations
 
@@ -8,13 +9,23 @@ from dataclasses import dataclass
 
 from ..schema import CohortSemanticError
 
+#: Values count to this many places; whole numbers have room for 26 digits.
+PLACES = 12
 KINDS = ("sum", "avg", "count", "min", "max", "usercount")
 
 
+def exact(column: str) -> str:
+    """A column as the decimal that is summed."""
+    return f"CAST({column} AS DECIMAL(38,{PLACES}))"
+
+
 @dataclass(frozen=True)
 class Measure:
+    """``places``: to how many the finished sum or average is rounded."""
+
     kind: str
     attr: str | None = None
+    places: int = 6
 
     def __post_init__(self) -> None:
         if self.kind not in KINDS or (self.kind not in ("count", "usercount") and self.attr is None):
@@ -22,7 +33,7 @@ class Measure:
 
     def partial(self, column: str) -> dict[str, str]:
         """Names of states, and the aggregates that make them from tuples."""
-        dec = f"CAST({column} AS DECIMAL(18,2))"
+        dec = exact(column)
         return {
             "sum": {"s": f"sum({dec})"},
             "avg": {"s": f"sum({dec})", "n": f"count({column})"},
@@ -37,18 +48,18 @@ class Measure:
 
     def finish(self, columns: dict[str, str]) -> str:
         if self.kind == "sum":
-            return f"round(CAST({columns['s']} AS DOUBLE), 6)"
+            return f"round(CAST({columns['s']} AS DOUBLE), {self.places})"
         if self.kind == "avg":
-            return f"round(CAST({columns['s']} AS DOUBLE) / {columns['n']}, 6)"
+            return f"round(CAST({columns['s']} AS DOUBLE) / {columns['n']}, {self.places})"
         return f"CAST({columns['m']} AS DOUBLE)" if self.kind in ("min", "max") else f"CAST({columns[next(iter(columns))]} AS BIGINT)"
 
 
-def Sum(attr: str) -> Measure:
-    return Measure("sum", attr)
+def Sum(attr: str, places: int = 6) -> Measure:
+    return Measure("sum", attr, places)
 
 
-def Avg(attr: str) -> Measure:
-    return Measure("avg", attr)
+def Avg(attr: str, places: int = 6) -> Measure:
+    return Measure("avg", attr, places)
 
 
 def Count(attr: str | None = None) -> Measure:

@@ -174,6 +174,12 @@ def age_limit(p: Pred | None) -> int | None:
     return min(limits, default=None)
 
 
+def day_range(p: Pred | None, name: str) -> tuple[str | None, str | None]:
+    """The first and last day that the conjuncts leave to an attribute, as far as they say so by days."""
+    days = [c for c in conjuncts(p) if isinstance(c, Days) and isinstance(c.left, Attr) and c.left.name == name]
+    return max((c.first for c in days), default=None), min((c.last for c in days), default=None)
+
+
 def literal(value: object) -> str:
     if value is None:
         return "NULL"

@@ -9,8 +9,8 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame
 
-from ..functions.lineage import cut
-from ..functions.predicates import to_sql
+from ..functions.lineage import cut, fresh_folder
+from ..functions.predicates import literal, to_sql
 from ..plans.algebra import CohortPlan, normalise
 from ..schema import ActivityTable
 from .core import quoted
@@ -56,9 +56,9 @@ def to_sql_text(plan: CohortPlan, view: str, push: bool = False) -> str:
     ages = to_sql(plan.ages, quoted, birth, plan.age_unit.sql(time, "_bt"))
     outer = _outer(plan, "cohort_t", "birth_b", "_bt", birth, f"{late} AND {ages}", late)
     return f"""
-    WITH birth_t AS (SELECT {user} AS _u0, min({time}) AS _bt FROM {view} WHERE {action} = '{plan.action}' GROUP BY {user}),
+    WITH birth_t AS (SELECT {user} AS _u0, min({time}) AS _bt FROM {view} WHERE {action} = {literal(plan.action)} GROUP BY {user}),
     birth_d AS (SELECT d.{user}, t._bt{carried}, row_number() OVER (PARTITION BY d.{user} ORDER BY d.{time}{first.replace(", ", ", d.")}) AS _rank
-                FROM {view} d JOIN birth_t t ON d.{user} = t._u0 AND d.{time} = t._bt WHERE d.{action} = '{plan.action}'),
+                FROM {view} d JOIN birth_t t ON d.{user} = t._u0 AND d.{time} = t._bt WHERE d.{action} = {literal(plan.action)}),
     birth_b AS (SELECT * FROM birth_d WHERE _rank = 1 AND {at_birth if push else "TRUE"}),
     cohort_t AS (SELECT d.*, b._bt{passed} FROM {view} d JOIN birth_b b ON d.{user} = b.{user})
     {outer}"""
@@ -75,8 +75,8 @@ def run_sql(plan, push: bool = False) -> DataFrame:
 def build_view(act: ActivityTable, actions: list[str], attrs: list[str] | None = None, table: str | None = None, buckets: int = 8) -> DataFrame:
     """Every tuple with ``_bt_<action>`` and ``_b_<action>_<attribute>`` for each birth action: two joins an action.
 
-    ``table``: a name under which the view is stored, bucketed and sorted by user; without one it is kept as a
-    checkpoint in the shared folder."""
+    ``table``: a name under which the view is stored in the shared folder, clustered: bucketed by user and sorted by user and time; without
+    one it is kept as a checkpoint."""
     s = act.schema
     attrs = list(s.dims if attrs is None else attrs)
     spark = act.df.sparkSession
@@ -89,12 +89,12 @@ def build_view(act: ActivityTable, actions: list[str], attrs: list[str] | None =
             SELECT {user}, _bt AS {quoted(f"_bt_{e}")}{"".join(f", {quoted(f'_b_{e}_{a}')}" for a in attrs)} FROM (
               SELECT d.{user}, t._bt{"".join(f", d.{quoted(a)} AS {quoted(f'_b_{e}_{a}')}" for a in attrs)},
                      row_number() OVER (PARTITION BY d.{user} ORDER BY d.{time}{first}) AS _rank
-              FROM _mv_source d JOIN (SELECT {user} AS _u0, min({time}) AS _bt FROM _mv_source WHERE {action} = '{e}' GROUP BY {user}) t
-              ON d.{user} = t._u0 AND d.{time} = t._bt WHERE d.{action} = '{e}') WHERE _rank = 1""")
+              FROM _mv_source d JOIN (SELECT {user} AS _u0, min({time}) AS _bt FROM _mv_source WHERE {action} = {literal(e)} GROUP BY {user}) t
+              ON d.{user} = t._u0 AND d.{time} = t._bt WHERE d.{action} = {literal(e)}) WHERE _rank = 1""")
         out = out.join(born, s.user, "left")
     if table is None:
         return cut(out)
-    out.repartition(buckets, s.user).write.mode("overwrite").format("parquet").bucketBy(buckets, s.user).sortBy(s.user, s.time).saveAsTable(table)
+    out.repartition(buckets, s.user).write.mode("overwrite").format("parquet").bucketBy(buckets, s.user).sortBy(s.user, s.time).option("path", fresh_folder(spark, "view")).saveAsTable(table)
     return spark.table(table)
 
 
@@ -106,7 +106,7 @@ def run_view(plan, view: DataFrame, merged: bool = False) -> DataFrame:
     born = quoted(f"_bt_{e}")
     at_birth = f"{born} IS NOT NULL AND {to_sql(plan.birth, birth)}"
     ages = to_sql(plan.ages, quoted, birth, plan.age_unit.sql(quoted(s.time), born))
-    is_birth = f"({quoted(s.time)} = {born} AND {quoted(s.action)} = '{e}')"
+    is_birth = f"({quoted(s.time)} = {born} AND {quoted(s.action)} = {literal(e)})"
     name = f"_mv_{abs(hash((e, id(view))))}"
     view.createOrReplaceTempView(name)
     head = f"WITH birth_view AS (SELECT * FROM {name} WHERE {at_birth}), age_view AS (SELECT * FROM birth_view WHERE {is_birth} OR {ages})"

@@ -5,12 +5,14 @@ without one are dropped by every operator here. A tuple has an age if it is late
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.ages import AgeUnit, TimeBin, default_unit, raw_age
 from ..functions.measures import Measure
-from ..functions.predicates import Pred, birth_attributes, to_sql, uses_age
+from ..functions.predicates import Pred, birth_attributes, literal, to_sql, uses_age
 from ..schema import ActivityTable, CohortSemanticError
 
 BORN = "_born"
@@ -28,8 +30,13 @@ def birth_times(act: ActivityTable, action: str) -> DataFrame:
 
 
 def births(act: ActivityTable, action: str, columns: list[str], cond: Pred | None = None) -> DataFrame:
-    """``user, _born, _birth`` with one row for each born user whose birth tuple meets the condition."""
+    """``user, _born, _birth`` with one row for each born user whose birth tuple meets the condition.
+
+    Without attributes to carry, a birth is its time, and a hash aggregate finds it; else the birth tuple is the least by time and tie-break."""
     s = act.schema
+    if not set(columns) - {s.time}:
+        found = birth_times(act, action).select(s.user, F.col("birth_time").alias(BORN), F.struct(F.col("birth_time").alias(s.time)).alias(BIRTH))
+        return found if cond is None else found.where(to_sql(cond, lambda n: born_at(s.time, n)))
     carried = F.struct(*(F.col(c) for c in dict.fromkeys([s.time, *columns])))
     order = F.struct(F.col(s.time), *(F.col(t) for t in s.tie_break))
     found = act.df.where(F.col(s.action) == action).groupBy(s.user).agg(F.min_by(carried, order).alias(BIRTH))
@@ -77,7 +84,7 @@ def age_select(act: ActivityTable, action: str, cond: Pred | None = None, unit:
     joined = act.df.join(births(act, action, sorted({*birth_attributes(cond), *s.tie_break} - {s.time})), s.user)
     own = lambda n: quoted(n)
     age = unit.sql(quoted(s.time), BORN) if uses_age(cond) else None
-    is_birth = " AND ".join([f"{quoted(s.time)} = {BORN}", f"{quoted(s.action)} = '{action}'", *(f"{quoted(t)} <=> {born_at(s.time, t)}" for t in s.tie_break)])
+    is_birth = " AND ".join([f"{quoted(s.time)} = {BORN}", f"{quoted(s.action)} = {literal(action)}", *(f"{quoted(t)} <=> {born_at(s.time, t)}" for t in s.tie_break)])
     later = f"({quoted(s.time)} > {BORN} AND {to_sql(cond, own, lambda n: born_at(s.time, n), age)})"
     return act.with_df(joined.where(f"({is_birth}) OR {later}").select(*act.df.columns))
 
@@ -123,6 +130,17 @@ def intersect_born(a: ActivityTable, b: ActivityTable, action: str) -> ActivityT
     return a.with_df(a.df.join(mine, s.user, "left_semi"), layout="raw", birth_index=None)
 
 
+def join_births(a: ActivityTable, b: ActivityTable, action: str, columns: tuple[str, ...], prefix: str = "other_") -> ActivityTable:
+    """The join of two activity tables by born users: tuples of the first, of users whom the second sees born, with the time and
+    attributes of that birth as dimensions ``other_time, other_...``."""
+    s, t = a.schema, b.schema
+    other = births(b, action, sorted(columns))
+    named = {f"{prefix}time": BORN, **{f"{prefix}{c}": born_at(t.time, c) for c in columns}}
+    other = other.select(F.col(t.user).alias("_u"), *(F.expr(e).alias(n) for n, e in named.items()))
+    joined = a.df.join(other, F.col(s.user) == F.col("_u")).drop("_u")
+    return a.with_df(joined, schema=replace(s, dims=(*s.dims, *named)), layout="raw", birth_index=None)
+
+
 def never_born(act: ActivityTable, action: str) -> DataFrame:
     """Users without a birth."""
     s = act.schema

@@ -11,8 +11,9 @@ from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from ..functions.predicates import age_limit, birth_attributes, split, to_sql, uses_age
+from ..functions.predicates import age_limit, birth_attributes, day_range, split, to_sql, uses_age
 from ..plans.algebra import CohortPlan, normalise
 from ..schema import CohortSemanticError
 from .core import BIRTH, BORN, births, born_at, cohort_key, quoted
@@ -59,19 +60,26 @@ def _later(plan: CohortPlan, joined: DataFrame, cond) -> DataFrame:
     return out if cond is None else out.where(to_sql(cond, lambda n: quoted(f"_a_{n}"), lambda n: quoted(f"_b_{n}"), "age"))
 
 
-def _report(plan: CohortPlan, tuples: DataFrame, qualified: DataFrame, local_usercount: bool = True) -> DataFrame:
-    """Aggregates by cohort and age, and the sizes of the cohorts beside them."""
-    s = plan.table.schema
+def _cells(plan: CohortPlan, tuples: DataFrame, local_usercount: bool = True) -> DataFrame:
+    """``_k0, _k1, ..., age`` and the states of the measures, ``<name>__<state>``."""
     keys = [f"_k{i}" for i in range(len(plan.by))]
     plain = [(n, m) for n, m in plan.measures if m.kind != "usercount"]
     users = [n for n, m in plan.measures if m.kind == "usercount"]
     aggs = {f"{n}__{st}": F.expr(e) for n, m in plain for st, e in m.partial(quoted(f"_a_{m.attr}") if m.attr else "1").items()}
-    if users and local_usercount:
+    if not users:
+        return tuples.groupBy(*keys, "age").agg(*([e.alias(a) for a, e in aggs.items()] or [F.count("*").alias("_n")]))
+    if local_usercount:
         merged = {f"{n}__{st}": F.expr(m.merge(st, quoted(f"{n}__{st}"))) for n, m in plain for st in m.partial("x")}
         each = tuples.groupBy("_user", *keys, "age").agg(F.count("*").alias("_n"), *(e.alias(a) for a, e in aggs.items()))
-        cells = each.groupBy(*keys, "age").agg(*(F.count("*").alias(f"{n}__u") for n in users), *(e.alias(a) for a, e in merged.items()))
-    else:
-        cells = tuples.groupBy(*keys, "age").agg(*(F.count_distinct("_user").alias(f"{n}__u") for n in users), *(e.alias(a) for a, e in aggs.items()), F.count("*").alias("_n"))
+        return each.groupBy(*keys, "age").agg(*(F.count("*").alias(f"{n}__u") for n in users), *(e.alias(a) for a, e in merged.items()))
+    return tuples.groupBy(*keys, "age").agg(*(F.count_distinct("_user").alias(f"{n}__u") for n in users), *(e.alias(a) for a, e in aggs.items()), F.count("*").alias("_n"))
+
+
+def _report(plan: CohortPlan, tuples: DataFrame, qualified: DataFrame, local_usercount: bool = True) -> DataFrame:
+    """Aggregates by cohort and age, and the sizes of the cohorts beside them."""
+    s = plan.table.schema
+    keys = [f"_k{i}" for i in range(len(plan.by))]
+    cells = _cells(plan, tuples, local_usercount)
     sizes = qualified.select(*(F.expr(e).alias(f"_s{i}") for i, (_, e) in enumerate(cohort_key(s.time, plan.by))), F.lit(1).alias("_one"))
     sizes = sizes.groupBy("_one", *(f"_s{i}" for i in range(len(keys)))).agg(F.count("*").alias("cohort_size"))
     cells = cells.withColumn("_c", F.lit(1))
@@ -90,15 +98,33 @@ def _columns(plan: CohortPlan) -> list[str]:
     return list(dict.fromkeys([s.user, s.time, *plan.age_columns]))
 
 
-def _births_form(plan: CohortPlan, qualified: DataFrame, options: NativeOptions) -> DataFrame:
+def _born_activities(plan: CohortPlan, qualified: DataFrame, options: NativeOptions) -> DataFrame:
+    """Tuples of qualified users after birth. Conditions on the tuple alone go to its scan, and so do bounds of its time: no tuple
+    is older than the first day of birth, nor younger than the last day and the last age."""
     s = plan.table.schema
     own, rest = split(plan.ages)
     acts = plan.table.df.select(*dict.fromkeys([*_columns(plan), s.action]))
     if options.push_ages and own is not None:
         acts = acts.where(to_sql(own, quoted))
-    joined = acts.join(qualified, s.user)
-    tuples = _later(plan, joined, rest if options.push_ages else plan.ages)
-    return _report(plan, tuples, qualified, options.local_usercount)
+    kind = plan.table.df.schema[s.time].dataType
+    first, last = day_range(plan.birth, s.time) if options.push_ages and isinstance(kind, T.TimestampType | T.TimestampNTZType) else (None, None)
+    if first is not None:
+        acts = acts.where(F.col(s.time) >= F.lit(first).cast("date").cast(kind))
+    limit = age_limit(plan.ages)
+    if last is not None and limit is not None and (latest := plan.age_unit.latest(f"CAST(DATE'{last}' + INTERVAL 1 DAY AS {kind.simpleString()})", limit)):
+        acts = acts.where(f"{quoted(s.time)} <= {latest}")
+    return _later(plan, acts.join(qualified, s.user), rest if options.push_ages else plan.ages)
+
+
+def _births_form(plan: CohortPlan, qualified: DataFrame, options: NativeOptions) -> DataFrame:
+    return _report(plan, _born_activities(plan, qualified, options), qualified, options.local_usercount)
+
+
+def fine_cells(plan: CohortPlan) -> tuple[DataFrame, DataFrame]:
+    """States of the measures by cohort and age, and the births, for reports that go on from there."""
+    plan = normalise(plan)
+    qualified = _qualified(plan)
+    return _cells(plan, _born_activities(plan, qualified, NativeOptions())), qualified
 
 
 def _late_births(plan: CohortPlan, options: NativeOptions) -> DataFrame:

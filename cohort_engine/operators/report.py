@@ -2,18 +2,16 @@
 
 from __future__ import annotations
 
-from dataclasses import replace
-
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.ages import AgeUnit, TimeBin, week_start
-from ..functions.measures import Count, Measure
+from ..functions.measures import Measure, exact
 from ..functions.predicates import Pred
 from ..plans.algebra import CohortPlan, normalise
-from ..schema import ActivityTable, CohortSemanticError
+from ..schema import ActivityTable
 from . import native
-from .core import quoted
+from .core import cohort_key, quoted
 
 
 def pivot_report(report: DataFrame, cohorts: list[str], value: str, ages: list[int]) -> DataFrame:
@@ -30,7 +28,7 @@ def weekly_average(act: ActivityTable, action: str, measure: str) -> DataFrame:
     """The plain contrast to a cohort query: a mean by calendar week, whoever the users are."""
     s = act.schema
     week = F.expr(week_start(quoted(s.time))).alias("week")
-    mean = F.round(F.sum(F.col(measure).cast("decimal(18,2)")).cast("double") / F.count(measure), 6).alias(f"avg_{measure}")
+    mean = F.round(F.sum(F.expr(exact(quoted(measure)))).cast("double") / F.count(measure), 6).alias(f"avg_{measure}")
     return act.df.where(F.col(s.action) == action).groupBy(week).agg(mean)
 
 
@@ -38,7 +36,7 @@ def weekly_window(act: ActivityTable, action: str, measure: str) -> DataFrame:
     """The same by Spark's time windows, which also work on streams; weeks start on Sunday."""
     s = act.schema
     weeks = F.window(s.time, "7 days", "7 days", "3 days")
-    mean = F.round(F.sum(F.col(measure).cast("decimal(18,2)")).cast("double") / F.count(measure), 6).alias(f"avg_{measure}")
+    mean = F.round(F.sum(F.expr(exact(quoted(measure)))).cast("double") / F.count(measure), 6).alias(f"avg_{measure}")
     return act.df.where(F.col(s.action) == action).groupBy(weeks.alias("w")).agg(mean).select(F.to_date("w.start").alias("week"), f"avg_{measure}")
 
 
@@ -50,41 +48,22 @@ def classic_cohort(act: ActivityTable, action: str, ages: Pred | None, bin: str
 def cohort_cube(plan: CohortPlan) -> DataFrame:
     """The report for every subset of the cohort attributes; attributes left out are null and ``grouping_id`` tells which.
 
-    Sizes don't add up over ages nor averages over cells, so both are computed anew from states: users are
-    counted by their cohort alone, and sums, counts and users by cell."""
+    One aggregate makes the states of the finest cells, and one over grouping sets all others from them: a user is in one
+    cohort, so states just add up. Sizes don't add up over ages, so they are counted from births, by one cube."""
     plan = normalise(plan)
-    names = plan.cohort_names
-    base = [(n, m) for n, m in plan.measures if m.kind in ("sum", "count", "usercount", "avg")]
-    if len(base) < len(plan.measures):
-        raise CohortSemanticError("a cube takes sum, count, avg and usercount")
-    states: dict[str, Measure] = {}
-    for n, m in base:
-        states |= {f"{n}__s": Measure("sum", m.attr), f"{n}__n": Count(m.attr)} if m.kind == "avg" else {n: m}
-    fine = native.run(replace(plan, measures=tuple(states.items()), columns=()))
-    from .core import assign_cohorts
-
-    users = assign_cohorts(plan.table, plan.action, plan.by, plan.birth)
-    sizes = users.cube(*names).agg(F.grouping_id().alias("_g"), F.count("*").alias("cohort_size"))
-    cells = fine.select("age", *names, *states)
-    sums = []
-    for n, m in base:
-        if m.kind == "avg":
-            sums.append(F.round(F.sum(F.col(f"{n}__s").cast("decimal(20,2)")).cast("double") / F.sum(f"{n}__n"), 6).alias(n))
-        elif m.kind == "sum":
-            sums.append(F.round(F.sum(F.col(n).cast("decimal(20,2)")).cast("double"), 6).alias(n))
-        else:
-            sums.append(F.sum(n).alias(n))
-    sets = cells
-    made = None
-    for g in range(2 ** len(names)):  # as many as there are subsets of the attributes
-        kept = [c for i, c in enumerate(names) if not g >> (len(names) - 1 - i) & 1]
-        part = sets.groupBy(*kept, "age").agg(*sums).select(F.lit(g).cast("bigint").alias("_g"), *(F.col(c) if c in kept else F.lit(None).cast(sets.schema[c].dataType).alias(c) for c in names), "age", *(n for n, _ in base))
-        made = part if made is None else made.unionByName(part)
-    left = sizes.select(F.col("_g").alias("_sg"), "cohort_size", *(F.col(c).alias(f"_s_{c}") for c in names))
+    names, keys = plan.cohort_names, [f"_k{i}" for i in range(len(plan.by))]
+    fine, births = native.fine_cells(plan)
+    merged = {f"{n}__{st}": m.merge(st, quoted(f"{n}__{st}")) for n, m in plan.measures for st in m.partial("x")}
+    sets = [[*(k for i, k in enumerate(keys) if not g >> (len(keys) - 1 - i) & 1), "age"] for g in range(2 ** len(keys))]
+    cells = fine.groupingSets([[F.col(c) for c in kept] for kept in sets], *keys, "age").agg(F.shiftright(F.grouping_id(), 1).alias("_g"), *(F.expr(e).alias(a) for a, e in merged.items()))
+    sizes = births.select(*(F.expr(e).alias(f"_s{i}") for i, (_, e) in enumerate(cohort_key(plan.table.schema.time, plan.by))))
+    sizes = sizes.cube(*sizes.columns).agg(F.grouping_id().alias("_sg"), F.count("*").alias("cohort_size"))
     match = F.col("_g") == F.col("_sg")
-    for c in names:
-        match = match & F.col(c).eqNullSafe(F.col(f"_s_{c}"))
-    return made.join(left, match).select(*names, F.col("_g").alias("grouping_id"), "cohort_size", "age", *(n for n, _ in base))
+    for i, k in enumerate(keys):
+        match = match & F.col(k).eqNullSafe(F.col(f"_s{i}"))
+    finished = [F.expr(m.finish({st: quoted(f"{n}__{st}") for st in m.partial("x")})).alias(n) for n, m in plan.measures]
+    named = [F.col(k).alias(n) for k, n in zip(keys, names, strict=True)]
+    return cells.join(sizes, match).select(*named, F.col("_g").cast("bigint").alias("grouping_id"), "cohort_size", "age", *finished)
 
 
 def over_age(report: DataFrame, cohorts: list[str], value: str) -> DataFrame:

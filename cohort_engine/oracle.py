@@ -23,8 +23,9 @@ WEEK = "CAST((epoch_us(a.t) - epoch_us(b.t) + 604799999999) // 604800000000 AS I
 MONTH = "CAST(12 * (year(a.t) - year(b.t)) + month(a.t) - month(b.t) + CASE WHEN epoch_us(a.t) - epoch_us(date_trunc('month', a.t)) > epoch_us(b.t) - epoch_us(date_trunc('month', b.t)) THEN 1 ELSE 0 END AS INTEGER)"
 TICK = "CAST(a.t - b.t AS INTEGER)"
 SUNDAY = "CAST(b.t AS DATE) - CAST(dayofweek(b.t) AS INTEGER)"
-AVG = "round(CAST(sum(CAST({0} AS DECIMAL(18,2))) AS DOUBLE) / count({0}), 6)"
-SUM = "round(CAST(sum(CAST({0} AS DECIMAL(18,2))) AS DOUBLE), 6)"
+# sums over the raw doubles, with their errors carried along, and rounded at the end only
+AVG = "round(round(fsum({0}), 6) / count({0}), 6)"
+SUM = "round(fsum({0}), 6)"
 USERS = "count(DISTINCT a.u)"
 
 
@@ -75,7 +76,23 @@ def build() -> dict[str, str]:
       cells AS (SELECT country, role, CAST(grouping(country, role) AS BIGINT) AS grouping_id, age, {SUM.format('gold')} AS s, {AVG.format('gold')} AS a, count(DISTINCT u) AS users FROM x GROUP BY GROUPING SETS ((country, role, age), (country, age), (role, age), (age))),
       sizes AS (SELECT country, role, CAST(grouping(country, role) AS BIGINT) AS g, count(*) AS cohort_size FROM born GROUP BY CUBE (country, role))
       SELECT c.country, c.role, c.grouping_id, z.cohort_size, c.age, c.s, c.a, c.users FROM cells c JOIN sizes z ON c.grouping_id = z.g AND c.country IS NOT DISTINCT FROM z.country AND c.role IS NOT DISTINCT FROM z.role"""
+    fine = {"s": "round(fsum(a.gold / 1000.0), 9)", "a": "round(round(fsum(a.gold / 1000.0), 9) / count(a.gold), 6)", "lo": "min(a.gold / 1000.0)", "hi": "max(a.gold / 1000.0)", "third_lo": "min(a.gold / 7.0)", "third_hi": "max(a.gold / 7.0)", "third": SUM.format("(a.gold / 7.0)")}
+    fine = cohort(EVENTS, "signup", {"role": "b.role"}, fine, "b.gold / 1000.0 > 0.01 AND b.gold / 7.0 < 12.25", "a.gold / 7.0 < 9.000000001 AND a.gold / 1000.0 >= 0.0035")
+    touched = " UNION ALL ".join(f"SELECT '{d}' AS d2, count(DISTINCT b.u) AS users, count(a.tie) AS age_tuples FROM born b LEFT JOIN act a ON a.u = b.u AND (a.t, a.tie) > (b.t, b.tie) WHERE {_days(D1, d)}" for d in [days_after(n) for n in range(0, 12, 2)])
+    three = [("birth_week", SUNDAY), ("country", "b.country"), ("role", "b.role")]
+    names = ", ".join(n for n, _ in three)
+    subsets = [[n for k, (n, _) in enumerate(three) if g >> k & 1] for g in range(8)]
+    cube_week = f"""WITH {EVENTS}, {born('signup')}, x AS (SELECT {", ".join(f"{e} AS {n}" for n, e in three)}, {DAY} AS age, a.u AS u, a.gold AS gold FROM act a JOIN born b ON a.u = b.u AND a.t > b.t),
+      y AS (SELECT {", ".join(f"{e} AS {n}" for n, e in three)} FROM born b),
+      cells AS (SELECT {names}, CAST(grouping({names}) AS BIGINT) AS grouping_id, age, count(DISTINCT u) AS users, min(gold) AS lo FROM x GROUP BY GROUPING SETS ({", ".join("(" + ", ".join([*s, "age"]) + ")" for s in subsets)})),
+      sizes AS (SELECT {names}, CAST(grouping({names}) AS BIGINT) AS g, count(*) AS cohort_size FROM y GROUP BY CUBE ({names}))
+      SELECT {", ".join(f"c.{n}" for n, _ in three)}, c.grouping_id, z.cohort_size, c.age, c.users, c.lo FROM cells c JOIN sizes z ON c.grouping_id = z.g AND {" AND ".join(f"c.{n} IS NOT DISTINCT FROM z.{n}" for n, _ in three)}"""
+    q5_launch = lambda d2: cohort(STAGGERED, "launch", country, users, _days(D1, d2))
+    q7_launch = lambda g: cohort(STAGGERED, "launch", country, users, ages=f"{DAY} < {g}")
+    joined = f"WITH {EVENTS}, o AS (SELECT o_custkey AS u2, o_orderdate AS t2, o_orderpriority AS prio, row_number() OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS place FROM orders WHERE o_orderstatus = 'F') SELECT tie AS event_id, t2 AS order_time, prio AS order_o_orderpriority FROM act JOIN o ON u = u2 AND place = 1"
     out = {
+        "fine_measures": fine, "fine_measures_chunked": fine, "tuples_touched": f"WITH {EVENTS}, {born('signup')} {touched}", "cube_week": cube_week, "join_births": joined,
+        "launch_q5_sweep": sweep(q5_launch, [days_after(n) for n in range(0, 24, 3)], "d2", quoted), "launch_q7_sweep": sweep(q7_launch, range(1, 15, 3), "g", plain),
         "q1": q1, "q2": q2, "q3": q3, "q4": q4, "q4b": q4b, "q5": q5("2024-01-03"), "q6": q6("2024-01-03"), "q7": q7(7), "q8": q8(7),
         "q5_sweep": sweep(q5, [days_after(n) for n in range(12)], "d2", quoted),
         "q6_sweep": sweep(q6, [days_after(n) for n in range(12)], "d2", quoted),
@@ -114,6 +131,6 @@ def build() -> dict[str, str]:
         "user_runs": f"WITH {EVENTS} SELECT u AS user_id, count(*) AS n FROM act GROUP BY 1",
         "mv_merged_q4": q4,
     }
-    for prefix in ("window", "nested", "sql", "sqlpushed", "chunked", "index", "mv", "cohortsql"):
+    for prefix in ("window", "nested", "sql", "sqlpushed", "chunked", "index", "mv", "mv_clustered", "cohortsql"):
         out |= {f"{prefix}_{n}": q for n, q in (("q1", q1), ("q2", q2), ("q3", q3), ("q4", q4))}
     return out

@@ -89,6 +89,29 @@ def test_birth_and_age_conditions(spark, collected):
         assert collected(df) == want, name
 
 
+FINE = [
+    (1, T0, "it's \\ born", "p", 0.004, 1), (1, T0 + timedelta(hours=1), "x", "p", 0.004, 2), (1, T0 + timedelta(hours=2), "x", "p", 0.003, 3), (1, T0 + timedelta(hours=30), "x", "p", 1 / 3, 4),
+    (2, T0, "it's \\ born", "p", 1e-9, 5), (2, T0 + timedelta(hours=3), "x", "p", 2e-9, 6), (2, T0 + timedelta(hours=4), "x", "p", 123456789.123456, 7),
+]
+
+
+def test_fine_values_and_odd_actions(spark, collected):
+    """Measures and conditions keep all digits, and an action may have quotes and backslashes, in every executor."""
+    act = table(spark, FINE)
+    action = "it's \\ born"
+    query = CohortQuery(act).birth(action, Attr("v") < 0.0041).ages(Attr("v") != 0.0035).by("d").measure(n=Count(), s=Sum("v", 10), a=Avg("v", 10), lo=Min("v"), hi=Max("v"))
+    want = [("p", 2, 1, 4, 123456789.130456, round(123456789.130456002 / 4, 10), 2e-9, 123456789.123456), ("p", 2, 2, 1, 0.3333333333, 0.3333333333, 1 / 3, 1 / 3)]
+    plan = query.plan()
+    for name, df in [*((f, native.run(plan, f)) for f in ("births", "window", "nested")), ("late", native.run(plan, options=native.NativeOptions(False, False, False))), ("sql", baselines.run_sql(plan)), ("pushed", baselines.run_sql(plan, True)),
+                     ("view", baselines.run_view(plan, baselines.build_view(act, [action], ["d", "v"]))), ("merged", baselines.run_view(plan, baselines.build_view(act, [action], ["d", "v"]), True)), ("chunked", chunked.run(plan, encode.compress(act, 3)))]:
+        got = collected(df)
+        assert [r[:4] + r[6:] for r in got] == [r[:4] + r[6:] for r in want], name
+        assert all(abs(g - w) <= 1e-9 * max(1, abs(w)) for r, q in zip(got, want, strict=True) for g, w in zip(r[4:6], q[4:6], strict=True)), (name, got)
+    assert core.age_select(act, action, Attr("v") < 0.0035).df.count() == 4
+    small = CohortQuery(act).birth(action).ages(Attr("v") < 0.0035).measure(n=Count()).plan()
+    assert collected(native.run(small)) == collected(chunked.run(small, encode.compress(act, 3))) == [(2, 1, 2)]
+
+
 def test_empty_table_and_no_cohorts(spark, collected):
     act = table(spark, [])
     for name, df in engines(spark, act, CohortQuery(act).birth("b").by("d").measure(n=Count())):
