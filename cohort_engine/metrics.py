@@ -70,19 +70,27 @@ def storage(df: DataFrame) -> int:
     return total
 
 
-def chunk_sweep(act: ActivityTable, sizes: list[int], plans: list, runs: int = 3) -> list[dict]:
-    """Storage and mean time of plans for each chunk size."""
+def chunk_sweep(act: ActivityTable, sizes: list[int], makes: list[Callable[[ActivityTable], object]], runs: int = 5) -> list[dict]:
+    """Storage, seconds to encode and mean time of queries for each chunk size."""
     from .operators import chunked, encode
 
     out = []
     for rows in sizes:
+        t = time.perf_counter()
         chunks = encode.compress(act, rows)
+        built = time.perf_counter() - t
         size = encode.storage(chunks).first()
-        out.append({"rows": rows, "chunks": size["chunks"], "bytes": size["bytes"], "seconds": [time_query(lambda p=p, c=chunks: chunked.run(p, c), runs)[0] for p in plans]})
+        seconds = []
+        for make in makes:
+            query = lambda m=make, c=chunks: chunked.run(m(act).plan(), c)
+            drain(query())
+            seconds.append(time_query(query, runs)[0])
+        out.append({"rows": rows, "chunks": size["chunks"], "bytes": size["bytes"], "files": storage(chunks.chunks), "encode": built, "seconds": seconds})
+        chunks.drop()
     return out
 
 
-def scale_sweep(act: ActivityTable, factors: list[int], make: Callable[[ActivityTable], DataFrame], runs: int = 3) -> dict[int, float]:
+def scale_sweep(act: ActivityTable, factors: list[int], make: Callable[[ActivityTable], DataFrame], runs: int = 5) -> dict[int, float]:
     from .sources.tables import scale_users
 
     return {x: time_query(lambda x=x: make(scale_users(act, x)), runs)[0] for x in factors}

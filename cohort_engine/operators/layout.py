@@ -8,11 +8,13 @@ from pyspark.sql import functions as F
 from ..schema import ActivityTable
 
 
-def write_clustered(act: ActivityTable, table: str, buckets: int) -> ActivityTable:
-    """A managed table, bucketed by user and sorted by user, time and action: later joins and windows by user need no exchange."""
+def write_clustered(act: ActivityTable, table: str, buckets: int, path: str | None = None) -> ActivityTable:
+    """A table, bucketed by user and sorted by user, time and action: later joins and windows by user need no exchange. It is managed
+    by the warehouse, or lies at ``path``."""
     s = act.schema
     spread = act.df.select(*s.columns).repartition(buckets, s.user)
-    spread.write.mode("overwrite").format("parquet").bucketBy(buckets, s.user).sortBy(s.user, s.time, s.action).saveAsTable(table)
+    writer = spread.write.mode("overwrite").format("parquet").bucketBy(buckets, s.user).sortBy(s.user, s.time, s.action)
+    (writer.option("path", path) if path else writer).saveAsTable(table)
     return act.with_df(act.df.sparkSession.table(table), layout="clustered", name=table)
 
 

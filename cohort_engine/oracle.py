@@ -92,6 +92,7 @@ def build() -> dict[str, str]:
     joined = f"WITH {EVENTS}, o AS (SELECT o_custkey AS u2, o_orderdate AS t2, o_orderpriority AS prio, row_number() OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS place FROM orders WHERE o_orderstatus = 'F') SELECT tie AS event_id, t2 AS order_time, prio AS order_o_orderpriority FROM act JOIN o ON u = u2 AND place = 1"
     out = {
         "fine_measures": fine, "fine_measures_chunked": fine, "tuples_touched": f"WITH {EVENTS}, {born('signup')} {touched}", "cube_week": cube_week, "join_births": joined,
+        "block_function": f"WITH {EVENTS}, f AS (SELECT u, min(t) FILTER (e = 'signup') AS birth FROM act GROUP BY u) SELECT CAST(act.u AS VARCHAR) AS user, birth AS birth_time, CAST(count(*) AS INTEGER) AS tuples, CAST(count(*) FILTER (t > birth) AS INTEGER) AS later FROM act JOIN f ON act.u = f.u GROUP BY 1, 2",
         "launch_q5_sweep": sweep(q5_launch, [days_after(n) for n in range(0, 24, 3)], "d2", quoted), "launch_q7_sweep": sweep(q7_launch, range(1, 15, 3), "g", plain),
         "q1": q1, "q2": q2, "q3": q3, "q4": q4, "q4b": q4b, "q5": q5("2024-01-03"), "q6": q6("2024-01-03"), "q7": q7(7), "q8": q8(7),
         "q5_sweep": sweep(q5, [days_after(n) for n in range(12)], "d2", quoted),
