@@ -110,6 +110,8 @@ _PLACEHOLDER = re.compile(r"(?i)[*x.<\[{].*|none|null|required|reset|your.*|the|
 _CAP = r"[A-ZÀ-ÖØ-Þ][a-zß-öø-ÿ'’-]{1,30}"
 _NAME = re.compile(rf"(?<!\w)(?:(?:(?P<title>{_TITLE})\.?[ ])|(?P<intro>(?:[Mm]y name is|[Nn]ame ?:|[Ii]ch heiße|[Mm]e llamo|[Jj]e m.appelle|[Ss]igned(?: by)?:?|[Cc]ontact ?:|[Pp]atient ?:)[ ]))?(?P<name>(?P<first>{_CAP})(?: [A-Z]\.)?(?: {_CAP}){{0,2}})")
 _PLACE = re.compile(rf"(?<![\w.,-])[0-9]{{1,5}}[a-z]? (?:{_CAP} ){{1,3}}(?:{_STREET})(?!\w)\.?|(?<!\w)(?:{_CAP}(?:{_WAY})|{_CAP} (?:Straße|Strasse|Weg|Platz|Allee)|(?:{_VIA}) (?:d[eu]l? |des |la )?{_CAP}(?: {_CAP})?),? [0-9]{{1,4}}[a-z]?(?!\w)")
+_WHOLE_KEY = re.compile(rf"(?<![A-Za-z0-9_-])(?:{_KEY_SHAPE.pattern})(?![A-Za-z0-9_-])")
+_KEY_HINTS = ("AKIA", "ASIA", "gho_", "ghp_", "ghr_", "ghs_", "ghu_", "sk-", "xoxa-", "xoxb-", "xoxp-", "AIza")
 #: A text without any of these has no phrase, place or announced name.
 _SECRET_HINTS = ("pass", "kennwort", "contraseña", "mot de", "pwd", "pin", "secret", "token", "key", "credential")
 _PLACE_HINTS = (*(f" {w}" for w in _STREET.split("|")), "stra", "str.", "weg ", "weg,", "platz", "gasse", "allee", " Weg", " Platz", " Allee", "Calle", "Avenida", "Plaza", "Rue ", "Avenue", "Boulevard", "Place")
@@ -187,6 +189,8 @@ def candidates(text: str, base: list[Span]) -> list[Candidate]:
             found += [("number", m.start(), m.end()) for m in _GROUPED_DIGITS.finditer(text) if any(w in text[max(0, m.start() - 32) : m.start()].lower() for w in _NUMBER_WORDS)]
         if any(w in text for w in _PLACE_HINTS):
             found += [("address", m.start(), m.end()) for m in _PLACE.finditer(text)]
+    if any(w in text for w in _KEY_HINTS):  # keys of a known format need no digit
+        found += [("token", *m.span()) for m in _WHOLE_KEY.finditer(text)]
     if any(w in low for w in _SECRET_HINTS):
         found += [("phrase", a, b) for a, b in _phrases(text)]
     named = any(w in text for w in _NAME_HINTS) or any(w.lower() in FIRST_NAMES for w in set(_PAIRS.findall(text)))
