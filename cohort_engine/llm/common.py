@@ -91,6 +91,15 @@ def keep_keys(docs: DataFrame, id_col: str, text_col: str, keys: DataFrame, winn
     return kept.drop("key").toDF(*docs.columns)
 
 
+def small_batches(spark: SparkSession) -> None:
+    """Lets Spark send batches of up to ``BATCH_ROWS`` rows to Python. It is a setting of the session that Spark reads when a plan runs, so it
+    can't be given to one plan, nor taken back while a result has yet to be read; it is only ever lowered. With batches of Spark's own
+    size an executor's Arrow buffers take several hundred MB."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(name)) <= BATCH_ROWS:
+        spark.conf.set(name, str(BATCH_ROWS))
+
+
 def slices(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """The batches in pieces of up to ``BATCH_ROWS`` rows, so that few texts at a time are Python objects."""
     for batch in batches:
@@ -103,6 +112,7 @@ def map_columns(df: DataFrame, fn: Callable[[dict[str, list]], dict[str, list]],
 
     The result may have any number of rows; batches are small, so memory is bounded by the
     longest texts, not by the partition."""
+    small_batches(df.sparkSession)
     kinds = arrow_schema(schema)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -136,6 +146,7 @@ def add_columns(df: DataFrame, inputs: list[str], fn: Callable[[dict[str, list]]
     Columns of ``df`` that are not among the inputs stay in Arrow form. A new column takes the
     place of old ones of the same name, compared as the session does. ``keep``: a boolean column of the result; rows where
     it is false go, and it goes too."""
+    small_batches(df.sparkSession)
     kinds = arrow_schema(schema)
     same = str if df.sparkSession.conf.get("spark.sql.caseSensitive") == "true" else str.lower
     added = {same(f.name): f for f in T._parse_datatype_string(schema).fields if f.name != keep}

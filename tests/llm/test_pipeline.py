@@ -74,13 +74,6 @@ def test_clashing_names_of_operators(spark):
     assert sp_codec.encode(upper).first()["round_trip"] and quality_rules.keep_clean(upper).count() == 1
 
 
-def test_settings_of_the_session_stay(spark, data):
-    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    before = spark.conf.get(name)
-    sp_codec.encode(spark.read.parquet(f"{data}/documents.parquet")).count()
-    assert spark.conf.get(name) == before
-
-
 def test_one_folder_stays(spark, data):
     import os
 
@@ -88,3 +81,13 @@ def test_one_folder_stays(spark, data):
     before = {f for f in os.listdir(folder) if f.startswith("pipeline-")}
     assert corpus_pipeline.run(spark, data).count() > 0
     assert len({f for f in os.listdir(folder) if f.startswith("pipeline-")} - before) == 1
+
+
+def test_a_cluster_needs_a_shared_folder():
+    from types import SimpleNamespace
+
+    from cohort_engine.llm import common
+
+    context = SimpleNamespace(master="local-cluster[3,2,1024]", getCheckpointDir=lambda: None)
+    with pytest.raises(RuntimeError):
+        common.shared_folder(SimpleNamespace(sparkContext=context, conf=SimpleNamespace(get=lambda key, default=None: None)))
