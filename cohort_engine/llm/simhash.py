@@ -21,8 +21,6 @@ of the input are not read.
 
 from __future__ import annotations
 
-from functools import reduce
-
 import numpy as np
 import xxhash
 from pyspark.sql import Column, DataFrame
@@ -74,8 +72,10 @@ def _half(fp: Column, k: int) -> Column:
     return F.shiftrightunsigned(fp, 32 * k).bitwiseAND(F.lit(_HALF))
 
 
-def _filed(fps: DataFrame, k: int) -> DataFrame:
-    return fps.select(F.lit(k).alias("half"), _half(F.col("fp"), k).alias("key"), F.col("fp").alias("there"))
+def _filed(fps: DataFrame) -> DataFrame:
+    """Every fingerprint under both halves."""
+    both = F.array(*(F.struct(F.lit(k).alias("half"), _half(F.col("fp"), k).alias("key")) for k in (0, 1)))
+    return fps.select(F.explode(both).alias("f"), F.col("fp").alias("there")).select(F.col("f.half").alias("half"), F.col("f.key").alias("key"), "there")
 
 
 def _asked(starts: DataFrame) -> DataFrame:
@@ -124,7 +124,7 @@ def links(fps: DataFrame, radius: int = 3, dense: int = 256) -> DataFrame:
     all that they connect; in buckets up to ``dense`` members, and between two neighbours up to
     ``dense`` squared pairs, each such pair once."""
     assert 2 <= radius <= 3, "two halves and one bit hold up to a distance of three"
-    filed = cut(reduce(DataFrame.unionByName, (_filed(fps, k) for k in (0, 1))))
+    filed = cut(_filed(fps))
     sizes = filed.groupBy("half", "key").agg(F.count("*").alias("n"))
     heavy = cut(sizes.where(F.col("n") > dense))
     many = not heavy.isEmpty()
@@ -147,6 +147,12 @@ def links(fps: DataFrame, radius: int = 3, dense: int = 256) -> DataFrame:
     return found.distinct()
 
 
+def _either(edges: DataFrame, *sides: tuple[str, str]) -> DataFrame:
+    """``a, b`` once for each of the pairs of columns. (A union of frames with known partitions, of which one comes from a checkpoint, can fail in Spark 4.1.)"""
+    pairs = F.array(*(F.struct(F.col(x).alias("a"), F.col(y).alias("b")) for x, y in sides))
+    return edges.select(F.explode(pairs).alias("e")).select(F.col("e.a").alias("a"), F.col("e.b").alias("b"))
+
+
 def components(edges: DataFrame) -> DataFrame:
     """``node, root`` for every node of an edge: the smallest node of its component.
 
@@ -154,7 +160,7 @@ def components(edges: DataFrame) -> DataFrame:
     then for those below it, which flattens trees; the edges of a finished forest stay as they are."""
     edges = cut(edges.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a != b").distinct())
     while True:
-        both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
+        both = _either(edges, ("a", "b"), ("b", "a"))
         low = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("low"))
         upward = both.where("b > a").join(low, "a").select(F.col("low").alias("a"), "b").where("a != b").distinct()
         least = upward.groupBy("b").agg(F.min("a").alias("low"))
@@ -163,8 +169,7 @@ def components(edges: DataFrame) -> DataFrame:
         # finished once every node has one edge, to a root that hangs on nothing
         tops, leaves = made.select("a"), made.groupBy("b").agg(F.count("*").alias("n"))
         if leaves.where("n > 1").isEmpty() and tops.join(leaves, tops["a"] == leaves["b"], "left_semi").isEmpty():
-            roots = made.select(F.col("b").alias("node"), F.col("a").alias("root"))
-            return roots.unionByName(made.select(F.col("a").alias("node"), F.col("a").alias("root")).distinct())
+            return _either(made, ("b", "a"), ("a", "a")).select(F.col("a").alias("node"), F.col("b").alias("root")).distinct()
         edges = made
 
 
