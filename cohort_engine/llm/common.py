@@ -119,6 +119,7 @@ def map_columns(df: DataFrame, fn: Callable[[dict[str, list]], dict[str, list]],
         for batch in slices(batches):
             got = fn({n: c.to_pylist() for n, c in zip(batch.schema.names, batch.columns, strict=True)})
             yield pa.RecordBatch.from_arrays([as_arrow(got[f.name], f.type) for f in kinds], schema=kinds)
+        pa.default_memory_pool().release_unused()
 
     return df.mapInArrow(run, schema)
 
@@ -168,5 +169,6 @@ def add_columns(df: DataFrame, inputs: list[str], fn: Callable[[dict[str, list]]
             new = {f.name: as_arrow(got[f.name], f.type) for f in kinds}
             made = pa.RecordBatch.from_arrays([new[f.name] if k is None else batch.column(k) for f, k in plan], names=out.names)
             yield made.filter(new[keep]) if keep else made
+        pa.default_memory_pool().release_unused()
 
     return df.mapInArrow(run, out).toDF(*(f.name for f, _ in plan))

@@ -34,10 +34,11 @@ from pyspark.sql import DataFrame
 from .common import add_columns
 
 BLANK = "▁"
+_BLANK = BLANK.encode()
 #: Costs are whole numbers of this part of a natural-log unit, so sums are exact and ties are ties wherever a text is cut.
 UNIT = 1 << 20
 #: Parts of texts whose ids a worker remembers, in each of two generations.
-MEMORY = 400_000
+MEMORY = 250_000
 
 
 def default_model() -> str:
@@ -62,14 +63,15 @@ class PieceCodec:
         self.bytes_of = [bytes([int(names[i][3:5], 16)]) if sp.is_byte(i) else names[i].replace(BLANK, " ").encode() if i in cost else b"" for i in range(n)]
         self.byte_id = {b[0]: i for i, b in enumerate(self.bytes_of) if sp.is_byte(i)}
         self.unknown = sp.unk_id()
+        self.kind = "H" if n <= 1 << 16 else "i"
         self.longest = max(map(len, self.pieces))
         self.worst = max(cost.values()) + 10 * UNIT
         blank_inside = any(BLANK in p.lstrip(BLANK) for p in self.pieces)
         feed_inside = any("\n" in p and len(p) > 1 for p in self.pieces)
-        self.parts = None if blank_inside else re.compile(" *[^ ]+| +" if feed_inside else " *[^ \n]+|\n| +").findall
+        self.parts = None if blank_inside else re.compile(b" *[^ ]+| +" if feed_inside else b" *[^ \n]+|\n| +").findall
         self.memory = memory
-        self.recent: dict[str, bytes] = {}
-        self.older: dict[str, bytes] = {}
+        self.recent: dict[bytes, bytes] = {}
+        self.older: dict[bytes, bytes] = {}
 
     def spelled(self, char: str) -> tuple[int, tuple[int, ...]]:
         raw = char.encode()
@@ -147,34 +149,35 @@ class PieceCodec:
         runs.reverse()
         return [i for ids in runs for i in ids]
 
-    def part(self, raw: str) -> bytes:
-        """The ids of a run between two boundaries, as 32-bit numbers."""
+    def part(self, raw: bytes) -> bytes:
+        """The ids of a run between two boundaries, as numbers of the type ``kind``."""
         found = self.older.get(raw)
         if found is None:
-            found = array("i", chain.from_iterable(self.search(raw.replace(" ", BLANK)))).tobytes()
+            text = raw.decode("utf-8", "surrogatepass").replace(" ", BLANK)
+            found = array(self.kind, chain.from_iterable(self.search(text))).tobytes()
         if len(self.recent) >= self.memory:
             self.older, self.recent = self.recent, {}
         if len(raw) <= 64 and self.memory:
             self.recent[raw] = found
         return found
 
-    def packed(self, text: str | None) -> bytes:
-        """The ids of a text, as 32-bit numbers."""
+    def packed(self, text: str | None) -> np.ndarray:
+        """The ids of a text."""
         if not text:
-            return b""
+            return np.zeros(0, self.kind)
         out: list[bytes] = []
-        for k, piece in enumerate((" " + text).split(BLANK)):
+        for k, piece in enumerate((" " + text).encode("utf-8", "surrogatepass").split(_BLANK)):
             if k:
-                out.append(array("i", self.spelled(BLANK)[1]).tobytes())
+                out.append(array(self.kind, self.spelled(BLANK)[1]).tobytes())
             if self.parts:
                 get, miss = self.recent.get, self.part
                 out += [get(p) or miss(p) for p in self.parts(piece)]
             elif piece:
                 out.append(self.part(piece))
-        return b"".join(out)
+        return np.frombuffer(b"".join(out), self.kind)
 
     def encode(self, text: str | None) -> list[int]:
-        return np.frombuffer(self.packed(text), np.int32).tolist()
+        return self.packed(text).tolist()
 
     def decode(self, ids: list[int] | None) -> str:
         return b"".join([self.bytes_of[i] for i in ids or ()]).decode("utf-8", "replace")[1:]
@@ -202,8 +205,8 @@ def encode(docs: DataFrame, text_col: str = "text", model_path: str | None = Non
         codec = _codec(model.value)
         runs, same = [], []
         for text in c[text_col]:
-            ids = np.frombuffer(codec.packed(text), np.int32)
-            runs.append(ids)
+            ids = codec.packed(text)
+            runs.append(ids.astype(np.int32))
             same.append(codec.decode(ids.tolist()) == (text or ""))
         sizes = [len(r) for r in runs]
         offsets = np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)
