@@ -58,8 +58,13 @@ class PieceCodec:
         ranks = all(scores[i] == round(scores[i]) for i in plain)
         cost = {i: round(UNIT * (math.log(2 - scores[i]) + math.log(math.log(n)) if ranks else -scores[i])) for i in plain}
         self.pieces = {names[i]: (cost[i], i) for i in plain}
-        #: Pieces, and None for what only begins one.
-        self.starts = {p[:k]: None for p in self.pieces for k in range(1, len(p))} | self.pieces
+        #: A tree by characters; under 0 a node has the cost and ids of the piece that ends there.
+        self.tree: dict = {}
+        for piece, (c, i) in self.pieces.items():
+            node = self.tree
+            for char in piece:
+                node = node.setdefault(char, {})
+            node[0] = c, (i,)
         self.bytes_of = [bytes([int(names[i][3:5], 16)]) if sp.is_byte(i) else names[i].replace(BLANK, " ").encode() if i in cost else b"" for i in range(n)]
         self.byte_id = {b[0]: i for i, b in enumerate(self.bytes_of) if sp.is_byte(i)}
         self.unknown = sp.unk_id()
@@ -85,7 +90,7 @@ class PieceCodec:
         ``best`` holds, for each boundary of the window, its cost and where its last piece began. Where no piece reaches past a boundary,
         all paths go through it, so it is committed at once; a window as long as the longest piece is searched for a boundary
         that all surviving paths share further back. (Over one repeated letter there may be none; back-pointers then stay, costs don't.)"""
-        get, window = self.starts.get, self.longest
+        root, window = self.tree.get, self.longest
         best: dict[int, tuple[int, int, tuple[int, ...]]] = {0: (0, 0, ())}
         start, reach, n, look = 0, 0, len(text), window
         for i in range(n):
@@ -103,21 +108,21 @@ class PieceCodec:
                     start = meet
                 # paths that never meet, as over one repeated letter, are looked at ever more rarely
                 look = max(start + window, i + max(window // 4, (i - start) // 2))
-            j, single = i + 1, False
-            found = get(text[i:j], 0)
-            while found != 0:
-                if found:
-                    c, old = here + found[0], best.get(j)
+            j, single, node = i + 1, False, root(text[i])
+            while node is not None:
+                piece = node.get(0)
+                if piece is not None:
+                    c, old = here + piece[0], best.get(j)
                     if old is None or c < old[0]:
-                        best[j] = c, i, found[1:]
+                        best[j] = c, i, piece[1]
                         if j > reach:
                             reach = j
                     if j == i + 1:
                         single = True
-                j += 1
-                if j > n:
+                if j == n:
                     break
-                found = get(text[i:j], 0)
+                node = node.get(text[j])
+                j += 1
             if not single:
                 c, ids = self.spelled(text[i])
                 c += here
