@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, keep_keys, map_columns, row_key
+from .common import FEW_KEYS, cut, keep_keys, map_columns, row_key
 
 SEED = 42
 #: For each value of a byte, its bits, lowest first.
@@ -36,6 +36,13 @@ _HALF = 0xFFFFFFFF
 _ITSELF = 1 << 32
 
 
+def majority(hashes: np.ndarray) -> int:
+    """The bits that are set in over half the hashes."""
+    planes = hashes.astype("<u8").view(np.uint8).reshape(-1, 8)
+    ones = np.concatenate([np.bincount(planes[:, k], minlength=256) @ _BITS for k in range(8)])
+    return int.from_bytes(np.packbits(2 * ones > len(hashes), bitorder="little").tobytes(), "little")
+
+
 def fingerprint(text: str | None, width: int = 3) -> int:
     """The fingerprint of one text, as an unsigned integer."""
     words = (text or "").encode("utf-8", "surrogatepass").lower().split()  # bytes: A-Z and ASCII white space only
@@ -49,9 +56,7 @@ def fingerprint(text: str | None, width: int = 3) -> int:
         starts, ends = [0, *(blanks + 1).tolist()], [*blanks.tolist(), len(line)]
         digest = xxhash.xxh64_intdigest
         hashes = [digest(line[a:b], SEED) for a, b in zip(starts, ends[width - 1 :], strict=False)]
-    planes = np.array(hashes, dtype="<u8").view(np.uint8).reshape(-1, 8)
-    ones = np.concatenate([np.bincount(planes[:, k], minlength=256) @ _BITS for k in range(8)])
-    return int.from_bytes(np.packbits(2 * ones > len(hashes), bitorder="little").tobytes(), "little")
+    return majority(np.array(hashes, dtype="<u8"))
 
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 3) -> DataFrame:
@@ -147,6 +152,40 @@ def links(fps: DataFrame, radius: int = 3, dense: int = 256) -> DataFrame:
     return found.distinct()
 
 
+def _signed(bits: int) -> int:
+    return bits - (1 << 64) if bits >> 63 else bits
+
+
+#: Segments for texts that are less alike: the 64 bits are cut in three in two ways, piece by piece and bit by bit in turn.
+WIDE = tuple(tuple(1 << b for b in range(64) if at(b) == k) for at in (lambda b: min(b // 21, 2), lambda b: b % 3) for k in range(3))
+
+
+def candidates(prints: DataFrame, reach: int, ratio: tuple[int, int], dense: int = 32) -> DataFrame:
+    """``a, b``: pairs of ``prints`` (``node, fp, n``) with a segment of ``WIDE`` that differs in one bit or none, fingerprints at most ``reach`` bits
+    apart, and sizes ``n`` whose ratio is at least the fraction ``ratio``. So all pairs of such sizes within five bits are there, and of those further
+    apart the fewer the further.
+
+    Buckets of more than ``dense`` members make no pairs: their members are paired with one of them, which
+    alone asks and answers for the bucket. The caller has an exact way for what that leaves out."""
+    bits = F.array(*(F.array(*(F.lit(_signed(b)) for b in segment)) for segment in WIDE))
+    keys = F.array(*(F.struct(F.lit(k).alias("k"), F.col("fp").bitwiseAND(F.lit(_signed(sum(segment)))).alias("key")) for k, segment in enumerate(WIDE)))
+    filed = prints.select("node", "fp", "n", F.explode(keys).alias("s")).select("node", "fp", "n", "s.k", "s.key").withColumn("bucket", F.xxhash64("k", "key"))
+    first = F.min(F.struct(F.xxhash64("bucket", "node"), "node"))["node"].alias("hub")
+    heavy = cut(filed.groupBy("bucket").agg(F.count("*").alias("many"), first).where(F.col("many") > dense).select("bucket", "hub"))
+    count = heavy.count()
+    if count:
+        filed = filed.join(F.broadcast(heavy) if count <= FEW_KEYS else heavy, "bucket", "left")
+        stars = filed.where("node != hub").select(F.least("node", "hub").alias("a"), F.greatest("node", "hub").alias("b"))
+        filed = filed.where("hub IS NULL OR node = hub")
+    clear = F.filter(F.get(bits, F.col("k")), lambda b: F.col("key").bitwiseAND(b) == 0)
+    asked = F.concat(F.array("bucket"), F.transform(clear, lambda b: F.xxhash64("k", F.col("key").bitwiseOR(b))))
+    asks = filed.select(F.explode(asked).alias("bucket"), F.col("node").alias("x"), F.col("fp").alias("xfp"), F.col("n").alias("xn"))
+    near = (F.bit_count(F.col("xfp").bitwiseXOR(F.col("fp"))) <= reach) & (F.least("xn", "n") * ratio[1] >= F.greatest("xn", "n") * ratio[0])
+    met = asks.join(filed.select("bucket", "node", "fp", "n"), "bucket").where((F.col("x") != F.col("node")) & near)
+    pairs = met.select(F.least("x", "node").alias("a"), F.greatest("x", "node").alias("b"))
+    return (pairs.unionByName(stars) if count else pairs).distinct()
+
+
 def _either(edges: DataFrame, *sides: tuple[str, str]) -> DataFrame:
     """``a, b`` once for each of the pairs of columns. (A union of frames with known partitions, of which one comes from a checkpoint, can fail in Spark 4.1.)"""
     pairs = F.array(*(F.struct(F.col(x).alias("a"), F.col(y).alias("b")) for x, y in sides))

@@ -1,11 +1,11 @@
 """Near copies by the similarity of whole texts: five-word shingles, Jaccard 0.8 or more.
 
-Every distinct text gets 128 minima of its shingles' hashes under different orders, cut into 32 segments of four. Two
-texts meet as candidates where a segment is equal; of a pair at 0.8 that fails for one in 20 million. Whatever is linked
-has been compared by its whole sets of shingles, so no pair below the limit is.
-
-Pairs are not made where they can't change the groups, nor where they can't be similar. In each bucket all members are first compared with
-one of them, another one in each bucket. Texts of buckets that are still in several groups are then joined by the rarest shingles
+Every distinct text gets a fingerprint of its five-word shingles, made as in :mod:`simhash`, and multi-index hashing over six
+segments of it finds candidates. Whatever is linked has been compared by its whole sets of shingles, so no pair below the
+limit is. Fingerprints of two texts at 0.8 differ in about ten bits, so these segments can't find all pairs. For the rest every text
+also has 128 minima of its shingles' hashes under different orders, cut into 32 pieces of four. Of a pair at 0.8 no piece is equal
+for one in 20 million. In each bucket of a piece members that are not yet in its group are compared with one member, another one in
+each bucket. Texts of buckets that are still in several groups are then joined by the rarest shingles
 of their sets: of two similar sets, the first few in order of rarity must meet, early enough for the rest to make up the
 overlap, and in each list of texts with a shingle only pairs of different groups are looked at. Before any
 comparison of sets stands a bound that is exact, too: 512 bits of parity of a set, of which no two sets differ in more than in
@@ -23,12 +23,14 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import FEW_KEYS, cut, keep_keys, map_columns, row_key
-from .simhash import SEED, components
+from .simhash import SEED, candidates, components, majority
 
 SHINGLE = 5
 SEGMENTS, ROWS = 32, 4
 #: The limit as a fraction of whole numbers.
 LIMIT = (4, 5)
+#: Bits by which fingerprints of candidates may differ; two texts at the limit differ in about ten.
+REACH = 16
 
 _RANDOM = np.random.default_rng(SEED)
 _TIMES = _RANDOM.integers(0, 1 << 63, SEGMENTS * ROWS, np.uint64) * np.uint64(2) + np.uint64(1)
@@ -36,8 +38,8 @@ _PLUS = _RANDOM.integers(0, 1 << 63, SEGMENTS * ROWS, np.uint64)
 _MIX = _RANDOM.integers(0, 1 << 63, SEGMENTS * ROWS, np.uint64).reshape(SEGMENTS, ROWS) * np.uint64(2) + np.uint64(1)
 
 
-def shingles(text: str | None) -> np.ndarray:
-    """Hashes of the distinct shingles of a text, in order."""
+def windows(text: str | None) -> np.ndarray:
+    """Hashes of a text's shingles, repeats included."""
     words = (text or "").encode("utf-8", "surrogatepass").lower().split()  # bytes: A-Z and ASCII white space only
     line = b" ".join(words)
     digest = xxhash.xxh64_intdigest
@@ -45,7 +47,12 @@ def shingles(text: str | None) -> np.ndarray:
         return np.array([digest(line, SEED)], np.uint64)
     blanks = np.flatnonzero(np.frombuffer(line, np.uint8) == 32)
     starts, ends = [0, *(blanks + 1).tolist()], [*blanks.tolist(), len(line)]
-    return np.unique(np.array([digest(line[a:b], SEED) for a, b in zip(starts, ends[SHINGLE - 1 :], strict=False)], np.uint64))
+    return np.array([digest(line[a:b], SEED) for a, b in zip(starts, ends[SHINGLE - 1 :], strict=False)], np.uint64)
+
+
+def shingles(text: str | None) -> np.ndarray:
+    """Hashes of the distinct shingles of a text, in order."""
+    return np.unique(windows(text))
 
 
 def segments(hashes: np.ndarray) -> np.ndarray:
@@ -131,13 +138,26 @@ def _ordered(x: str, y: str) -> tuple[Column, Column]:
     return F.least(x, y).alias("a"), F.greatest(x, y).alias("b")
 
 
+def _anew(edges: DataFrame) -> DataFrame:
+    """Numbers that are worked out anew: a union of two checkpoints with known partitions can fail in Spark 4.1."""
+    return edges.select(*(F.col(c).bitwiseXOR(F.lit(0).cast("bigint")).alias(c) for c in "ab"))
+
+
+def by_fingerprint(per: DataFrame) -> DataFrame:
+    """Plausible pairs ``a, b`` of nodes that multi-index hashing of their fingerprints brings together."""
+    met = candidates(per.select("node", "fp", "n"), REACH, LIMIT)
+    return met.join(_about(per, "x", "a"), "a").join(_about(per, "y", "b"), "b").where(_plausible("x", "y")).select("a", "b")
+
+
 def groups(texts: DataFrame, per: DataFrame) -> DataFrame:
-    """``node, root`` of all nodes that have a near copy; ``texts`` has ``digest, text``, and ``per`` ``node, digest, n, parity, bands``."""
+    """``node, root`` of all nodes that have a near copy; ``texts`` has ``digest, text``, and ``per`` ``node, digest, fp, n, parity, bands``."""
+    met = cut(by_fingerprint(per))
     filed = per.select("node", F.explode("bands").alias("bucket"))
     full = filed.groupBy("bucket").agg(F.count("*").alias("many")).where("many > 1").select("bucket")
     shared = cut(filed.join(full, "bucket", "left_semi"))
     hubs = shared.groupBy("bucket").agg(F.min(F.struct(F.xxhash64("bucket", "node"), "node"))["node"].alias("hub"))
-    about = cut(per.select("node", "digest", "n", "parity").join(shared.select("node").distinct(), "node", "left_semi"))
+    ends = met.select(F.explode(F.array("a", "b")).alias("node")).unionByName(shared.select(F.col("node").bitwiseXOR(F.lit(0).cast("bigint")).alias("node")))
+    about = cut(per.select("node", "digest", "n", "parity").join(ends.distinct(), "node", "left_semi"))
     wanted = about.select("digest", "node")
     # a digest and a number are twice a key
     found = texts.join(F.broadcast(wanted) if 2 * about.count() <= FEW_KEYS else wanted, "digest")
@@ -147,20 +167,23 @@ def groups(texts: DataFrame, per: DataFrame) -> DataFrame:
 
     one = found.groupBy("node").agg(F.min("text").alias("text"))
     sets = cut(map_columns(one, run, "node bigint, hashes array<bigint>"))
-    stars = shared.join(hubs, "bucket").where("node != hub").select(*_ordered("node", "hub")).distinct()
+    edges = cut(_alike(met, sets))
+    roots = _roots(edges)
+    # what fingerprints left apart: first each text of a bucket of minima with one of them
+    held = cut(shared.join(roots, "node", "left").select("bucket", "node", F.coalesce("root", "node").alias("root")))
+    centres = hubs.join(roots.withColumnsRenamed({"node": "hub", "root": "centre"}), "hub", "left").select("bucket", "hub", F.coalesce("centre", "hub").alias("centre"))
+    stars = held.join(centres, "bucket").where("root != centre").select(*_ordered("node", "hub")).distinct()
     stars = stars.join(_about(about, "x", "a"), "a").join(_about(about, "y", "b"), "b").where(_plausible("x", "y"))
-    edges = cut(_alike(stars, sets))
+    edges = cut(_anew(edges).unionByName(_anew(_alike(stars, sets))))
     roots = _roots(edges)
-    # what stars left apart: texts of buckets whose members are still in more than one group
+    # then texts of buckets whose members are still in more than one group
     held = shared.join(roots, "node", "left").select("bucket", "node", F.coalesce("root", "node").alias("root"))
     split = held.groupBy("bucket").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low != high").select("bucket")
     apart = cut(held.join(split, "bucket", "left_semi").select("node", "root").distinct())
     more = cut(_alike(_by_rarity(apart, sets, about), sets))
     if more.isEmpty():
         return roots
-    # numbers that are worked out anew: a union of two checkpoints with known partitions can fail in Spark 4.1
-    anew = lambda df: df.select(*(F.col(c).bitwiseXOR(F.lit(0).cast("bigint")).alias(c) for c in "ab"))
-    return _roots(anew(edges).unionByName(anew(more)))
+    return _roots(_anew(edges).unionByName(_anew(more)))
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -170,13 +193,14 @@ def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     narrow = docs.select(own_id.alias("id"), text.alias("text"), _digest(text).alias("digest"), row_key(F.col(id_col), text).alias("key"))
 
     def run(c: dict[str, list]) -> dict[str, list]:
-        sets = [shingles(t) for t in c["text"]]
-        made = {"n": list(map(len, sets)), "parity": [parity(x).tolist() for x in sets], "bands": [segments(x).tolist() for x in sets]}
+        runs = [windows(t) for t in c["text"]]
+        sets = list(map(np.unique, runs))
+        made = {"fp": np.array(list(map(majority, runs)), np.uint64).view(np.int64).tolist(), "n": list(map(len, sets)), "parity": [parity(x).tolist() for x in sets], "bands": [segments(x).tolist() for x in sets]}
         return {n: c[n] for n in ("id", "digest", "key")} | made
 
-    prints = cut(map_columns(narrow, run, "id bigint, digest binary, key binary, n int, parity array<bigint>, bands array<bigint>"))
+    prints = cut(map_columns(narrow, run, "id bigint, digest binary, key binary, fp bigint, n int, parity array<bigint>, bands array<bigint>"))
     first = F.min(F.struct(F.col("id").isNull(), "id", "key")).alias("first")
-    per = prints.groupBy("digest").agg(first, *(F.first(c).alias(c) for c in ("n", "parity", "bands")))
+    per = prints.groupBy("digest").agg(first, *(F.first(c).alias(c) for c in ("fp", "n", "parity", "bands")))
     # a text's number, which is short; the checkpoint holds it fast
     per = cut(per.withColumn("node", F.monotonically_increasing_id()))
     found = groups(narrow.select("digest", "text"), per)

@@ -5,7 +5,7 @@ import random
 import pytest
 
 import corpus_pipeline
-from cohort_engine.llm import quality_rules, similar
+from cohort_engine.llm import quality_rules, simhash, similar
 
 SCHEMA = "doc_id bigint, text string, lang string, source string, n_chars bigint"
 
@@ -51,3 +51,41 @@ def test_odd_rows(spark):
     rows = [(7, text), (3, text.upper()), (None, text), (5, None), (4, " \n"), (None, "no id here"), (3, text.upper()), (9, "one"), (8, "ONE")]
     out = similar.keep_one(spark.createDataFrame([(i, t, "en", "s", 0) for i, t in rows], SCHEMA))
     assert sorted((r["doc_id"] or 0, r["text"]) for r in out.collect()) == [(0, "no id here"), (3, text.upper()), (4, " \n"), (8, "ONE")]
+
+
+def test_fingerprints_alone_find_near_copies(spark, monkeypatch):
+    """The stage links by multi-index hashing of fingerprints, also where no two texts share minima."""
+    # one number for a text, made of all its hashes
+    monkeypatch.setattr(similar, "segments", lambda hashes: hashes.view("int64").sum(keepdims=True))
+    r = random.Random(3)
+    texts = {}
+    for group in range(20):
+        words = [f"w{r.randrange(10**6)}" for _ in range(400)]
+        texts[2 * group] = " ".join(["first", *words])
+        texts[2 * group + 1] = " ".join(["other", *words])
+    df = spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in texts.items()], SCHEMA)
+    assert {x["doc_id"] for x in similar.keep_one(df).collect()} == _kept(texts)
+
+
+@pytest.mark.parametrize("dense", [1, 3, 32])
+def test_candidates_by_brute_force(spark, dense):
+    r = random.Random(4)
+    prints = []
+    for _ in range(25):
+        base, size = r.getrandbits(64), r.randrange(50, 60)
+        for _ in range(6):
+            prints.append((base ^ sum(1 << b for b in r.sample(range(64), r.randrange(9))), size + r.randrange(20)))
+    signed = [(i, f - (1 << 64) if f >> 63 else f, n) for i, (f, n) in enumerate(prints)]
+    got = [(x["a"], x["b"]) for x in simhash.candidates(spark.createDataFrame(signed, "node bigint, fp bigint, n int"), 16, (4, 5), dense).collect()]
+    segment = [sum(s) for s in simhash.WIDE]
+    near, five = set(), set()
+    for b, (y, m) in enumerate(prints):
+        for a, (x, n) in enumerate(prints[:b]):
+            if 5 * min(n, m) >= 4 * max(n, m) and (x ^ y).bit_count() <= 16 and any(((x ^ y) & s).bit_count() <= 1 for s in segment):
+                near.add((a, b))
+                five |= {(a, b)} if (x ^ y).bit_count() <= 5 else set()
+    assert len(got) == len(set(got)) and len(five) > 50
+    if dense == 32:
+        assert set(got) == near and five <= near
+    else:  # members of full buckets are paired with one of them
+        assert set(got) and all(any((prints[a][0] ^ prints[b][0]) & s == 0 for s in segment) for a, b in set(got) - near)
