@@ -248,3 +248,18 @@ def test_block_function(spark, act):
     got = spark.sql("SELECT * FROM cohort_blocks(TABLE(block_input) PARTITION BY user_id ORDER BY (ts), 'signup')").collect()
     want = {str(r["user_id"]): r["birth_time"] for r in birth_times(act, "signup").collect()}
     assert {r["user"]: r["birth_time"] for r in got if r["birth_time"]} == want and sum(r["tuples"] for r in got) == act.df.count()
+
+
+@pytest.mark.parametrize("name", ["q3"])
+def test_view_is_built_from_the_tables_of_the_call(spark, tmp_path, collected, name):
+    """A query over the plain view reads the tables, also when one before it has built the same view."""
+    source, folder = "/root/testdata/sf0.01", str(tmp_path)
+    for table in ("customer", "nation"):
+        spark.read.parquet(f"{source}/{table}.parquet").write.parquet(f"{folder}/{table}.parquet")
+    all_events, seen = spark.read.parquet(f"{source}/events.parquet"), []
+    for share in (1, 2):
+        all_events.where(F.col("user_id") % share == 0).write.mode("overwrite").parquet(f"{folder}/events.parquet")
+        spark.catalog.refreshByPath(f"{folder}/events.parquet")
+        seen.append(collected(workloads.QUERIES[f"mv_{name}"](spark, folder)))
+        assert seen[-1] == collected(workloads.QUERIES[name](spark, folder))
+    assert seen[0] != seen[1] and seen[1]
