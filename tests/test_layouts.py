@@ -250,7 +250,7 @@ def test_block_function(spark, act):
     assert {r["user"]: r["birth_time"] for r in got if r["birth_time"]} == want and sum(r["tuples"] for r in got) == act.df.count()
 
 
-@pytest.mark.parametrize("name", ["q3"])
+@pytest.mark.parametrize("name", ["q3", "q4"])
 def test_view_is_built_from_the_tables_of_the_call(spark, tmp_path, collected, name):
     """A query over the plain view reads the tables, also when one before it has built the same view."""
     source, folder = "/root/testdata/sf0.01", str(tmp_path)
