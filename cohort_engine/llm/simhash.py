@@ -160,30 +160,58 @@ def _signed(bits: int) -> int:
 WIDE = tuple(tuple(1 << b for b in range(64) if at(b) == k) for at in (lambda b: min(b // 21, 2), lambda b: b % 3) for k in range(3))
 
 
-def candidates(prints: DataFrame, reach: int, ratio: tuple[int, int], dense: int = 32) -> DataFrame:
+def _segments(prints: DataFrame) -> DataFrame:
+    """``prints`` with a row for each segment: its number ``k``, its bits ``key``, and a number ``bucket`` of both."""
+    keys = F.array(*(F.struct(F.lit(k).alias("k"), F.col("fp").bitwiseAND(F.lit(_signed(sum(segment)))).alias("key")) for k, segment in enumerate(WIDE)))
+    return prints.select("*", F.explode(keys).alias("s")).select(*prints.columns, "s.k", "s.key").withColumn("bucket", F.xxhash64("k", "key"))
+
+
+def _hubs(filed: DataFrame) -> DataFrame:
+    """For each bucket how ``many`` members it has, and one of them, ``hub``, with its ``fp`` and ``n``."""
+    first = F.min(F.struct(F.xxhash64("bucket", "node"), "node", "fp", "n"))
+    return filed.groupBy("bucket").agg(F.count("*").alias("many"), first.alias("h")).select("bucket", "many", F.col("h.node").alias("hub"), F.col("h.fp").alias("hubfp"), F.col("h.n").alias("hubn"))
+
+
+def _close(fp: str, n: str, reach: int, ratio: tuple[int, int]) -> tuple[Column, Column]:
+    """Whether ``fp`` and ``n`` of a member are close to those named."""
+    return F.bit_count(F.col(fp).bitwiseXOR(F.col("fp"))) <= reach, F.least(n, "n") * ratio[1] >= F.greatest(n, "n") * ratio[0]
+
+
+def stars(prints: DataFrame, reach: int, ratio: tuple[int, int], dense: int = 32) -> DataFrame:
+    """``a, b``: the members of every bucket of a segment with one of them, another one in each bucket. Fingerprints and sizes are as in
+    :func:`candidates`, but in buckets of more than ``dense`` members fingerprints may differ in any number of bits. Rows grow with members."""
+    filed = _segments(prints)
+    near, even = _close("hubfp", "hubn", reach, ratio)
+    met = filed.join(_hubs(filed).where("many > 1"), "bucket").where((F.col("node") != F.col("hub")) & even & (near | (F.col("many") > dense)))
+    return met.select(F.least("node", "hub").alias("a"), F.greatest("node", "hub").alias("b")).distinct()
+
+
+def candidates(prints: DataFrame, reach: int, ratio: tuple[int, int], dense: int = 32, apart: str | None = None) -> DataFrame:
     """``a, b``: pairs of ``prints`` (``node, fp, n``) with a segment of ``WIDE`` that differs in one bit or none, fingerprints at most ``reach`` bits
     apart, and sizes ``n`` whose ratio is at least the fraction ``ratio``. So all pairs of such sizes within five bits are there, and of those further
     apart the fewer the further.
 
     Buckets of more than ``dense`` members make no pairs: their members are paired with one of them, which
-    alone asks and answers for the bucket. The caller has an exact way for what that leaves out."""
+    alone asks and answers for the bucket. The caller has an exact way for what that leaves out.
+
+    ``apart``: a column of ``prints`` with the group that :func:`stars` has brought a node to. Pairs within a group are not made then, as they
+    connect nothing, and neither are pairs of full buckets, which are among the stars."""
     bits = F.array(*(F.array(*(F.lit(_signed(b)) for b in segment)) for segment in WIDE))
-    keys = F.array(*(F.struct(F.lit(k).alias("k"), F.col("fp").bitwiseAND(F.lit(_signed(sum(segment)))).alias("key")) for k, segment in enumerate(WIDE)))
-    filed = prints.select("node", "fp", "n", F.explode(keys).alias("s")).select("node", "fp", "n", "s.k", "s.key").withColumn("bucket", F.xxhash64("k", "key"))
-    first = F.min(F.struct(F.xxhash64("bucket", "node"), "node"))["node"].alias("hub")
-    heavy = cut(filed.groupBy("bucket").agg(F.count("*").alias("many"), first).where(F.col("many") > dense).select("bucket", "hub"))
+    filed = _segments(prints)
+    heavy = cut(_hubs(filed).where(F.col("many") > dense).select("bucket", "hub"))
     count = heavy.count()
     if count:
         filed = filed.join(F.broadcast(heavy) if count <= FEW_KEYS else heavy, "bucket", "left")
-        stars = filed.where("node != hub").select(F.least("node", "hub").alias("a"), F.greatest("node", "hub").alias("b"))
+        full = filed.where("node != hub").select(F.least("node", "hub").alias("a"), F.greatest("node", "hub").alias("b"))
         filed = filed.where("hub IS NULL OR node = hub")
     clear = F.filter(F.get(bits, F.col("k")), lambda b: F.col("key").bitwiseAND(b) == 0)
     asked = F.concat(F.array("bucket"), F.transform(clear, lambda b: F.xxhash64("k", F.col("key").bitwiseOR(b))))
-    asks = filed.select(F.explode(asked).alias("bucket"), F.col("node").alias("x"), F.col("fp").alias("xfp"), F.col("n").alias("xn"))
-    near = (F.bit_count(F.col("xfp").bitwiseXOR(F.col("fp"))) <= reach) & (F.least("xn", "n") * ratio[1] >= F.greatest("xn", "n") * ratio[0])
-    met = asks.join(filed.select("bucket", "node", "fp", "n"), "bucket").where((F.col("x") != F.col("node")) & near)
+    group = F.col(apart or "node")
+    asks = filed.select(F.explode(asked).alias("bucket"), F.col("node").alias("x"), F.col("fp").alias("xfp"), F.col("n").alias("xn"), group.alias("xgroup"))
+    near, even = _close("xfp", "xn", reach, ratio)
+    met = asks.join(filed.select("bucket", "node", "fp", "n", group.alias("group")), "bucket").where((F.col("xgroup") != F.col("group")) & near & even)
     pairs = met.select(F.least("x", "node").alias("a"), F.greatest("x", "node").alias("b"))
-    return (pairs.unionByName(stars) if count else pairs).distinct()
+    return (pairs.unionByName(full) if count and apart is None else pairs).distinct()
 
 
 def _either(edges: DataFrame, *sides: tuple[str, str]) -> DataFrame:

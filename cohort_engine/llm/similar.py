@@ -1,7 +1,8 @@
 """Near copies by the similarity of whole texts: five-word shingles, Jaccard 0.8 or more.
 
 Every distinct text gets a fingerprint of its five-word shingles, made as in :mod:`simhash`, and multi-index hashing over six
-segments of it finds candidates. Whatever is linked has been compared by its whole sets of shingles, so no pair below the
+segments of it finds candidates: in each bucket of a segment the members with one of them, then of all pairs with a segment that differs in one bit or none
+those that are still in different groups. Whatever is linked has been compared by its whole sets of shingles, so no pair below the
 limit is. Fingerprints of two texts at 0.8 differ in about ten bits, so these segments can't find all pairs. For the rest every text
 also has 128 minima of its shingles' hashes under different orders, cut into 32 pieces of four. Of a pair at 0.8 no piece is equal
 for one in 20 million. In each bucket of a piece members that are not yet in its group are compared with one member, another one in
@@ -23,7 +24,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import FEW_KEYS, cut, keep_keys, map_columns, row_key
-from .simhash import SEED, candidates, components, majority
+from .simhash import SEED, candidates, components, majority, stars
 
 SHINGLE = 5
 SEGMENTS, ROWS = 32, 4
@@ -109,6 +110,19 @@ def _roots(edges: DataFrame) -> DataFrame:
     return cut(components(edges))
 
 
+def _joined(roots: DataFrame, edges: DataFrame) -> DataFrame:
+    """``roots`` (``node, root``) once more edges have come. Groups are joined, not their texts, so edges within
+    a group are nothing here, and those between two groups are one."""
+    edges = cut(edges)
+    if edges.isEmpty():
+        return roots
+    x, y = (roots.select(F.col("node").alias(n), F.col("root").alias(f"{n}root")) for n in ("a", "b"))
+    groups = edges.join(x, "a", "left").join(y, "b", "left").select(F.coalesce("aroot", "a").alias("a"), F.coalesce("broot", "b").alias("b"))
+    over = _roots(groups)
+    moved = roots.join(over.select(F.col("node").alias("root"), F.col("root").alias("to")), "root", "left").select("node", F.coalesce("to", "root").alias("root"))
+    return cut(_anew(moved).unionByName(_anew(over)).distinct())
+
+
 def _by_rarity(nodes: DataFrame, sets: DataFrame, per: DataFrame) -> DataFrame:
     """Plausible pairs ``a, b`` of ``nodes`` (``node, root``) with different roots: all that are similar, and few others."""
     held = sets.join(nodes, "node")
@@ -138,52 +152,59 @@ def _ordered(x: str, y: str) -> tuple[Column, Column]:
     return F.least(x, y).alias("a"), F.greatest(x, y).alias("b")
 
 
-def _anew(edges: DataFrame) -> DataFrame:
+def _anew(numbers: DataFrame) -> DataFrame:
     """Numbers that are worked out anew: a union of two checkpoints with known partitions can fail in Spark 4.1."""
-    return edges.select(*(F.col(c).bitwiseXOR(F.lit(0).cast("bigint")).alias(c) for c in "ab"))
+    return numbers.select(*(F.col(c).bitwiseXOR(F.lit(0).cast("bigint")).alias(c) for c in numbers.columns))
 
 
-def by_fingerprint(per: DataFrame) -> DataFrame:
-    """Plausible pairs ``a, b`` of nodes that multi-index hashing of their fingerprints brings together."""
-    met = candidates(per.select("node", "fp", "n"), REACH, LIMIT)
+def _likely(met: DataFrame, per: DataFrame) -> DataFrame:
+    """The plausible ones of the pairs ``a, b``."""
     return met.join(_about(per, "x", "a"), "a").join(_about(per, "y", "b"), "b").where(_plausible("x", "y")).select("a", "b")
 
 
+def _ends(pairs: DataFrame) -> DataFrame:
+    return pairs.select(F.explode(F.array("a", "b")).alias("node"))
+
+
 def groups(texts: DataFrame, per: DataFrame) -> DataFrame:
     """``node, root`` of all nodes that have a near copy; ``texts`` has ``digest, text``, and ``per`` ``node, digest, fp, n, parity, bands``."""
-    met = cut(by_fingerprint(per))
     filed = per.select("node", F.explode("bands").alias("bucket"))
     full = filed.groupBy("bucket").agg(F.count("*").alias("many")).where("many > 1").select("bucket")
     shared = cut(filed.join(full, "bucket", "left_semi"))
-    hubs = shared.groupBy("bucket").agg(F.min(F.struct(F.xxhash64("bucket", "node"), "node"))["node"].alias("hub"))
-    ends = met.select(F.explode(F.array("a", "b")).alias("node")).unionByName(shared.select(F.col("node").bitwiseXOR(F.lit(0).cast("bigint")).alias("node")))
-    about = cut(per.select("node", "digest", "n", "parity").join(ends.distinct(), "node", "left_semi"))
-    wanted = about.select("digest", "node")
-    # a digest and a number are twice a key
-    found = texts.join(F.broadcast(wanted) if 2 * about.count() <= FEW_KEYS else wanted, "digest")
 
     def run(c: dict[str, list]) -> dict[str, list]:
         return {"node": c["node"], "hashes": [shingles(t).view(np.int64).tolist() for t in c["text"]]}
 
-    one = found.groupBy("node").agg(F.min("text").alias("text"))
-    sets = cut(map_columns(one, run, "node bigint, hashes array<bigint>"))
-    edges = cut(_alike(met, sets))
-    roots = _roots(edges)
+    def sets_of(wanted: DataFrame) -> DataFrame:
+        # a digest and a number are twice a key
+        found = texts.join(F.broadcast(wanted) if 2 * wanted.count() <= FEW_KEYS else wanted, "digest")
+        one = found.groupBy("node").agg(F.min("text").alias("text"))
+        return cut(map_columns(one, run, "node bigint, hashes array<bigint>"))
+
+    # fingerprints: first each text of a bucket of a segment with one of them
+    met = cut(_likely(stars(per.select("node", "fp", "n"), REACH, LIMIT), per))
+    ends = _anew(_ends(met)).unionByName(_anew(shared.select("node"))).distinct()
+    about = cut(per.select("node", "digest", "n", "parity").join(ends, "node", "left_semi"))
+    sets = sets_of(about.select("digest", "node"))
+    roots = _roots(_alike(met, sets))
+    # then all pairs of texts that are still in different groups
+    prints = per.join(roots, "node", "left").select("node", "fp", "n", F.coalesce("root", "node").alias("root"))
+    more = cut(_likely(candidates(prints, REACH, LIMIT, apart="root").join(met, ["a", "b"], "left_anti"), per))
+    late = cut(per.select("digest", "node").join(_ends(more).distinct().join(about, "node", "left_anti"), "node", "left_semi"))
+    if not late.isEmpty():
+        sets = cut(sets.unionByName(sets_of(late)))
+    roots = _joined(roots, _alike(more, sets))
     # what fingerprints left apart: first each text of a bucket of minima with one of them
+    hubs = shared.groupBy("bucket").agg(F.min(F.struct(F.xxhash64("bucket", "node"), "node"))["node"].alias("hub"))
     held = cut(shared.join(roots, "node", "left").select("bucket", "node", F.coalesce("root", "node").alias("root")))
     centres = hubs.join(roots.withColumnsRenamed({"node": "hub", "root": "centre"}), "hub", "left").select("bucket", "hub", F.coalesce("centre", "hub").alias("centre"))
-    stars = held.join(centres, "bucket").where("root != centre").select(*_ordered("node", "hub")).distinct()
-    stars = stars.join(_about(about, "x", "a"), "a").join(_about(about, "y", "b"), "b").where(_plausible("x", "y"))
-    edges = cut(_anew(edges).unionByName(_anew(_alike(stars, sets))))
-    roots = _roots(edges)
+    rays = held.join(centres, "bucket").where("root != centre").select(*_ordered("node", "hub")).distinct()
+    roots = _joined(roots, _alike(_likely(rays, about), sets))
     # then texts of buckets whose members are still in more than one group
     held = shared.join(roots, "node", "left").select("bucket", "node", F.coalesce("root", "node").alias("root"))
     split = held.groupBy("bucket").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low != high").select("bucket")
     apart = cut(held.join(split, "bucket", "left_semi").select("node", "root").distinct())
-    more = cut(_alike(_by_rarity(apart, sets, about), sets))
-    if more.isEmpty():
-        return roots
-    return _roots(_anew(edges).unionByName(_anew(more)))
+    return _joined(roots, _alike(_by_rarity(apart, sets, about), sets))
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
