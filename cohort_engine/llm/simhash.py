@@ -166,10 +166,17 @@ def _segments(prints: DataFrame) -> DataFrame:
     return prints.select("*", F.explode(keys).alias("s")).select(*prints.columns, "s.k", "s.key").withColumn("bucket", F.xxhash64("k", "key"))
 
 
-def _hubs(filed: DataFrame) -> DataFrame:
-    """For each bucket how ``many`` members it has, and one of them, ``hub``, with its ``fp`` and ``n``."""
+def crowded(prints: DataFrame) -> DataFrame:
+    """``bucket, many, node, fp, n``: the members of buckets of a segment that have more than one, mostly few of all."""
+    filed = _segments(prints).select("bucket", "node", "fp", "n")
+    many = cut(filed.groupBy("bucket").agg(F.count("*").alias("many")).where("many > 1"))
+    return cut(filed.join(F.broadcast(many) if many.count() <= FEW_KEYS else many, "bucket").select("bucket", "many", "node", "fp", "n"))
+
+
+def _hubs(crowd: DataFrame) -> DataFrame:
+    """For each bucket one of its members, ``hub``, with its ``fp`` and ``n``."""
     first = F.min(F.struct(F.xxhash64("bucket", "node"), "node", "fp", "n"))
-    return filed.groupBy("bucket").agg(F.count("*").alias("many"), first.alias("h")).select("bucket", "many", F.col("h.node").alias("hub"), F.col("h.fp").alias("hubfp"), F.col("h.n").alias("hubn"))
+    return crowd.groupBy("bucket").agg(first.alias("h")).select("bucket", F.col("h.node").alias("hub"), F.col("h.fp").alias("hubfp"), F.col("h.n").alias("hubn"))
 
 
 def _close(fp: str, n: str, reach: int, ratio: tuple[int, int]) -> tuple[Column, Column]:
@@ -177,16 +184,17 @@ def _close(fp: str, n: str, reach: int, ratio: tuple[int, int]) -> tuple[Column,
     return F.bit_count(F.col(fp).bitwiseXOR(F.col("fp"))) <= reach, F.least(n, "n") * ratio[1] >= F.greatest(n, "n") * ratio[0]
 
 
-def stars(prints: DataFrame, reach: int, ratio: tuple[int, int], dense: int = 32) -> DataFrame:
+def stars(prints: DataFrame, reach: int, ratio: tuple[int, int], dense: int = 32, crowd: DataFrame | None = None) -> DataFrame:
     """``a, b``: the members of every bucket of a segment with one of them, another one in each bucket. Fingerprints and sizes are as in
-    :func:`candidates`, but in buckets of more than ``dense`` members fingerprints may differ in any number of bits. Rows grow with members."""
-    filed = _segments(prints)
+    :func:`candidates`, but in buckets of more than ``dense`` members fingerprints may differ in any number of bits. Rows grow with members.
+    ``crowd``: what :func:`crowded` gives, if it is there."""
+    crowd = crowded(prints) if crowd is None else crowd
     near, even = _close("hubfp", "hubn", reach, ratio)
-    met = filed.join(_hubs(filed).where("many > 1"), "bucket").where((F.col("node") != F.col("hub")) & even & (near | (F.col("many") > dense)))
+    met = crowd.join(_hubs(crowd), "bucket").where((F.col("node") != F.col("hub")) & even & (near | (F.col("many") > dense)))
     return met.select(F.least("node", "hub").alias("a"), F.greatest("node", "hub").alias("b")).distinct()
 
 
-def candidates(prints: DataFrame, reach: int, ratio: tuple[int, int], dense: int = 32, apart: str | None = None) -> DataFrame:
+def candidates(prints: DataFrame, reach: int, ratio: tuple[int, int], dense: int = 32, apart: str | None = None, crowd: DataFrame | None = None) -> DataFrame:
     """``a, b``: pairs of ``prints`` (``node, fp, n``) with a segment of ``WIDE`` that differs in one bit or none, fingerprints at most ``reach`` bits
     apart, and sizes ``n`` whose ratio is at least the fraction ``ratio``. So all pairs of such sizes within five bits are there, and of those further
     apart the fewer the further.
@@ -195,10 +203,11 @@ def candidates(prints: DataFrame, reach: int, ratio: tuple[int, int], dense: int
     alone asks and answers for the bucket. The caller has an exact way for what that leaves out.
 
     ``apart``: a column of ``prints`` with the group that :func:`stars` has brought a node to. Pairs within a group are not made then, as they
-    connect nothing, and neither are pairs of full buckets, which are among the stars."""
+    connect nothing, and neither are pairs of full buckets, which are among the stars. ``crowd``: what :func:`crowded` gives, if it is there."""
     bits = F.array(*(F.array(*(F.lit(_signed(b)) for b in segment)) for segment in WIDE))
     filed = _segments(prints)
-    heavy = cut(_hubs(filed).where(F.col("many") > dense).select("bucket", "hub"))
+    crowd = crowded(prints) if crowd is None else crowd
+    heavy = cut(_hubs(crowd.where(F.col("many") > dense)).select("bucket", "hub"))
     count = heavy.count()
     if count:
         filed = filed.join(F.broadcast(heavy) if count <= FEW_KEYS else heavy, "bucket", "left")
@@ -206,10 +215,11 @@ def candidates(prints: DataFrame, reach: int, ratio: tuple[int, int], dense: int
         filed = filed.where("hub IS NULL OR node = hub")
     clear = F.filter(F.get(bits, F.col("k")), lambda b: F.col("key").bitwiseAND(b) == 0)
     asked = F.concat(F.array("bucket"), F.transform(clear, lambda b: F.xxhash64("k", F.col("key").bitwiseOR(b))))
-    group = F.col(apart or "node")
+    # null for a node of its own, which takes the least room among the many rows that ask
+    group = F.when(F.col(apart) != F.col("node"), F.col(apart)) if apart else F.lit(None).cast("bigint")
     asks = filed.select(F.explode(asked).alias("bucket"), F.col("node").alias("x"), F.col("fp").alias("xfp"), F.col("n").alias("xn"), group.alias("xgroup"))
     near, even = _close("xfp", "xn", reach, ratio)
-    met = asks.join(filed.select("bucket", "node", "fp", "n", group.alias("group")), "bucket").where((F.col("xgroup") != F.col("group")) & near & even)
+    met = asks.join(filed.select("bucket", "node", "fp", "n", group.alias("group")), "bucket").where((F.coalesce("xgroup", "x") != F.coalesce("group", "node")) & near & even)
     pairs = met.select(F.least("x", "node").alias("a"), F.greatest("x", "node").alias("b"))
     return (pairs.unionByName(full) if count and apart is None else pairs).distinct()
 

@@ -24,7 +24,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import FEW_KEYS, cut, keep_keys, map_columns, row_key
-from .simhash import SEED, candidates, components, majority, stars
+from .simhash import SEED, candidates, components, crowded, majority, stars
 
 SHINGLE = 5
 SEGMENTS, ROWS = 32, 4
@@ -169,8 +169,8 @@ def _ends(pairs: DataFrame) -> DataFrame:
 def groups(texts: DataFrame, per: DataFrame) -> DataFrame:
     """``node, root`` of all nodes that have a near copy; ``texts`` has ``digest, text``, and ``per`` ``node, digest, fp, n, parity, bands``."""
     filed = per.select("node", F.explode("bands").alias("bucket"))
-    full = filed.groupBy("bucket").agg(F.count("*").alias("many")).where("many > 1").select("bucket")
-    shared = cut(filed.join(full, "bucket", "left_semi"))
+    full = cut(filed.groupBy("bucket").agg(F.count("*").alias("many")).where("many > 1").select("bucket"))
+    shared = cut(filed.join(F.broadcast(full) if full.count() <= FEW_KEYS else full, "bucket", "left_semi"))
 
     def run(c: dict[str, list]) -> dict[str, list]:
         return {"node": c["node"], "hashes": [shingles(t).view(np.int64).tolist() for t in c["text"]]}
@@ -182,14 +182,16 @@ def groups(texts: DataFrame, per: DataFrame) -> DataFrame:
         return cut(map_columns(one, run, "node bigint, hashes array<bigint>"))
 
     # fingerprints: first each text of a bucket of a segment with one of them
-    met = cut(_likely(stars(per.select("node", "fp", "n"), REACH, LIMIT), per))
+    prints = per.select("node", "fp", "n")
+    crowd = crowded(prints)
+    met = cut(_likely(stars(prints, REACH, LIMIT, crowd=crowd), per))
     ends = _anew(_ends(met)).unionByName(_anew(shared.select("node"))).distinct()
     about = cut(per.select("node", "digest", "n", "parity").join(ends, "node", "left_semi"))
     sets = sets_of(about.select("digest", "node"))
     roots = _roots(_alike(met, sets))
     # then all pairs of texts that are still in different groups
-    prints = per.join(roots, "node", "left").select("node", "fp", "n", F.coalesce("root", "node").alias("root"))
-    more = cut(_likely(candidates(prints, REACH, LIMIT, apart="root").join(met, ["a", "b"], "left_anti"), per))
+    grouped = prints.join(roots, "node", "left").select("node", "fp", "n", F.coalesce("root", "node").alias("root"))
+    more = cut(_likely(candidates(grouped, REACH, LIMIT, apart="root", crowd=crowd).join(met, ["a", "b"], "left_anti"), per))
     late = cut(per.select("digest", "node").join(_ends(more).distinct().join(about, "node", "left_anti"), "node", "left_semi"))
     if not late.isEmpty():
         sets = cut(sets.unionByName(sets_of(late)))
