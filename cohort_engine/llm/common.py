@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import tempfile
 from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -53,10 +54,30 @@ def shared_folder(spark: SparkSession) -> str:
     return context.getCheckpointDir()
 
 
+@contextmanager
+def swept(spark: SparkSession) -> Iterator[None]:
+    """Frames that are made and run inside leave no files of their shuffles: Spark deletes these as the action ends, and not only when the
+    driver collects its garbage, which can be many rounds later. Spark reads the setting when a frame is made, so it is taken back at the end."""
+    name = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    before = spark.conf.get(name, "false")
+    spark.conf.set(name, "true")
+    try:
+        yield
+    finally:
+        spark.conf.set(name, before)
+
+
 def cut(df: DataFrame) -> DataFrame:
-    """The same rows with their lineage cut: a checkpoint in the shared folder."""
+    """The same rows with their lineage cut: a checkpoint in the shared folder. What was shuffled on the way is deleted."""
     shared_folder(df.sparkSession)
-    return df.checkpoint()
+    with swept(df.sparkSession):
+        return df.select("*").checkpoint()
+
+
+def has_rows(df: DataFrame) -> bool:
+    """Whether there is a row. What was shuffled for that is deleted, which ``isEmpty`` would leave."""
+    with swept(df.sparkSession):
+        return bool(df.select(F.lit(1)).head(1))
 
 
 def drop_folder(spark: SparkSession, path: str) -> None:
@@ -86,7 +107,7 @@ def keep_keys(docs: DataFrame, id_col: str, text_col: str, keys: DataFrame, winn
     held = numbered(docs)
     held = held.withColumn("key", row_key(*(F.col(f"_{place_of(docs, c)}") for c in (id_col, text_col))))
     kept = held.join(F.broadcast(losers) if few else losers, "key", "left_anti")
-    if not counts.where("n > 1").isEmpty():
+    if has_rows(counts.where("n > 1")):
         kept = kept.dropDuplicates(["key"])
     return kept.drop("key").toDF(*docs.columns)
 

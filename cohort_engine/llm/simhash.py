@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import FEW_KEYS, cut, keep_keys, map_columns, row_key
+from .common import FEW_KEYS, cut, has_rows, keep_keys, map_columns, row_key
 
 SEED = 42
 #: For each value of a byte, its bits, lowest first.
@@ -244,8 +244,9 @@ def components(edges: DataFrame) -> DataFrame:
         downward = upward.join(least, "b").select(F.col("low").alias("x"), F.when(F.col("a") == F.col("low"), F.col("b")).otherwise(F.col("a")).alias("b"))
         made = cut(downward.select(F.least("x", "b").alias("a"), F.greatest("x", "b").alias("b")).where("a != b").distinct())
         # finished once every node has one edge, to a root that hangs on nothing
-        tops, leaves = made.select("a"), made.groupBy("b").agg(F.count("*").alias("n"))
-        if leaves.where("n > 1").isEmpty() and tops.join(leaves, tops["a"] == leaves["b"], "left_semi").isEmpty():
+        ends = made.select(F.explode(F.array(*(F.struct(F.col(c).alias("node"), F.lit(up).alias("up")) for c, up in (("a", 0), ("b", 1))))).alias("e"))
+        hangs = ends.groupBy("e.node").agg(F.sum("e.up").alias("n"), F.min("e.up").alias("least"))
+        if not has_rows(hangs.where("n > 1 OR n = 1 AND least = 0")):
             return _either(made, ("b", "a"), ("a", "a")).select(F.col("a").alias("node"), F.col("b").alias("root")).distinct()
         edges = made
 

@@ -1,11 +1,12 @@
 """The pipeline's near-duplicate stage against all pairs compared by their whole shingle sets."""
 
 import random
+import time
 
 import pytest
 
 import corpus_pipeline
-from cohort_engine.llm import quality_rules, simhash, similar
+from cohort_engine.llm import common, quality_rules, simhash, similar
 
 SCHEMA = "doc_id bigint, text string, lang string, source string, n_chars bigint"
 
@@ -139,3 +140,52 @@ def test_stars_and_the_pairs_apart_connect_what_candidates_connect(spark, dense)
         return root
 
     assert joined([(x["a"], x["b"]) for x in stars.collect()] + rest) == joined(whole)
+
+
+def _shuffle_files(spark):
+    """How many files of shuffles this session has on its disk."""
+    files = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles()
+    return files.mkString("\n").count("/shuffle_")
+
+
+def test_shuffles_leave_no_files(spark):
+    """What the rounds of the stage have shuffled goes as they end, not when the driver happens to collect its garbage."""
+    r = random.Random(7)
+    texts = {}
+    for _ in range(20):
+        words = [f"w{r.randrange(10**6)}" for _ in range(60)]
+        for _ in range(6):
+            texts[len(texts)] = " ".join(words)
+            words[r.randrange(60)] = f"x{r.randrange(10**6)}"
+    df = spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in texts.items()], SCHEMA)
+    # files of earlier tests may go meanwhile, so only those that are new count
+    before = _shuffle_files(spark)
+    kept = similar.keep_one(df)
+    until = time.time() + 20
+    while (left := _shuffle_files(spark) - before) > 0 and time.time() < until:
+        time.sleep(0.5)
+    assert left <= 0 and {x["doc_id"] for x in kept.collect()} == _kept(texts)
+
+
+def test_the_setting_is_taken_back(spark):
+    name = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    spark.conf.set(name, "false")
+    numbers = spark.range(100).groupBy("id").count()
+    assert common.cut(numbers).count() == 100 and common.has_rows(numbers) and not common.has_rows(numbers.where("id < 0"))
+    assert spark.conf.get(name) == "false"
+
+
+@pytest.mark.parametrize("seed", [1, 2, 3])
+def test_components_of_chains_and_stars(spark, seed):
+    r = random.Random(seed)
+    numbers = r.sample(range(10**6), 80)
+    edges = [(numbers[k], numbers[k + 1]) for k in range(30)]
+    edges += [(numbers[40], x) for x in numbers[41:60]] + [(r.choice(numbers[60:]), r.choice(numbers[60:])) for _ in range(15)]
+    root = {x: x for e in edges for x in e if e[0] != e[1]}
+    for a, b in (e for e in edges if e[0] != e[1]):
+        x, y = root[a], root[b]
+        root = {k: min(x, y) if v in (x, y) else v for k, v in root.items()}
+    df = spark.createDataFrame(edges, "a bigint, b bigint")
+    got = [(x["node"], x["root"]) for x in simhash.components(df).collect()]
+    assert len(got) == len(root) and dict(got) == root
+    assert simhash.components(df.where("a < 0")).count() == 0
